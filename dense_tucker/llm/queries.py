@@ -6,15 +6,48 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
-from . import packing, quality_rules, simhash, token_store
+from . import decontam, html_tree, langid, lm_scoring, packing, pii, quality_crf, quality_rules, simhash, token_store
+
+#: Documents' hits by plain joins of word windows, for DuckDB.
+OP6_SQL = r"""
+with words as (
+    select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') as w
+    from documents
+), item_words as (
+    select item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') as w
+    from benchmark
+), windows as (
+    select distinct item_id, least(10, len(w)) as n, array_to_string(w[i:i + least(10, len(w)) - 1], ' ') as phrase
+    from item_words, unnest(range(1, greatest(2, len(w) - 10 + 2))) as t(i)
+    where len(w) > 0
+), sizes as (
+    select distinct n from windows
+), places as (
+    select doc_id, n, i, array_to_string(w[i:i + n - 1], ' ') as phrase
+    from words, sizes, unnest(range(1, greatest(1, len(w) - n + 2))) as t(i)
+), found as (
+    select doc_id, item_id, i, p.n from places p join windows v on p.n = v.n and p.phrase = v.phrase
+), hits as (
+    select doc_id, count(distinct k) as n_hit from found, unnest(range(i, i + n)) as t(k) group by doc_id
+), items as (
+    select doc_id, count(*) as n_items, sha256(string_agg(item, ',' order by item)) as items_sha256
+    from (select distinct doc_id, cast(item_id as varchar) as item from found) group by doc_id
+)
+select doc_id, cast(len(w) as bigint) as n_words, cast(coalesce(n_hit, 0) as bigint) as n_hit, cast(coalesce(n_items, 0) as bigint) as n_items,
+    coalesce(items_sha256, sha256('')) as items_sha256, coalesce(n_hit, 0) > 0 as contaminated
+from words left join hits using (doc_id) left join items using (doc_id)
+"""
 
 
 def _read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_quality_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_crf.apply(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "labels"))
+
+
 def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     trusted = _read(spark, sf_dir, "labels").where("quality = 1").select("doc_id")
     return quality_rules.apply(_read(spark, sf_dir, "documents"), trusted)
@@ -24,22 +57,49 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.cluster(_read(spark, sf_dir, "documents"))
 
 
+def op4_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    trusted = _read(spark, sf_dir, "labels").where("quality = 1").select("doc_id")
+    return lm_scoring.apply(_read(spark, sf_dir, "documents"), trusted)
+
+
+def op5_language_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.apply(_read(spark, sf_dir, "documents"))
+
+
+def op6_positional_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.apply(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "benchmark")).drop("item_ids")
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op8_style_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_tree.extract(_read(spark, sf_dir, "pages"))
+
+
 def op9_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.write_store(_read(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json")).records()
 
 
+def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.apply(_read(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_quality_crf": op1_quality_crf,
         "op2_quality_rules": op2_quality_rules,
         "op3_simhash": op3_simhash,
+        "op4_lm_scoring": op4_lm_scoring,
+        "op5_language_codes": op5_language_codes,
+        "op6_positional_index": op6_positional_index,
         "op7_packing": op7_packing,
+        "op8_style_tree": op8_style_tree,
         "op9_token_store": op9_token_store,
+        "op10_pii": op10_pii,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op6_positional_index": OP6_SQL}
