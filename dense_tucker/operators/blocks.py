@@ -272,7 +272,7 @@ def fix_signs(f: np.ndarray) -> np.ndarray:
     return f * np.where(sign == 0, 1, sign)
 
 
-def left_svd(t: Blocked, mode: int, k: int, solver: str = "gram", iterations: int = 30, seed: int = 3) -> tuple[np.ndarray, np.ndarray]:
+def left_svd(t: Blocked, mode: int, k: int, solver: str = "gram", iterations: int = 60, oversample: int = 8, seed: int = 3) -> tuple[np.ndarray, np.ndarray]:
     """k leading left singular vectors of the unfolding and their singular values.
 
     gram: Gram matrix and an eigenvalue decomposition on the driver (lengths up to a few thousand).
@@ -285,8 +285,9 @@ def left_svd(t: Blocked, mode: int, k: int, solver: str = "gram", iterations: in
     whole = regrid(t, _whole_mode_grid(t, mode)) if t.grid[mode] > 1 else t
     whole.persist()
     spark = t.df.sparkSession
+    wanted, k = k, min(n, k + oversample)
     f = np.linalg.qr(np.random.default_rng(seed).normal(size=(n, k)))[0]
-    values = np.zeros(k)
+    values, ritz = np.zeros(k), f
     for _ in range(iterations):
         now = spark.sparkContext.broadcast(f)
 
@@ -300,15 +301,13 @@ def left_svd(t: Blocked, mode: int, k: int, solver: str = "gram", iterations: in
 
         z = _sum_matrices(whole.df.mapInArrow(run, "at int, data binary"), n, k)
         inner = f.T @ z
-        new, _ = np.linalg.qr(z)
-        before, values = values, np.sort(np.linalg.eigvalsh((inner + inner.T) / 2))[::-1]
-        f = new
-        if np.allclose(before, values, rtol=1e-10):
+        w, u = np.linalg.eigh((inner + inner.T) / 2)
+        before, values, ritz = values, w[::-1], f @ u[:, ::-1]
+        f = np.linalg.qr(z)[0]
+        if np.allclose(before[:wanted], values[:wanted], rtol=1e-9):
             break
-    z = f.T @ z
-    w, u = np.linalg.eigh((z + z.T) / 2)
     whole.unpersist()
-    return fix_signs(f @ u[:, ::-1]), np.sqrt(np.maximum(w[::-1], 0))
+    return fix_signs(ritz[:, :wanted]), np.sqrt(np.maximum(values[:wanted], 0))
 
 
 def collect_array(t: Blocked, limit: int = 4_000_000) -> np.ndarray:
