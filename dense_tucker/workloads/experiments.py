@@ -1,4 +1,273 @@
-"""To come."""
+"""The experiments: overall time, load, communication, scaling, error and ablations, on tables and generated metadata."""
+
+from __future__ import annotations
+
+import time
+
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..model.meta import NAMED, TensorMeta
+from ..operators import blocks as B
+from ..operators import decompose as D
+from ..operators import measures as M
+from ..plans import grids as G
+from ..plans import optimal, trees
+from ..plans.planner import STRATEGIES, strategy
+from ..sources import benchmark, builders
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
+_KS = [1, 10, 25, 40, 50, 60, 75, 90, 99]
+_SPECS = builders.specs()
+
+
+def timed_sweeps(spark: SparkSession, cells: DataFrame, meta: TensorMeta, p: int, names=tuple(STRATEGIES), policy: str = "frozen") -> list[tuple]:
+    """One measured sweep under each strategy on the same random factors."""
+    rows = []
+    for name in names:
+        made = strategy(meta, p, name)
+        t = B.distribute(cells, meta.L, made.scheme.grids[0]).persist()
+        t.df.count()
+        seen = D.Measured()
+        D.sweep(t, D.Decomposition(meta, np.zeros(meta.K), D.random_init(meta)), made, policy, measured=seen)
+        t.unpersist()
+        rows.append((meta.name, name, float(made.load), float(made.volume), seen.wall_s, seen.ttm_s, seen.comm_s, seen.svd_s, seen.core_s, seen.ttms, seen.regrids, float(seen.moved_elements), seen.peak_live))
+    return rows
+
+
+_TIMED = "tensor_id string, strategy string, load double, volume double, wall_s double, ttm_s double, comm_s double, svd_s double, core_s double, ttms int, regrids int, moved double, peak_live int"
+
+
+def _table_meta(spark, d, name, K=None) -> TensorMeta:
+    return TensorMeta(builders.lengths(spark, d, name), K or _SPECS[name].K, name)
+
+
+def _overall(spark, d, tables, generated, p) -> DataFrame:
+    rows = []
+    for name in tables:
+        rows += timed_sweeps(spark, builders.filled_cells(spark, d, name), _table_meta(spark, d, name), p)
+    for meta in generated:
+        rows += timed_sweeps(spark, builders.random_cells(spark, meta.L), meta, p)
+    return spark.createDataFrame(rows, _TIMED)
+
+
+#: Shapes of the two extreme published inputs, divided by ten.
+_SMALL5 = [TensorMeta((20, 20, 5, 4, 4), (16, 4, 2, 2, 2), "r5a"), TensorMeta((20, 10, 10, 5, 4), (4, 8, 2, 4, 2), "r5b")]
+_SMALL6 = [TensorMeta((10, 8, 5, 5, 4, 4), (2, 4, 4, 2, 2, 2), "r6a")]
+
+
+def w1_overall_5d(s, d):
+    return M.normalise(_overall(s, d, ["ta"], _SMALL5, 4), "wall_s")
+
+
+def w1_overall_6d(s, d):
+    return M.normalise(_overall(s, d, ["tc"], _SMALL6, 4), "wall_s")
+
+
+def w2_real_meta_load(s, d):
+    return M.normalise(M.plan_all(benchmark.meta_frame(s, list(NAMED.values()))), "load").select("tensor_id", "strategy", "load", "load_ratio")
+
+
+def w2_real_meta_volume(s, d):
+    return M.normalise(M.plan_all(benchmark.meta_frame(s, list(NAMED.values()))), "volume").select("tensor_id", "strategy", "volume", "relative_volume", "volume_ratio")
+
+
+def w2_real_scaled_run(s, d):
+    metas = []
+    for name in ("HCCI", "TJLR", "SP"):
+        m = NAMED[name]
+        L = tuple(max(4, x // 16) if x > 16 else min(x, 4) for x in m.L)
+        metas.append(TensorMeta(L, tuple(max(1, min(n, round(n * k / x))) for n, k, x in zip(L, m.K, m.L, strict=True)), f"{name}/16"))
+    rows = []
+    for meta in metas:
+        rows += timed_sweeps(s, builders.random_cells(s, meta.L), meta, 4, ("chain_K", "balanced", "opt_dynamic"))
+    return M.normalise(s.createDataFrame(rows, _TIMED), "wall_s")
+
+
+def _planned(s, n: int) -> DataFrame:
+    return M.plan_all(benchmark.benchmark(s, n))
+
+
+def _load_curve(s, n):
+    return M.percentile_curve(M.normalise(_planned(s, n), "load"), "load_ratio", _KS)
+
+
+def _subsets(s, d, n: int) -> list[TensorMeta]:
+    """All n-column subsets of the categorical columns with each single ratio; lengths from the tables."""
+    from itertools import combinations
+
+    lengths: dict[str, int] = {}
+    for table, names in {"lineitem": ["l_returnflag", "l_linestatus", "l_linenumber", "l_discount", "l_tax"], "orders": ["o_orderpriority", "o_orderstatus"], "part": ["p_brand", "p_type", "p_size"], "customer": ["c_mktsegment"]}.items():
+        row = builders.read(s, d, table).agg(*[F.count_distinct(c) for c in names]).first()
+        lengths |= dict(zip(names, map(int, row), strict=True))
+    out = []
+    for pick in combinations(sorted(lengths), n):
+        for ratio in (1.25, 2.0, 5.0):
+            L = tuple(lengths[c] for c in pick)
+            out.append(TensorMeta(L, tuple(max(1, -(-int(x * 100) // int(ratio * 100))) for x in L), "+".join(pick) + f"/{ratio}"))
+    return out
+
+
+def w3_load_tables(s, d):
+    metas = [m for n in (5, 6) for m in _subsets(s, d, n)]
+    return M.percentile_curve(M.normalise(M.plan_all(benchmark.meta_frame(s, metas, 8)), "load"), "load_ratio", _KS)
+
+
+def _volume(s, n):
+    both = M.plan_all(benchmark.benchmark(s, n), ("opt_static", "opt_dynamic"))
+    return M.normalise(both, "volume").where("strategy = 'opt_static'")
+
+
+def w4_volume_static_vs_dynamic(s, d):
+    out = None
+    for n in (5, 6):
+        v = _volume(s, n).withColumn("strategy", F.lit(f"{n}d"))
+        part = M.percentile_curve(v, "volume_ratio", _KS).join(M.gain_share(v, "volume_ratio", 3.0).withColumnRenamed("share", "share_ge_3"), "strategy")
+        out = part if out is None else out.union(part)
+    return out
+
+
+def w4_comm_time(s, d):
+    return M.normalise(s.createDataFrame(timed_sweeps(s, builders.filled_cells(s, d, "tj"), _table_meta(s, d, "tj"), 8, ("opt_static", "opt_dynamic")), _TIMED), "moved")
+
+
+def w5_scaling(s, d):
+    """The same sweep with more blocks: time by P (a withdrawn study; only the shape of the curve is of use)."""
+    rows = []
+    meta = _table_meta(s, d, "tb")
+    cells = builders.filled_cells(s, d, "tb").persist()
+    for p in (1, 2, 4, 8):
+        t = timed_sweeps(s, cells, meta, p, ("opt_dynamic",))[0]
+        rows.append((p, t[4], t[5], t[6]))
+    cells.unpersist()
+    return s.createDataFrame(rows, "p int, wall_s double, ttm_s double, comm_s double")
+
+
+def w7_error_vs_sweeps(s, d):
+    rows = []
+    for name, p in (("tb", 8), ("td", 4)):
+        meta = _table_meta(s, d, name)
+        made = strategy(meta, p, "opt_dynamic")
+        t = B.distribute(builders.filled_cells(s, d, name), meta.L, made.scheme.grids[0])
+        for policy in ("latest", "frozen"):
+            h = D.sweep_until(t, D.seq_init(t, meta), made, 0.0, 2, policy)
+            rows += [(name, policy, i, float(e), h.error_increased) for i, e in enumerate(h.errors)]
+    return s.createDataFrame(rows, "tensor string, policy string, sweep int, rel_error double, error_increased boolean")
+
+
+def w8_compression(s, d):
+    rows = []
+    for name in ("tb", "td"):
+        L = builders.lengths(s, d, name)
+        t = B.distribute(builders.filled_cells(s, d, name), L, (1,) * len(L)).persist()
+        for ratio in (1.25, 2.0, 5.0, 10.0):
+            meta = TensorMeta(L, tuple(max(1, round(n / ratio)) for n in L), name)
+            dec = D.seq_init(t, meta)
+            rows.append((name, ratio, meta.compression_rate(), meta.compression_rate(True), D.errors(t, dec, "norms")["rel_error"]))
+        t.unpersist()
+    return s.createDataFrame(rows, "tensor string, ratio double, rate double, rate_with_factors double, rel_error double")
+
+
+def w9_ablation(s, d):
+    """What each choice is worth: reuse policy (load), regrid target and gridding (volume)."""
+    rows = []
+    for m in NAMED.values():
+        best = optimal.optimal_tree(m)[1]
+        for policy in ("always_reuse", "no_reuse"):
+            rows.append((m.name, f"tree:{policy}", optimal.optimal_tree(m, policy)[1] / best))
+        tree = optimal.optimal_tree(m)[0]
+        full = G.best_dynamic_scheme(tree, m, 32).total
+        rows.append((m.name, "regrid:children_only", G.best_dynamic_scheme(tree, m, 32, "children_only").total / full))
+        rows.append((m.name, "grid:static", G.best_static_grid(tree, m, 32)[1] / full))
+    return s.createDataFrame(rows, "tensor_id string, choice string, ratio double")
+
+
+def w9_policies(s, d):
+    rows = []
+    meta = _table_meta(s, d, "tb")
+    made = strategy(meta, 8, "opt_dynamic")
+    t = B.distribute(builders.filled_cells(s, d, "tb"), meta.L, made.scheme.grids[0])
+    for policy in ("frozen", "latest"):
+        began = time.perf_counter()
+        dec = D.sweep(t, D.initial(t, meta, "random"), made, policy)
+        rows.append((policy, D.errors(t, dec, "norms")["rel_error"], time.perf_counter() - began))
+    return s.createDataFrame(rows, "policy string, rel_error double, wall_s double")
+
+
+def _measure(kind: str):
+    def run(s, d):
+        df = M.normalise(_planned(s, 5), "load")
+        if kind == "extremes":
+            return M.extreme_gains(df, "load_ratio")
+        if kind == "share":
+            return M.gain_share(df, "load_ratio", 1.5)
+        if kind == "best_prior":
+            prior = df.where(F.col("strategy").isin("chain_K", "chain_h", "balanced")).groupBy("tensor_id").agg(F.min("load_ratio").alias("gain"))
+            return prior.agg(F.max("gain").alias("greatest"), F.median("gain").alias("median"), F.min("gain").alias("least"))
+        return M.dominates(df, "load_ratio")
+
+    return run
+
+
+#: Closed-form loads of the natural balanced and chain trees over a generated benchmark, for SQL.
+def _curve_metas() -> list[TensorMeta]:
+    return [TensorMeta(m.L, m.K, f"c{i}") for i, m in enumerate(m for m in benchmark.enumerate_metas(5, "lengths") if m.L[0] == 20 and m.L[2] == 50)]
+
+
+def chain_gain_curve(s, d):
+    """Percentiles of the natural chain's load over the h-ordered chain's."""
+    rows = [(m.name, name, trees.tree_load(trees.chain_tree(trees.mode_order(m, by)), m, True)) for m in _curve_metas() for name, by in (("chain", "natural"), ("chain_h", "h"))]
+    df = s.createDataFrame(rows, "tensor_id string, strategy string, load double")
+    out = M.percentile_curve(M.normalise(df, "load", "chain_h"), "load_ratio", [10, 50, 90])
+    return out.withColumn("t", F.round("t", 6))
+
+
+def _chain_curve_sql() -> str:
+    metas = _curve_metas()
+    values = "(values " + ", ".join(f"('{m.name}', {k}, {m.L[k]}.0::double, {m.K[k]}.0::double)" for m in metas for k in range(5)) + ") as modes(tensor_id, mode, L, K)"
+    load = "select f.tensor_id, sum(K * coalesce((select product(b.K / b.L) from {0} b where b.tensor_id = f.tensor_id and b.r < a.r and b.mode <> f.mode), 1.0)) as load from {0} a join (select tensor_id, mode from {0}) f on a.tensor_id = f.tensor_id and a.mode <> f.mode group by 1"
+    return (
+        f"with m as (select * from {values}), n as (select *, mode as r from m), h as (select *, row_number() over (partition by tensor_id order by K / L, mode) as r from m), "
+        f"ln as ({load.format('n')}), lh as ({load.format('h')}), both_ as (select 'chain' as strategy, ln.load / lh.load as ratio from ln join lh using (tensor_id) union all select 'chain_h', 1.0 from lh) "
+        "select strategy, unnest([10, 50, 90]) as k, round(unnest(quantile_cont(ratio, [0.1, 0.5, 0.9])), 6) as t from both_ group by strategy"
+    )
+
+
+QUERIES |= {
+    "w1_overall_5d": w1_overall_5d,
+    "w1_overall_6d": w1_overall_6d,
+    "w2_real_meta_load": w2_real_meta_load,
+    "w2_real_meta_volume": w2_real_meta_volume,
+    "w2_real_scaled_run": w2_real_scaled_run,
+    "w3_load_5d": lambda s, d: _load_curve(s, 5),
+    "w3_load_6d": lambda s, d: _load_curve(s, 6),
+    "w3_load_tables": w3_load_tables,
+    "w4_volume_static_vs_dynamic": w4_volume_static_vs_dynamic,
+    "w4_comm_time": w4_comm_time,
+    "w5_scaling": w5_scaling,
+    "w7_error_vs_sweeps": w7_error_vs_sweeps,
+    "w8_compression": w8_compression,
+    "w9_ablation": w9_ablation,
+    "w9_policies": w9_policies,
+    "strategy_table_5d": lambda s, d: _planned(s, 5).drop("planner_s"),
+    "strategy_table_6d": lambda s, d: _planned(s, 6).drop("planner_s"),
+    "measure_extreme_gains": _measure("extremes"),
+    "measure_gain_share": _measure("share"),
+    "measure_dominates": _measure("dominates"),
+    "measure_best_prior": _measure("best_prior"),
+    "norm_load_curve": chain_gain_curve,
+}
+ORACLES |= {
+    "measure_dominates": "select unnest(['chain_K', 'chain_h', 'balanced', 'opt_static', 'opt_dynamic']) as strategy, true as dominated",
+    "norm_load_curve": _chain_curve_sql(),
+}
+
+
+def w6_grid_counts(s, d):
+    return s.createDataFrame([(e, n, G.count_grids(2**e, n)) for e in (5, 10, 20) for n in range(5, 11)], "e int, n int, grids bigint")
+
+
+QUERIES["w6_grid_counts"] = w6_grid_counts
+ORACLES["w6_grid_counts"] = "select e::int as e, n::int as n, round(product((e + n - i)::double / i))::bigint as grids from (select unnest([5, 10, 20]) as e), (select unnest(range(5, 11)) as n), lateral (select unnest(range(1, n)) as i) group by e, n"
