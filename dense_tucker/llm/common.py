@@ -80,12 +80,13 @@ def texts_of(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """UTF-8 bytes of a string column and each text's first and end byte; nulls are empty."""
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
+    if not len(column):
+        return np.zeros(0, np.uint8), np.zeros(0, np.int64), np.zeros(0, np.int64)
     column = column.cast(pa.large_binary()).fill_null(b"")
     offsets = np.frombuffer(column.buffers()[1], np.int64)[column.offset : column.offset + len(column) + 1]
     raw = column.buffers()[2]
-    whole = np.frombuffer(raw, np.uint8) if raw is not None and len(column) else np.zeros(0, np.uint8)
-    low = int(offsets[0]) if len(column) else 0
-    high = int(offsets[-1]) if len(column) else 0
+    whole = np.frombuffer(raw, np.uint8) if raw is not None else np.zeros(0, np.uint8)
+    low, high = int(offsets[0]), int(offsets[-1])
     return whole[low:high], offsets[:-1] - low, offsets[1:] - low
 
 

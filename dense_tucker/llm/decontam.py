@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import lexing
-from .common import bounded_batches, materialise, passes, texts_of
+from .common import BROADCAST_ROWS, bounded_batches, materialise, passes, texts_of
 
 WINDOW = 10
 MAX_WORDS = 10_000_000
@@ -247,7 +247,9 @@ def apply(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW) -> DataFram
 
 
 def keep_clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """Documents in which no window of the benchmark occurs."""
-    foul = apply(docs, benchmark).where("contaminated").select("doc_id")
-    out = docs.join(F.broadcast(foul) if foul.limit(1_000_001).count() <= 1_000_000 else foul, "doc_id", "left_anti")
-    return out.select(*docs.columns)
+    """Documents in which no window of the benchmark occurs; rows without an id are told apart by their text."""
+    key = F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("#"), F.sha2(F.coalesce("text", F.lit("")), 256)))
+    keyed = docs.select(F.struct(*docs.columns).alias("row"), key.alias("key"))
+    foul = apply(keyed.select(F.col("key").alias("doc_id"), F.col("row.text").alias("text")), benchmark).where("contaminated").select(F.col("doc_id").alias("key"))
+    few = foul.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    return keyed.join(F.broadcast(foul) if few else foul, "key", "left_anti").select("row.*")

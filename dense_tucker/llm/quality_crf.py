@@ -227,8 +227,8 @@ def apply(docs: DataFrame, labels: DataFrame) -> DataFrame:
 def keep(docs: DataFrame, labelled: DataFrame, labels: DataFrame) -> DataFrame:
     """Documents that the classifier accepts, with all their columns; `labelled` holds the texts of `labels`."""
     field = train(labelled, labels)
-    carried = docs.select(*docs.columns, F.col("text").alias("__scored"))
-    return score(carried, field, text="__scored", keep=tuple(docs.columns)).where("predicted = 1").select(*docs.columns)
+    carried = docs.select(F.struct(*docs.columns).alias("row"), F.col("text"))
+    return score(carried, field, keep=("row",)).where("predicted = 1").select("row.*")
 
 
 __all__ = ["Field", "apply", "fit", "keep", "line_features", "score", "train"]

@@ -209,8 +209,11 @@ def cluster(docs: DataFrame, text: str = "text", size: int = SHINGLE, radius: in
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """Documents without those that are near copies of one with a lesser id."""
-    stay = cluster(docs).where("doc_id = component_id").select("doc_id").distinct()
-    return docs.join(stay, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
-
+    """Documents without those that are near copies of one with a lesser id; rows without an id all stay.
 
+    Of rows that share an id one stays.
+    """
+    named = docs.where("doc_id is not null")
+    stay = cluster(named).where("doc_id = component_id").select("doc_id").distinct()
+    kept = named.join(stay, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
+    return kept.unionAll(docs.where("doc_id is null"))
