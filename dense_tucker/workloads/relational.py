@@ -193,11 +193,16 @@ both("agg_having", "select l_partkey, count(*) as n from lineitem group by 1 hav
 # windows
 q("win_mode_index", lambda s, d: R(s, d, "part").select("p_partkey", (F.dense_rank().over(W.orderBy("p_type")) - 1).alias("idx")), "select p_partkey, (dense_rank() over (order by p_type) - 1)::int as idx from part")
 both("win_rank_all", "select s_suppkey, row_number() over w as rn, rank() over w as rk, round(percent_rank() over w, 6) as pr, round(cume_dist() over w, 6) as cd, ntile(4) over w as nt from supplier window w as (partition by s_nationkey order by s_acctbal, s_suppkey)", "select s_suppkey, (row_number() over w)::int as rn, (rank() over w)::int as rk, round(percent_rank() over w, 6) as pr, round(cume_dist() over w, 6) as cd, (ntile(4) over w)::int as nt from supplier window w as (partition by s_nationkey order by s_acctbal, s_suppkey)")
-_TIME = W.partitionBy("i0", "i1").orderBy("i2")
-q("win_sweep_delta", lambda s, d: tb(s, d).select("i0", "i1", "i2", (F.col("v") - F.lag("v").over(_TIME)).alias("delta"), F.lead("v").over(_TIME).alias("after")), f"select i0, i1, i2, v - lag(v) over w as delta, lead(v) over w as after from ({TB}) window w as (partition by i0, i1 order by i2)")
-q("win_first_last_nth", lambda s, d: tb(s, d).select("i0", "i1", "i2", F.first("v").over(_TIME).alias("a"), F.last("v").over(_TIME.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("b"), F.nth_value("v", 2).over(_TIME.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("c")), f"select i0, i1, i2, first_value(v) over w as a, last_value(v) over (w rows between unbounded preceding and unbounded following) as b, nth_value(v, 2) over (w rows between unbounded preceding and unbounded following) as c from ({TB}) window w as (partition by i0, i1 order by i2)")
-q("win_running_energy", lambda s, d: tb(s, d).select("i0", "i1", "i2", F.sum("v").over(_TIME.rowsBetween(W.unboundedPreceding, 0)).alias("run")), f"select i0, i1, i2, sum(v) over (partition by i0, i1 order by i2 rows unbounded preceding) as run from ({TB})")
-q("win_moving_rows", lambda s, d: tb(s, d).select("i0", "i1", "i2", F.sum("v").over(_TIME.rowsBetween(-3, 0)).alias("run")), f"select i0, i1, i2, sum(v) over (partition by i0, i1 order by i2 rows between 3 preceding and current row) as run from ({TB})")
+
+
+def _time():
+    return W.partitionBy("i0", "i1").orderBy("i2")
+
+
+q("win_sweep_delta", lambda s, d: tb(s, d).select("i0", "i1", "i2", (F.col("v") - F.lag("v").over(_time())).alias("delta"), F.lead("v").over(_time()).alias("after")), f"select i0, i1, i2, v - lag(v) over w as delta, lead(v) over w as after from ({TB}) window w as (partition by i0, i1 order by i2)")
+q("win_first_last_nth", lambda s, d: tb(s, d).select("i0", "i1", "i2", F.first("v").over(_time()).alias("a"), F.last("v").over(_time().rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("b"), F.nth_value("v", 2).over(_time().rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("c")), f"select i0, i1, i2, first_value(v) over w as a, last_value(v) over (w rows between unbounded preceding and unbounded following) as b, nth_value(v, 2) over (w rows between unbounded preceding and unbounded following) as c from ({TB}) window w as (partition by i0, i1 order by i2)")
+q("win_running_energy", lambda s, d: tb(s, d).select("i0", "i1", "i2", F.sum("v").over(_time().rowsBetween(W.unboundedPreceding, 0)).alias("run")), f"select i0, i1, i2, sum(v) over (partition by i0, i1 order by i2 rows unbounded preceding) as run from ({TB})")
+q("win_moving_rows", lambda s, d: tb(s, d).select("i0", "i1", "i2", F.sum("v").over(_time().rowsBetween(-3, 0)).alias("run")), f"select i0, i1, i2, sum(v) over (partition by i0, i1 order by i2 rows between 3 preceding and current row) as run from ({TB})")
 both("win_range_7d", "select event_id, count(*) over (partition by user_id order by ts range between interval 7 days preceding and current row) as n from events")
 q("win_whole_partition", lambda s, d: tb(s, d).select("i0", "i1", "i2", F.round(F.try_divide(F.col("v"), F.sum("v").over(W.partitionBy("i0"))), 8).alias("share")), f"select i0, i1, i2, round(v / nullif(sum(v) over (partition by i0), 0), 8) as share from ({TB})")
 q("win_percentile_curve", lambda s, d: tb(s, d).select("i0", "i1", "i2", F.round(F.cume_dist().over(W.partitionBy("i2").orderBy("v")), 8).alias("k")), f"select i0, i1, i2, round(cume_dist() over (partition by i2 order by v), 8) as k from ({TB})")
