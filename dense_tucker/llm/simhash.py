@@ -176,20 +176,22 @@ def links(distinct: DataFrame, radius: int = RADIUS, hot_rows: int = HOT_ROWS) -
 def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     """node, root (smallest node of its component) for all nodes of edges (a, b), by alternating star contraction.
 
-    Large stars hang a node's greater neighbours on its least one, small stars its lesser ones; each round is
-    written to the shared folder. Ends when a round changes nothing, or raises after `rounds`.
+    Large stars hang a node's greater neighbours on its least one, small stars its lesser ones. Every step is
+    written to the shared folder; so both sides of each join are plain tables, and Spark can split the rows of
+    a star's centre among tasks. Ends when a round changes nothing, or raises after `rounds`.
     """
     now = materialise(edges.selectExpr("greatest(a, b) as a", "least(a, b) as b").where("a <> b").distinct(), "edges")
     before = None
     for _ in range(rounds):
         both = now.select("a", "b").union(now.selectExpr("b as a", "a as b"))
-        least = both.groupBy("a").agg(F.min("b").alias("m")).selectExpr("a", "least(a, m) as m")
-        large = both.where("b > a").join(least, "a").selectExpr("b as a", "m as b")
-        low = large.groupBy("a").agg(F.min("b").alias("m"))
+        least = materialise(both.groupBy("a").agg(F.min("b").alias("m")).selectExpr("a", "least(a, m) as m"), "stars")
+        large = materialise(both.where("b > a").join(least, "a").selectExpr("b as a", "m as b"), "large-stars")
+        low = materialise(large.groupBy("a").agg(F.min("b").alias("m")), "lows")
         small = large.join(low, "a").selectExpr("b as a", "m as b").where("a <> b").union(low.selectExpr("a", "m as b")).distinct()
         after = materialise(small, "edges")
         state = after.agg(F.count("*"), F.expr("sum(cast(xxhash64(a, b) as decimal(38, 0)))")).first()
-        discard(now)
+        for table in (now, least, large, low):
+            discard(table)
         now = after
         if tuple(state) == before:
             return now.selectExpr("a as node", "b as root")
@@ -202,8 +204,8 @@ def cluster(docs: DataFrame, text: str = "text", size: int = SHINGLE, radius: in
     marks = materialise(fingerprints(docs, text, size), "fingerprints")
     distinct = materialise(marks.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "distinct-fingerprints")
     roots = components(links(distinct.select("fp"), radius, hot_rows))
-    linked = distinct.join(roots, distinct.fp == roots.node, "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
-    named = linked.groupBy("root").agg(F.min("first_id").alias("component_id"))
+    linked = materialise(distinct.join(roots, distinct.fp == roots.node, "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root")), "rooted")
+    named = materialise(linked.groupBy("root").agg(F.min("first_id").alias("component_id")), "named")
     by_fp = materialise(linked.join(named, "root").select("fp", "component_id"), "classes")
     return marks.join(by_fp, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
