@@ -13,13 +13,15 @@ Other columns are ignored.
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import partial
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import lexing
-from .common import held_out, map_texts, passes, texts_of
+from .common import bounded_batches, held_out, map_texts, passes, texts_of
 
 TRAIN_DOCS = 6_000
 THRESHOLD = 0.7
@@ -205,18 +207,19 @@ def train(docs: DataFrame, labels: DataFrame, most: int = TRAIN_DOCS) -> Field:
     return fit(np.concatenate(bins), np.concatenate(row), y)
 
 
-def score(docs: DataFrame, field: Field, threshold: float = THRESHOLD, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """doc_id, score, predicted, n_lines and n_bad_lines of every document."""
+def _judge(field: Field, threshold: float, data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> dict[str, np.ndarray]:
+    """score, predicted, n_lines and n_bad_lines of each text."""
+    bins, row, length = line_features(data, starts, ends)
+    n = np.bincount(row, minlength=len(starts))
+    p, _, _ = field.marginals(field.emissions(_slots(bins, row)), np.cumsum(n) - n, n)
+    total = np.bincount(row, length, minlength=len(starts))
+    mean = np.clip(np.bincount(row, p * length, minlength=len(starts)) / np.maximum(1, total), 0, 1)
+    return {"score": mean, "predicted": (mean >= threshold).astype(np.int32), "n_lines": n.astype(np.int64), "n_bad_lines": np.bincount(row[p < 0.5], minlength=len(starts)).astype(np.int64)}
 
-    def work(data, starts, ends):
-        bins, row, length = line_features(data, starts, ends)
-        n = np.bincount(row, minlength=len(starts))
-        p, _, _ = field.marginals(field.emissions(_slots(bins, row)), np.cumsum(n) - n, n)
-        total = np.bincount(row, length, minlength=len(starts))
-        mean = np.clip(np.bincount(row, p * length, minlength=len(starts)) / np.maximum(1, total), 0, 1)
-        return {"score": mean, "predicted": (mean >= threshold).astype(np.int32), "n_lines": n.astype(np.int64), "n_bad_lines": np.bincount(row[p < 0.5], minlength=len(starts)).astype(np.int64)}
 
-    return map_texts(docs, "score double, predicted int, n_lines long, n_bad_lines long", work, keep=keep, text=text)
+def score(docs: DataFrame, field: Field, threshold: float = THRESHOLD, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """doc_id, score, predicted, n_lines and n_bad_lines of every document."""
+    return map_texts(docs, "score double, predicted int, n_lines long, n_bad_lines long", partial(_judge, field, threshold), keep=keep, text=text)
 
 
 def apply(docs: DataFrame, labels: DataFrame) -> DataFrame:
@@ -224,11 +227,20 @@ def apply(docs: DataFrame, labels: DataFrame) -> DataFrame:
     return score(docs, field).withColumn("held_out", F.coalesce(held_out(F.col("doc_id")), F.lit(False)))
 
 
-def keep(docs: DataFrame, labelled: DataFrame, labels: DataFrame) -> DataFrame:
+def keep(docs: DataFrame, labelled: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """Documents that the classifier accepts, with all their columns; `labelled` holds the texts of `labels`."""
-    field = train(labelled, labels)
-    carried = docs.select(F.struct(*docs.columns).alias("row"), F.col("text"))
-    return score(carried, field, keep=("row",)).where("predicted = 1").select("row.*")
+    field, place = train(labelled, labels), docs.columns.index("text")
+    bounded_batches(docs.sparkSession)
+
+    def run(batches):
+        for batch in batches:
+            data, starts, ends = texts_of(batch.column(place))
+            for a, b in passes(starts, ends):
+                low, high = int(starts[a]), int(ends[b - 1])
+                good = _judge(field, threshold, data[low:high], starts[a:b] - low, ends[a:b] - low)["predicted"] == 1
+                yield batch.slice(a, b - a).filter(pa.array(good))
+
+    return docs.mapInArrow(run, docs.schema)
 
 
 __all__ = ["Field", "apply", "fit", "keep", "line_features", "score", "train"]
