@@ -33,11 +33,11 @@ def timed_sweeps(spark: SparkSession, cells: DataFrame, meta: TensorMeta, p: int
         seen = D.Measured()
         D.sweep(t, D.Decomposition(meta, np.zeros(meta.K), D.random_init(meta)), made, policy, measured=seen)
         t.unpersist()
-        rows.append((meta.name, name, float(made.load), float(made.volume), seen.wall_s, seen.ttm_s, seen.comm_s, seen.svd_s, seen.core_s, seen.ttms, seen.regrids, float(seen.moved_elements), seen.peak_live))
+        rows.append((meta.name, name, float(made.load), float(made.volume), seen.wall_s, seen.ttm_s, seen.comm_s, seen.svd_s, seen.core_s, seen.ttms, seen.regrids, float(seen.moved_elements), seen.peak_live, seen.shuffle_bytes, seen.shuffle_task_s, seen.compute_task_s))
     return rows
 
 
-_TIMED = "tensor_id string, strategy string, load double, volume double, wall_s double, ttm_s double, comm_s double, svd_s double, core_s double, ttms int, regrids int, moved double, peak_live int"
+_TIMED = "tensor_id string, strategy string, load double, volume double, wall_s double, ttm_s double, comm_s double, svd_s double, core_s double, ttms int, regrids int, moved double, peak_live int, shuffle_bytes long, shuffle_task_s double, compute_task_s double"
 
 
 def _table_meta(spark, d, name, K=None) -> TensorMeta:
@@ -129,7 +129,8 @@ def w4_volume_static_vs_dynamic(s, d):
 
 
 def w4_comm_time(s, d):
-    return M.normalise(s.createDataFrame(timed_sweeps(s, builders.filled_cells(s, d, "tj"), _table_meta(s, d, "tj"), 8, ("opt_static", "opt_dynamic")), _TIMED), "moved")
+    timed = s.createDataFrame(timed_sweeps(s, builders.filled_cells(s, d, "tj"), _table_meta(s, d, "tj"), 8, ("opt_static", "opt_dynamic")), _TIMED)
+    return M.normalise(M.normalise(timed, "moved"), "shuffle_bytes")
 
 
 def w5_scaling(s, d):

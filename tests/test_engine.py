@@ -6,6 +6,7 @@ from dense_tucker.model.meta import TensorMeta
 from dense_tucker.operators import blocks as B
 from dense_tucker.operators import cells as C
 from dense_tucker.operators import decompose as D
+from dense_tucker.operators.stage_metrics import observed
 from dense_tucker.plans.planner import STRATEGIES, strategy
 
 SHAPE = (6, 5, 4)
@@ -93,3 +94,16 @@ def test_measured_sweep(spark, array):
     t = B.distribute(C.from_array(spark, array), SHAPE, made.scheme.grids[0])
     D.sweep(t, D.seq_init(t, meta), made, measured=seen)
     assert seen.ttms == sum(r["kind"] == "mode" for r in made.rows()) and seen.regrids == made.scheme.regrids and seen.wall_s > 0
+    assert (seen.shuffle_bytes > 0) == (seen.moved_elements > 0) and seen.compute_task_s > 0
+
+
+def test_observed_stages(spark):
+    with observed(spark) as quiet:
+        spark.range(100).selectExpr("id + 1 as x").write.format("noop").mode("overwrite").save()
+    with observed(spark) as busy:
+        spark.range(100).repartition(5, "id").write.format("noop").mode("overwrite").save()
+    with observed(spark) as idle:
+        pass
+    assert quiet.stages == 1 and quiet.shuffle_bytes == 0 and quiet.task_s > 0
+    assert busy.stages == 2 and busy.shuffle_bytes == busy.read_bytes > 0
+    assert idle.stages == 0 and spark.sparkContext.getLocalProperty("spark.jobGroup.id") is None
