@@ -15,8 +15,9 @@ import numpy as np
 
 from . import lexing
 
-#: Distinct pieces a worker keeps (about 40 bytes each) before it starts anew.
-CACHE_PIECES = 3_000_000
+#: Distinct pieces (up to about 50 bytes each) and their ids that a worker keeps before it starts anew.
+CACHE_PIECES = 1_500_000
+CACHE_IDS = 16_000_000
 _CLOSING = np.zeros(256, bool)
 _CLOSING[list(b".,!?;:|#$%&*)]")] = True
 _ALNUM = np.zeros(256, bool)
@@ -66,10 +67,10 @@ class Encoder:
 
     def _clear(self, slots: int) -> None:
         self.keys = np.zeros(slots, np.uint64)
-        self.values = np.zeros(slots, np.int64)  # the entry's number
+        self.values = np.zeros(slots, np.int32)  # the entry's number
         self.count, self.used = 0, 0
-        self.begin = np.zeros(slots, np.int64)
-        self.length = np.zeros(slots, np.int64)
+        self.begin = np.zeros(slots // 2, np.int64)  # at most half of the slots are filled
+        self.length = np.zeros(slots // 2, np.int32)
         self.pool = np.zeros(slots * 4, self.width)
 
     def _find(self, keys: np.ndarray) -> np.ndarray:
@@ -104,8 +105,8 @@ class Encoder:
             slots = len(self.keys)
             while 2 * (self.count + len(keys)) > slots:
                 slots *= 2
-            self.keys, self.values = np.zeros(slots, np.uint64), np.zeros(slots, np.int64)
-            self.begin, self.length = np.resize(self.begin, slots), np.resize(self.length, slots)
+            self.keys, self.values = np.zeros(slots, np.uint64), np.zeros(slots, np.int32)
+            self.begin, self.length = np.resize(self.begin, slots // 2), np.resize(self.length, slots // 2)
             self._place(held, entries)
         batch = getattr(self.library, "encode_batch_fast", self.library.encode_batch)
         made = [e.ids for i in range(0, len(pieces), 5_000) for e in batch(pieces[i : i + 5_000], add_special_tokens=False)]
@@ -125,7 +126,7 @@ class Encoder:
         """All ids of these texts in a row, and each text's number of ids."""
         if not len(data):
             return np.zeros(0, self.width), np.zeros(len(starts), np.int64)
-        if self.count > self.limit:
+        if self.count > self.limit or self.used > CACHE_IDS:
             self._clear(1 << 16)
         at = borders(data, starts, ends)
         at = at[: int(np.searchsorted(at, len(data))) + 1]
