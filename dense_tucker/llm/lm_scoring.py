@@ -1,180 +1,262 @@
 """Cross-entropy difference of two matched n-gram models.
 
 A target model (trusted documents) and a background model (all documents) of the same form share one
-vocabulary, drawn from the counts of the whole corpus; other words are one unknown word. Each model mixes
-its smoothed unigram with hashed bigram counts. A document's score is its mean loss per word under the
+vocabulary: every word that occurs at least twice in the corpus; the other words are one unknown word. Each
+model mixes its smoothed unigram with its bigram. A document's score is its mean loss per word under the
 target model less that under the background model: the lower, the more like the target.
 
+Word and bigram counts are exact (words and bigrams are told apart by 64-bit hashes) and nothing bounds how
+many there are. No task or driver holds a whole table of counts: chunks of texts send their distinct words to
+buckets of the hash range, a bucket sums over all chunks and answers each, and then the same goes for bigrams.
+The number of buckets grows with the corpus, so a bucket's size does not.
+
 Words are lower-cased runs of other than white space. Null and empty texts have no words and zero losses.
-Repeated rows count as often as they occur; tables may be empty; other columns are ignored. The vocabulary's
-bound (`words`) and the number of bigram buckets bound what is broadcast.
+Repeated rows count as often as they occur; tables may be empty; other columns are ignored.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark import TaskContext
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import lexing
-from .common import bounded_batches, broadcast_if_small, map_texts, passes, texts_of
+from .common import bounded_batches, broadcast_if_small, discard, materialise, passes, texts_of
 
-WORDS = 1 << 17
-BIGRAMS = 1 << 18
 MIX = 0.5
 #: Score up to which a document counts as target-like.
 THRESHOLD = 0.8
-_BLOCK = 1 << 13
-#: Distinct words a task holds before it hands on its counts.
-_HELD = 1 << 20
+#: Words and rows after which a chunk of texts is closed.
+CHUNK_WORDS = 1 << 19
+CHUNK_ROWS = 100_000
+#: Keys that a bucket of the hash range gets from all chunks together, about.
+BUCKET_KEYS = 1 << 20
+BATCH_BYTES = 4 << 20
+_ANSWER = "chunk long, bucket long, target binary, background binary, n_vocab long, unknown_target long, unknown_background long, all_target long, all_background long"
 
 
-def word_counts(docs: DataFrame, text: str = "text") -> DataFrame:
-    """word (64-bit hash) and n over all texts; tasks pre-aggregate."""
-    bounded_batches(docs.sparkSession)
+def _pack(x: np.ndarray) -> bytes:
+    """Numbers by planes of equal significance, compressed, behind their count."""
+    planes = np.ascontiguousarray(x).view(np.uint8).reshape(len(x), x.itemsize).T.tobytes()
+    return len(x).to_bytes(8, "little") + pa.compress(planes, "zstd", asbytes=True)
 
-    def run(batches):
-        keys, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-        for batch in batches:
-            data, starts, ends = texts_of(batch.column(0))
-            for a, b in passes(starts, ends):
-                low = int(starts[a])
-                h, _, _, _ = lexing.words(data[low : int(ends[b - 1])], starts[a:b] - low, ends[a:b] - low, lower=True)
-                own, n = np.unique(h, return_counts=True)
-                both = np.concatenate([keys, own])
-                keys, where = np.unique(both, return_inverse=True)
-                counts = np.bincount(where, np.concatenate([counts, n]), minlength=len(keys)).astype(np.int64)
-                if len(keys) > _HELD:
-                    yield from pa.Table.from_arrays([pa.array(keys.view(np.int64)), pa.array(counts)], names=["word", "n"]).to_batches(100_000)
-                    keys, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-        yield from pa.Table.from_arrays([pa.array(keys.view(np.int64)), pa.array(counts)], names=["word", "n"]).to_batches(100_000)
-
-    return docs.select(F.col(text).alias("text")).mapInArrow(run, "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
-
-
-def vocabulary(counts: DataFrame, words: int = WORDS) -> np.ndarray:
-    """Sorted hashes of the commonest words, at most `words`, all of one frequency band or none; single ones never."""
-    band = F.floor(F.log("n") / F.log(F.lit(1.05)))
-    banded = counts.where("n > 1").withColumn("band", band)
-    sizes = sorted(((r[0], r[1]) for r in banded.groupBy("band").agg(F.count("*")).collect()), reverse=True)  # a few hundred rows
-    least, total = None, 0
-    for b, n in sizes:
-        if total + n > words:
-            break
-        least, total = b, total + n
-    if least is None:
-        return np.zeros(0, np.uint64)
-    rows = banded.where(F.col("band") >= least).select("word").toArrow()  # at most `words` rows
-    return np.sort(rows.column("word").to_numpy().view(np.uint64))
-
-
-def word_ids(h: np.ndarray, vocab: np.ndarray) -> np.ndarray:
-    """1 + place in the vocabulary, 0 for the unknown word."""
-    if not len(vocab):
-        return np.zeros(len(h), np.int64)
-    at = np.minimum(np.searchsorted(vocab, h), len(vocab) - 1)
-    return np.where(vocab[at] == h, at + 1, 0)
-
-
-def _pairs(ids: np.ndarray, row: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray]:
-    """Bucket of each word with the one before it, and whether there is one before it in the text."""
-    before = np.zeros(len(ids), np.int64)
-    inside = np.zeros(len(ids), bool)
-    if len(ids) > 1:
-        before[1:] = ids[:-1]
-        inside[1:] = row[1:] == row[:-1]
-    key = (before.astype(np.uint64) << np.uint64(32)) | ids.astype(np.uint64)
-    return (lexing.mix(key) % np.uint64(buckets)).astype(np.int64), inside
-
-
-@dataclass
-class Models:
-    vocab: np.ndarray
-    unigrams: np.ndarray  # 2 x (vocabulary + 1): target, background
-    bigrams: np.ndarray  # 2 x buckets
-    mix: float = MIX
-
-    def losses(self, ids: np.ndarray, row: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Negative log probability of each word under both models."""
-        bucket, inside = _pairs(ids, row, self.bigrams.shape[1])
-        before = np.zeros(len(ids), np.int64)
-        if len(ids) > 1:
-            before[1:] = ids[:-1]
-        out = []
-        for uni, pair in zip(self.unigrams, self.bigrams, strict=True):
-            smooth = (uni + 0.5) / (uni.sum() + 0.5 * len(uni))
-            p = smooth[ids]
-            seen = uni[before]
-            with_before = np.minimum(pair[bucket], seen) / np.maximum(1, seen)
-            p = np.where(inside & (seen > 0), self.mix * with_before + (1 - self.mix) * p, p)
-            out.append(-np.log(p))
-        return out[0], out[1]
-
-
-def count_models(docs: DataFrame, trusted: DataFrame, vocab: np.ndarray, buckets: int = BIGRAMS, text: str = "text") -> Models:
-    """Counts of both models over all documents; tasks send dense blocks of counters, summed by block."""
+
+def _unpack(raw: bytes, kind: type) -> np.ndarray:
+    size = np.dtype(kind).itemsize
+    planes = pa.decompress(raw[8:], size * int.from_bytes(raw[:8], "little"), "zstd", asbytes=True)
+    return np.ascontiguousarray(np.frombuffer(planes, np.uint8).reshape(size, -1).T).reshape(-1).view(kind)
+
+
+def _small_batches(spark: SparkSession) -> None:
+    """Chunks and their requests are long rows: bound the bytes of an Arrow batch too."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+
+
+def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
+    """Rows one by one, so that one chunk at a time is unpacked."""
+    for batch in batches:
+        for i in range(batch.num_rows):
+            yield batch.slice(i, 1).to_pylist()[0]
+
+
+def chunks(docs: DataFrame, trusted: DataFrame, text: str = "text", words: int = CHUNK_WORDS) -> DataFrame:
+    """chunk, doc_ids, lengths (words of each document), marks (trusted), keys (distinct words, the commonest first), tokens (places in keys) and their numbers."""
     bounded_batches(docs.sparkSession)
     ids = broadcast_if_small(trusted.select(F.col("doc_id").alias("__id")).where("__id is not null").distinct().withColumn("__good", F.lit(True)))
-    marked = docs.select(F.col("doc_id").alias("__id"), F.col(text).alias("__text")).join(ids, "__id", "left").select("__text", F.coalesce("__good", F.lit(False)).alias("__good"))
-    size = len(vocab) + 1
-    total = -(-(size + buckets) // _BLOCK) * _BLOCK
+    marked = docs.select(F.col("doc_id").alias("__id"), F.col(text).alias("__text")).join(ids, "__id", "left").select("__id", "__text", F.coalesce("__good", F.lit(False)).alias("__good"))
+    kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
-        counts = np.zeros((2, total), np.int64)
+        part, number = TaskContext.get().partitionId(), 0
+        held: list[tuple] = []
+
+        def close() -> pa.RecordBatch:
+            ids = pa.concat_arrays([x[0] for x in held])
+            marks, lengths, hashes = (np.concatenate([x[k] for x in held]) for k in (1, 2, 3))
+            held.clear()
+            keys, tokens, n = np.unique(hashes, return_inverse=True, return_counts=True)
+            order = np.argsort(-n, kind="stable")
+            rank = np.empty(len(keys), np.int32)
+            rank[order] = np.arange(len(keys))
+            keys, tokens = keys[order], rank[tokens]
+            return pa.RecordBatch.from_arrays(
+                [
+                    pa.array([part << 32 | number], pa.int64()),
+                    pa.ListArray.from_arrays(pa.array([0, len(ids)], pa.int32()), ids),
+                    *(pa.array([_pack(x)], pa.binary()) for x in (lengths.astype(np.int32), marks, keys, tokens)),
+                    *(pa.array([len(x)], pa.int64()) for x in (keys, tokens)),
+                ],
+                names=["chunk", "doc_ids", "lengths", "marks", "keys", "tokens", "n_keys", "n_tokens"],
+            )
+
         for batch in batches:
-            data, starts, ends = texts_of(batch.column(0))
-            mark = batch.column(1).to_numpy(zero_copy_only=False).astype(bool)
+            data, starts, ends = texts_of(batch.column(1))
+            marks = batch.column(2).to_numpy(zero_copy_only=False).astype(bool)
             for a, b in passes(starts, ends):
                 low = int(starts[a])
                 h, _, _, row = lexing.words(data[low : int(ends[b - 1])], starts[a:b] - low, ends[a:b] - low, lower=True)
-                own = word_ids(h, vocab)
-                bucket, inside = _pairs(own, row, buckets)
-                good = mark[a:b][row]
-                for k, chosen in ((0, good), (1, np.ones(len(own), bool))):
-                    counts[k] += np.bincount(own[chosen], minlength=total)
-                    counts[k] += np.bincount(bucket[inside & chosen] + size, minlength=total)
-        used = np.flatnonzero(counts[1].reshape(-1, _BLOCK).any(1))
-        if len(used):
-            parts = counts.reshape(2, -1, _BLOCK)
-            yield pa.RecordBatch.from_arrays([pa.array(used), *(pa.array([parts[k, i].tobytes() for i in used.tolist()], pa.binary()) for k in (0, 1))], names=["block", "target", "background"])
+                held.append((batch.column(0).slice(a, b - a), marks[a:b], np.bincount(row, minlength=b - a), h))
+                if sum(len(x[3]) for x in held) >= words or sum(len(x[0]) for x in held) >= CHUNK_ROWS:
+                    yield close()
+                    number += 1
+        if held:
+            yield close()
+
+    return marked.mapInArrow(run, f"chunk long, doc_ids array<{kind}>, lengths binary, marks binary, keys binary, tokens binary, n_keys long, n_tokens long")
+
+
+def _requests(chunk: int, keys: np.ndarray, target: np.ndarray, background: np.ndarray, buckets: int) -> pa.RecordBatch:
+    """A chunk's sorted keys and their counts, one row for each bucket of the hash range."""
+    bucket = ((keys >> np.uint64(32)) * np.uint64(buckets)) >> np.uint64(32)
+    named, heads = np.unique(bucket, return_index=True)
+    cuts = list(zip(heads.tolist(), [*heads[1:].tolist(), len(keys)], strict=True)) if len(keys) else []
+    steps = [_pack(np.diff(keys[a:b], prepend=np.uint64(0))) for a, b in cuts]
+    counts = [[_pack(x[a:b].astype(np.int32)) for a, b in cuts] for x in (target, background)]
+    return pa.RecordBatch.from_arrays(
+        [pa.array(named.astype(np.int64)), pa.array([chunk] * len(cuts), pa.int64()), *(pa.array(x, pa.binary()) for x in (steps, *counts))],
+        names=["bucket", "chunk", "keys", "target", "background"],
+    )
+
+
+def _answers(requests: DataFrame) -> DataFrame:
+    """The counts over all chunks of each chunk's keys, and on one row of each bucket its part of the totals."""
 
     def add(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums = np.zeros((2, _BLOCK), np.int64)
-        for batch in batches:
-            for k, name in enumerate(("target", "background")):
-                for blob in batch.column(name):
-                    sums[k] += np.frombuffer(blob.as_buffer(), np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int64()), *(pa.array([sums[k].tobytes()], pa.binary()) for k in (0, 1))], names=["block", "target", "background"])
+        rows = [r for batch in batches for r in batch.select(["chunk", "keys", "target", "background"]).to_pylist()]
+        parts = [np.cumsum(_unpack(r["keys"], np.uint64), dtype=np.uint64) for r in rows]
+        keys, where = np.unique(np.concatenate(parts), return_inverse=True)
+        ends = np.cumsum([len(x) for x in parts])[:-1]
+        sums = [np.bincount(where, np.concatenate([_unpack(r[k], np.int32) for r in rows]), minlength=len(keys)).astype(np.int64) for k in ("target", "background")]
+        single = sums[1] < 2
+        totals = [int((~single).sum()), *(int(x[single].sum()) for x in sums), *(int(x.sum()) for x in sums)]
+        yield pa.RecordBatch.from_arrays(
+            [
+                pa.array([r["chunk"] for r in rows], pa.int64()),
+                pa.array([key[0].as_py()] * len(rows), pa.int64()),
+                *(pa.array([_pack(y) for y in np.split(x[where], ends)], pa.binary()) for x in sums),
+                *(pa.array([n] + [0] * (len(rows) - 1), pa.int64()) for n in totals),
+            ],
+            names=["chunk", "bucket", "target", "background", "n_vocab", "unknown_target", "unknown_background", "all_target", "all_background"],
+        )
+
+    return requests.groupBy("bucket").applyInArrow(add, _ANSWER)
+
+
+_REQUEST = "bucket long, chunk long, keys binary, target binary, background binary"
+
+
+def _word_requests(parts: DataFrame, buckets: int) -> DataFrame:
+    def run(batches):
+        for r in _rows(batches):
+            keys, tokens = _unpack(r["keys"], np.uint64), _unpack(r["tokens"], np.int32)
+            good = np.repeat(_unpack(r["marks"], np.bool_), _unpack(r["lengths"], np.int32))
+            order = np.argsort(keys)
+            yield _requests(r["chunk"], keys[order], *(np.bincount(x, minlength=len(keys))[order] for x in (tokens[good], tokens)), buckets)
+
+    return parts.select("chunk", "lengths", "marks", "keys", "tokens").mapInArrow(run, _REQUEST)
+
+
+def _pairs(r: dict) -> tuple[np.ndarray, ...]:
+    """Of a chunk's row: places of words after another one of their text, sorted distinct bigrams, and the bigram of each such place."""
+    keys = np.where(_unpack(r["word_background"], np.int64) > 1, _unpack(r["keys"], np.uint64), np.uint64(0))
+    tokens, lengths = _unpack(r["tokens"], np.int32), _unpack(r["lengths"], np.int32).astype(np.int64)
+    inside = np.ones(len(tokens), bool)
+    inside[(np.cumsum(lengths) - lengths)[lengths > 0]] = False
+    at = np.flatnonzero(inside)
+    pairs, where = np.unique(lexing.mix(lexing.mix(keys)[tokens[at - 1]] + keys[tokens[at]]), return_inverse=True)
+    return at, pairs, where
+
+
+def _pair_requests(parts: DataFrame, buckets: int) -> DataFrame:
+    def run(batches):
+        for r in _rows(batches):
+            at, pairs, where = _pairs(r)
+            good = np.repeat(_unpack(r["marks"], np.bool_), _unpack(r["lengths"], np.int32))[at]
+            yield _requests(r["chunk"], pairs, np.bincount(where[good], minlength=len(pairs)), np.bincount(where, minlength=len(pairs)), buckets)
+
+    return parts.select("chunk", "lengths", "marks", "keys", "tokens", "word_background").mapInArrow(run, _REQUEST)
+
+
+def _gathered(parts: DataFrame, answers: DataFrame):
+    """Rows of chunks and of their answers by chunk; the chunk's own row has no bucket."""
+    return parts.unionByName(answers.select("chunk", "bucket", "target", "background"), allowMissingColumns=True).groupBy("chunk")
+
+
+def _read(batches: Iterator[pa.RecordBatch], fields: list[str]) -> tuple[pa.Array, dict, np.ndarray, np.ndarray]:
+    """doc_ids and fields of the chunk's own row; the answered counts in the order of its keys."""
+    ids, own, found = None, {}, []
+    for batch in batches:
+        for i, bucket in enumerate(batch.column("bucket").to_pylist()):
+            if bucket is None:
+                ids = batch.column("doc_ids")[i].values
+                own = {k: batch.column(k)[i].as_py() for k in fields}
+            else:
+                found.append((bucket, *(_unpack(batch.column(k)[i].as_py(), np.int64) for k in ("target", "background"))))
+    found.sort(key=lambda x: x[0])
+    none = [np.zeros(0, np.int64)]
+    return ids, own, *(np.concatenate([x[k] for x in found] or none) for k in (1, 2))
+
+
+def count_words(parts: DataFrame, bucket_keys: int = BUCKET_KEYS) -> tuple[DataFrame, dict[str, int]]:
+    """Chunks with both models' counts of their distinct words, and the totals of the corpus."""
+    fields = ["lengths", "marks", "keys", "tokens"]
+    _small_batches(parts.sparkSession)
+    buckets = 1 + (parts.agg(F.sum("n_keys")).first()[0] or 0) // bucket_keys
+    answers = materialise(_answers(_word_requests(parts, buckets)), "word-answers")
+    names = ["n_vocab", "unknown_target", "unknown_background", "all_target", "all_background"]
+    totals = {k: v or 0 for k, v in answers.agg(*[F.sum(k).alias(k) for k in names]).first().asDict().items()}
+
+    def join(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids, own, *found = _read(batches, fields)
+        place = np.argsort(np.argsort(_unpack(own["keys"], np.uint64)))
+        yield pa.RecordBatch.from_arrays(
+            [pa.array([key[0].as_py()], pa.int64()), pa.ListArray.from_arrays(pa.array([0, len(ids)], pa.int32()), ids)]
+            + [pa.array([own[k]], pa.binary()) for k in fields]
+            + [pa.array([_pack(x[place])], pa.binary()) for x in found],
+            names=["chunk", "doc_ids", *fields, "word_target", "word_background"],
+        )
 
-    made = marked.mapInArrow(run, "block long, target binary, background binary").groupBy("block").applyInArrow(add, "block long, target binary, background binary")
-    flat = np.zeros((2, total), np.int64)
-    for r in made.collect():  # one row for each block of a fixed number of counters
-        at = r["block"] * _BLOCK
-        flat[0, at : at + _BLOCK] = np.frombuffer(r["target"], np.int64)
-        flat[1, at : at + _BLOCK] = np.frombuffer(r["background"], np.int64)
-    return Models(vocab, flat[:, :size].astype(np.float32), flat[:, size : size + buckets].astype(np.float32))
+    kind = parts.schema["doc_ids"].dataType.simpleString()
+    schema = f"chunk long, doc_ids {kind}, lengths binary, marks binary, keys binary, tokens binary, word_target binary, word_background binary"
+    made = materialise(_gathered(parts.select("chunk", "doc_ids", *fields), answers).applyInArrow(join, schema), "word-counts")
+    discard(answers)
+    return made, totals
 
 
-def score(docs: DataFrame, models: Models, threshold: float = THRESHOLD, text: str = "text") -> DataFrame:
+def score(counted: DataFrame, totals: dict[str, int], threshold: float = THRESHOLD, mix: float = MIX, bucket_keys: int = BUCKET_KEYS) -> DataFrame:
     """doc_id, n_words, n_unknown, ce_target, ce_background, score and target_like of every document."""
-    shared = docs.sparkSession.sparkContext.broadcast(models)
+    fields = ["lengths", "keys", "tokens", "word_target", "word_background"]
+    _small_batches(counted.sparkSession)
+    answers = _answers(_pair_requests(counted, 1 + totals["all_background"] // (2 * bucket_keys)))  # about two words to a distinct bigram of a chunk
 
-    def work(data, starts, ends):
-        own = shared.value
-        h, _, _, row = lexing.words(data, starts, ends, lower=True)
-        ids = word_ids(h, own.vocab)
-        target, background = own.losses(ids, row)
-        n = np.bincount(row, minlength=len(starts))
-        t, b = (np.bincount(row, x, minlength=len(starts)) / np.maximum(1, n) for x in (target, background))
-        return {"n_words": n.astype(np.int64), "n_unknown": np.bincount(row[ids == 0], minlength=len(starts)).astype(np.int64), "ce_target": t, "ce_background": b, "score": t - b, "target_like": (n > 0) & (t - b <= threshold)}
+    def work(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids, own, *pair_counts = _read(batches, fields)
+        at, _, where = _pairs(own)
+        tokens, lengths = _unpack(own["tokens"], np.int32), _unpack(own["lengths"], np.int32)
+        unknown = _unpack(own["word_background"], np.int64) < 2
+        row = np.repeat(np.arange(len(ids)), lengths)
+        n = np.maximum(1, lengths)
+        losses = []
+        for model, pair in zip(("target", "background"), pair_counts, strict=True):
+            counts = np.where(unknown, totals[f"unknown_{model}"], _unpack(own[f"word_{model}"], np.int64)).astype(np.float64)
+            p = ((counts + 0.5) / (totals[f"all_{model}"] + 0.5 * (totals["n_vocab"] + 1)))[tokens]
+            seen = counts[tokens[at - 1]]
+            p[at] = np.where(seen > 0, mix * pair[where] / np.maximum(1, seen) + (1 - mix) * p[at], p[at])
+            losses.append(np.bincount(row, -np.log(p), minlength=len(ids)) / n)
+        t, b = losses
+        arrays = [ids, pa.array(lengths.astype(np.int64)), pa.array(np.bincount(row[unknown[tokens]], minlength=len(ids)).astype(np.int64)), *map(pa.array, (t, b, t - b, (lengths > 0) & (t - b <= threshold)))]
+        yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "n_words", "n_unknown", "ce_target", "ce_background", "score", "target_like"])
 
-    return map_texts(docs, "n_words long, n_unknown long, ce_target double, ce_background double, score double, target_like boolean", work, text=text)
+    kind = counted.schema["doc_ids"].dataType.elementType.simpleString()
+    return _gathered(counted.drop("marks"), answers).applyInArrow(work, f"doc_id {kind}, n_words long, n_unknown long, ce_target double, ce_background double, score double, target_like boolean")
 
 
-def apply(docs: DataFrame, trusted: DataFrame, words: int = WORDS, buckets: int = BIGRAMS) -> DataFrame:
-    vocab = vocabulary(word_counts(docs), words)
-    return score(docs, count_models(docs, trusted, vocab, buckets))
+def apply(docs: DataFrame, trusted: DataFrame, chunk_words: int = CHUNK_WORDS, bucket_keys: int = BUCKET_KEYS) -> DataFrame:
+    parts = materialise(chunks(docs, trusted, words=chunk_words), "word-chunks")
+    counted, totals = count_words(parts, bucket_keys)
+    discard(parts)
+    return score(counted, totals, bucket_keys=bucket_keys)

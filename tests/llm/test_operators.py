@@ -314,6 +314,33 @@ def test_lm_scoring_orders_by_likeness(docs, labels):
     assert np.median(good) < np.median(bad)
 
 
+def test_lm_scoring_equals_exact_counts(docs, labels):
+    """Vocabulary and bigrams are whole and exact, whatever the chunks and buckets."""
+    trusted = labels.where("quality = 1")
+    good = {r["doc_id"] for r in trusted.collect()}
+    own = {k: re.findall(rb"[^\x20\x09-\x0D]+", t.encode().lower()) for k, t in texts(docs).items()}
+    seen = Counter(w for words in own.values() for w in words)
+    own = {k: [w if seen[w] > 1 else None for w in words] for k, words in own.items()}
+    models = [(Counter(w for x in some for w in x), Counter(p for x in some for p in zip(x, x[1:], strict=False))) for some in ([x for k, x in own.items() if k in good], list(own.values()))]
+    size = sum(n > 1 for n in seen.values()) + 1
+
+    def loss(words, uni, pair):
+        total = sum(uni.values())
+        p = [(uni[w] + 0.5) / (total + 0.5 * size) for w in words]
+        for i in range(1, len(words)):
+            if uni[words[i - 1]]:
+                p[i] = 0.5 * pair[words[i - 1], words[i]] / uni[words[i - 1]] + 0.5 * p[i]
+        return -sum(map(np.log, p)) / max(1, len(words))
+
+    for sizes in ({}, {"chunk_words": 20_000, "bucket_keys": 20_000}):
+        rows = lm_scoring.apply(docs, trusted, **sizes).collect()
+        assert sorted(r["doc_id"] for r in rows) == sorted(own)
+        for r in rows:
+            words = own[r["doc_id"]]
+            assert (r["n_words"], r["n_unknown"]) == (len(words), words.count(None))
+            assert [r["ce_target"], r["ce_background"]] == pytest.approx([loss(words, *m) for m in models], abs=1e-9)
+
+
 def test_empty_tables(spark, empty, labels, small):
     bench = spark.read.parquet(f"{small}/benchmark.parquet")
     trusted = labels.where("quality = 1")
