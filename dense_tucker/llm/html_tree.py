@@ -3,7 +3,8 @@
 Every page is parsed once into its text blocks; a block's place is the chain of block elements above it with
 their classes. The pages of a host are merged into one tree: for each place, how many pages have it, how its
 children are laid out and which contents it bears. A place is important where layouts and contents differ
-from page to page (entropy near 1) and unimportant where they recur. What the elements say of themselves
+from page to page (entropy near 1) and unimportant where they recur. Copies of a page count once, and text that its
+elements mark as main goes only where the page keeps at least as much text that varies. What the elements say of themselves
 (article, nav, class="ad", ...) counts as PRIOR_PAGES pages more, which decides on hosts with few pages.
 Places that name themselves as something else than main text are never restored, however much their contents
 differ. Blocks of unimportant places go; all others are joined in page order. Only places whose verdict differs from
@@ -171,9 +172,14 @@ def blocks(pages: DataFrame) -> DataFrame:
 
 
 def importance(parsed: DataFrame, layout: float = LAYOUT) -> DataFrame:
-    """host, place, pages, prior and importance (0 to 1) of every place of the style trees."""
-    rows = parsed.selectExpr("host", "explode(array_distinct(transform(blocks, b -> struct(b.place, b.key, b.layout, b.prior)))) as b").select("host", "b.*")
-    pages = parsed.selectExpr("host", "explode(array_distinct(transform(blocks, b -> b.place))) as place").groupBy("host", "place").agg(F.count("*").alias("pages"))
+    """host, place, pages, prior and importance (0 to 1) of every place of the style trees.
+
+    Pages of a host with the same main blocks count as one page.
+    """
+    main = "transform(filter(blocks, b -> b.prior >= 0.5), b -> b.key)"
+    copy = f"xxhash64(if(size({main}) > 0, {main}, transform(blocks, b -> b.key))) as copy"
+    rows = parsed.selectExpr("host", copy, "explode(array_distinct(transform(blocks, b -> struct(b.place, b.key, b.layout, b.prior)))) as b").select("host", "copy", "b.*").distinct()
+    pages = parsed.selectExpr("host", copy, "explode(array_distinct(transform(blocks, b -> b.place))) as place").distinct().groupBy("host", "place").agg(F.count("*").alias("pages"))
 
     def entropy(column: str) -> DataFrame:
         return rows.groupBy("host", "place", column).agg(F.count("*").alias("n"), F.sum("prior").alias("prior")).groupBy("host", "place").agg(
@@ -198,6 +204,10 @@ def extract(pages: DataFrame, prior_pages: int = PRIOR_PAGES, least: float = IMP
     turned = materialise(turned, "turned-places")
     few = turned.limit(100_001).count() <= 100_000 and (turned.agg(F.sum(F.size("turned"))).first()[0] or 0) <= BROADCAST_ROWS
     joined = parsed.join(F.broadcast(turned) if few else turned, "host", "left")
-    kept = F.expr("filter(blocks, b -> (b.prior >= 0.5) != coalesce(array_contains(turned, b.place), false))")
-    text = joined.withColumn("kept", kept).withColumn("text", F.expr("array_join(transform(kept, b -> b.text), '\n')"))
+    kept = "filter(blocks, b -> b.prior >= 0.5 and not coalesce(array_contains(turned, b.place), false))"
+    lost = "filter(blocks, b -> b.prior >= 1 and coalesce(array_contains(turned, b.place), false))"
+    length = "aggregate({}, 0L, (n, b) -> n + length(b.text))"
+    # marked main text goes only from pages that keep at least as much which varies
+    whole = f"if({length.format(lost)} > {length.format(kept)}, filter(blocks, b -> b.prior >= 1 or b.prior >= 0.5 and not coalesce(array_contains(turned, b.place), false)), {kept})"
+    text = joined.withColumn("kept", F.expr(whole)).withColumn("text", F.expr("array_join(transform(kept, b -> b.text), '\n')"))
     return text.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"), F.size("blocks").cast("long").alias("n_blocks"), (F.size("blocks") - F.size("kept")).cast("long").alias("n_removed"))

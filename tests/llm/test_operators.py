@@ -307,6 +307,17 @@ def test_style_tree(spark):
     assert got[150]["text"] == "Own text 50" and got[999]["text"] == got[998]["text"] == ""
 
 
+def test_style_tree_keeps_copies(spark):
+    """Articles that recur on a host, whole or under new titles, keep their text; recurring lines beside varying text go."""
+    article = "<body><article><h1>{1}</h1>" + "".join(f"<p>Paragraph {i} of article {{0}}.</p>" for i in range(10)) + "</article>"
+    line = "<body><article><div><p>Shared line</p></div><section><p>Own long text {0} of page {0}</p></section></article>"
+    rows = [(i, f"http://one.x/{i}", article.format(0, "T")) for i in range(300)] + [(1000 + i, f"http://some.x/{i}", article.format(i % 20, "T")) for i in range(300)]
+    rows += [(2000 + i, f"http://title.x/{i}", article.format(0, f"T {i}")) for i in range(300)] + [(3000 + i, f"http://line.x/{i}", line.format(i)) for i in range(300)]
+    got = {r["page_id"]: r["text"].split("\n") for r in html_tree.extract(spark.createDataFrame(rows, "page_id bigint, url string, html string")).collect()}
+    assert all(sum(x.startswith("Paragraph") for x in got[i]) == 10 for i in got if i < 3000)
+    assert all(got[3000 + i] == [f"Own long text {i} of page {i}"] for i in range(300))
+
+
 def test_lm_scoring_orders_by_likeness(docs, labels):
     trusted = labels.where("quality = 1")
     rows = lm_scoring.apply(docs, trusted).join(labels, "doc_id").collect()
