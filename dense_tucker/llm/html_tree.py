@@ -6,8 +6,10 @@ children are laid out and which contents it bears. A place is important where la
 from page to page (entropy near 1) and unimportant where they recur. Copies of a page count once, and text that its
 elements mark as main goes only where the page keeps at least as much text that varies. What the elements say of themselves
 (article, nav, class="ad", ...) counts as PRIOR_PAGES pages more, which decides on hosts with few pages.
-Places that name themselves as something else than main text are never restored, however much their contents
-differ. Blocks of unimportant places go; all others are joined in page order. Only places whose verdict differs from
+It counts both ways: unnamed
+blocks beside main text return where they vary, and blocks whose class, id or role says noise do so on pages that keep
+nothing else; noise by element (nav, footer, ...) never. An article or main element inside a wrapper named as noise is
+main text where the page has none elsewhere. Blocks of unimportant places go; all others are joined in page order. Only places whose verdict differs from
 their elements' own are handed to the pages of a host, so a hot host needs no gathering of its pages.
 
 White space inside a block is one space; a line break inside a block is white space. Null and empty html
@@ -44,10 +46,15 @@ _NOISE_NAMES = {"ad", "ads", "adv", "advert", "adverts", "advertisement", "adver
 _MAIN_NAMES = {"article", "main", "post", "entry", "story"}
 
 
+#: What blocks count for: noise by element, noise by name, unnamed beside main text, unnamed, main text.
+_NEVER, _NAMED, _BESIDE, _PLAIN, _MAIN = 0.0, 0.1, 0.2, 0.6, 1.0
+_WITHOUT = re.compile(r"(?<![a-z0-9_-])(?:has|no|with|without)[-_][a-z0-9_-]*")
+
+
 def _kind(tag: str, names: set[str], inside: bool) -> int:
-    """-1 noise, 1 main text, 0 neither."""
+    """-2 noise by element, -1 noise by name, 1 main text, 0 neither."""
     if tag in _NOISE_TAGS or tag == "header" and not inside:
-        return -1
+        return -2
     if tag in ("article", "main", "body", "html"):
         return 1 if tag in ("article", "main") else 0
     if names & _NOISE_NAMES and not (inside and names <= {"header", *_MAIN_NAMES}):
@@ -56,7 +63,10 @@ def _kind(tag: str, names: set[str], inside: bool) -> int:
 
 
 def parse(page: str) -> tuple[list[str], list[str], list[int]]:
-    """Places, texts and kinds (-1, 0, 1) of a page's blocks."""
+    """Places, texts and kinds of a page's blocks: -2 and -1 noise by element and by name, 0, 1 main text by name, 2 by element.
+
+    Main text by element inside a wrapper whose name says noise is main text where the page has none outside such wrappers.
+    """
     places: list[str] = []
     texts: list[str] = []
     kinds: list[int] = []
@@ -127,11 +137,28 @@ def parse(page: str) -> tuple[list[str], list[str], list[int]]:
             names = set(re.split(r"[^a-z0-9]+", words)) - {""}
             if names:
                 sign += "." + ".".join(sorted(x for x in names if not x.isdigit()))
+            names = set(re.split(r"[^a-z0-9]+", _WITHOUT.sub(" ", words))) - {""}
         above = stack[-1][2]
         own = _kind(tag, names, above > 0)
-        stack.append((tag, f"{stack[-1][1]}/{sign}", -1 if above < 0 or own < 0 else max(above, own)))
+        if own == 1 and tag in ("article", "main"):
+            own = 2
+        if above == -1 and own == 2:
+            own = 3  # within a wrapper named as noise
+        elif above < 0 or own < 0:
+            own = min(above, own)
+        else:
+            own = max(above, own)
+        stack.append((tag, f"{stack[-1][1]}/{sign}", own))
     flush()
-    return places, texts, kinds
+    wrapped = -1 if 2 in kinds else 2
+    return places, texts, [wrapped if k == 3 else k for k in kinds]
+
+
+def _priors(texts: list[str], kinds: list[int]) -> list[float]:
+    """What each block's elements say. A main-like name on less text than the unnamed blocks hold says nothing of these."""
+    named, plain = (sum(len(t) for t, k in zip(texts, kinds, strict=True) if k == kind) for kind in (1, 0))
+    beside = _BESIDE if 2 in kinds or named and named >= plain else _PLAIN
+    return [{-2: _NEVER, -1: _NAMED, 0: beside}.get(k, _MAIN) for k in kinds]
 
 
 def _key(text: str) -> int:
@@ -150,7 +177,6 @@ def blocks(pages: DataFrame) -> DataFrame:
             out = []
             for page in batch.column(2).to_pylist():
                 places, texts, kinds = parse(page or "")
-                has_main = 1 in kinds
                 around = ["", *places, ""]
                 out.append(
                     [
@@ -158,10 +184,10 @@ def blocks(pages: DataFrame) -> DataFrame:
                             "place": _key(p),
                             "layout": _key(around[i] + " " + around[i + 2]),
                             "key": _key(t),
-                            "prior": 0.0 if k < 0 or k == 0 and has_main else 1.0 if k > 0 else 0.6,
+                            "prior": k,
                             "text": t,
                         }
-                        for i, (p, t, k) in enumerate(zip(places, texts, kinds, strict=True))
+                        for i, (p, t, k) in enumerate(zip(places, texts, _priors(texts, kinds), strict=True))
                     ]
                 )
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, schema)], names=["page_id", "url", "blocks"])
@@ -200,14 +226,20 @@ def extract(pages: DataFrame, prior_pages: int = PRIOR_PAGES, least: float = IMP
     parsed = materialise(blocks(pages), "page-blocks")
     tree = importance(parsed)
     final = (F.col("prior") * prior_pages + F.col("importance") * F.col("pages")) / (prior_pages + F.col("pages"))
-    turned = tree.where((F.col("prior") >= 0.5) & (final < least)).groupBy("host").agg(F.collect_set("place").alias("turned"))
+    change = F.when((F.col("prior") >= 0.5) & (final < least), F.lit("off")).when((F.col("prior") > 0) & (F.col("prior") < 0.5) & (final >= least), F.lit("on"))
+    turned = tree.withColumn("change", change).where("change is not null").groupBy("host").agg(F.collect_set(F.expr("if(change = 'off', place, null)")).alias("turned"), F.collect_set(F.expr("if(change = 'on', place, null)")).alias("restored"))
     turned = materialise(turned, "turned-places")
-    few = turned.limit(100_001).count() <= 100_000 and (turned.agg(F.sum(F.size("turned"))).first()[0] or 0) <= BROADCAST_ROWS
+    few = turned.limit(100_001).count() <= 100_000 and (turned.agg(F.sum(F.size("turned") + F.size("restored"))).first()[0] or 0) <= BROADCAST_ROWS
     joined = parsed.join(F.broadcast(turned) if few else turned, "host", "left")
-    kept = "filter(blocks, b -> b.prior >= 0.5 and not coalesce(array_contains(turned, b.place), false))"
-    lost = "filter(blocks, b -> b.prior >= 1 and coalesce(array_contains(turned, b.place), false))"
+    off, on = (f"coalesce(array_contains({c}, b.place), false)" for c in ("turned", "restored"))
+    stays = f"(b.prior >= 0.5 and not {off} or b.prior < 0.5 and b.prior > {_NAMED} and {on})"
+    kept = f"filter(blocks, b -> {stays})"
+    lost = f"filter(blocks, b -> b.prior >= 1 and {off})"
     length = "aggregate({}, 0L, (n, b) -> n + length(b.text))"
     # marked main text goes only from pages that keep at least as much which varies
-    whole = f"if({length.format(lost)} > {length.format(kept)}, filter(blocks, b -> b.prior >= 1 or b.prior >= 0.5 and not coalesce(array_contains(turned, b.place), false)), {kept})"
+    whole = f"if({length.format(lost)} > {length.format(kept)}, filter(blocks, b -> b.prior >= 1 or {stays}), {kept})"
+    # names alone do not empty a page: varying blocks return where nothing else stays
+    rescued = f"filter(blocks, b -> b.prior > 0 and b.prior < 0.5 and {on})"
+    whole = f"if(exists(blocks, b -> {stays} or b.prior >= 1), {whole}, {rescued})"
     text = joined.withColumn("kept", F.expr(whole)).withColumn("text", F.expr("array_join(transform(kept, b -> b.text), '\n')"))
     return text.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"), F.size("blocks").cast("long").alias("n_blocks"), (F.size("blocks") - F.size("kept")).cast("long").alias("n_removed"))

@@ -318,6 +318,16 @@ def test_style_tree_keeps_copies(spark):
     assert all(got[3000 + i] == [f"Own long text {i} of page {i}"] for i in range(300))
 
 
+def test_style_tree_sees_past_names(spark):
+    """Wrappers with noise-like names and titles with main-like ones do not hide a page's text; named noise beside text stays out."""
+    forms = ["<body><div class='layout has-sidebar'><article><p>Body {0}</p></article></div>", "<body><div id='page' class='no-comments'><div><p>Body {0}</p></div></div>", "<body><div class='sidebar layout'><main><p>Body {0}</p></main></div>", "<body><div class='content'><h1 class='entry-title'>T {0}</h1><p>Body {0}</p><p>Other {0} words</p></div>", "<body><div class='widget'><p>Body {0}</p></div>", "<body><article><p>Main {0}</p></article><div class='x'><p>Body {0}</p></div>", "<body><article><p>Main {0}</p></article><div class='ad'>Body {0}</div><footer>f {0}</footer>"]
+    rows = [(1000 * k + i, f"http://h{k}.x/{i}", form.format(i)) for k, form in enumerate(forms) for i in range(100)]
+    got = {r["page_id"]: r["text"].split("\n") for r in html_tree.extract(spark.createDataFrame(rows, "page_id bigint, url string, html string")).collect()}
+    for k in range(len(forms)):
+        assert all((f"Body {i}" in got[1000 * k + i]) == (k < 6) for i in range(100)), k
+    assert got[6005] == ["Main 5"]
+
+
 def test_lm_scoring_orders_by_likeness(docs, labels):
     trusted = labels.where("quality = 1")
     rows = lm_scoring.apply(docs, trusted).join(labels, "doc_id").collect()
