@@ -3,12 +3,14 @@
 No id of either public tokenizer spans a border of these kinds: before a lone space between two visible
 characters, around another lone white-space character between two such, or between an ASCII letter or digit
 and closing punctuation. A text's ids are therefore those of its pieces between such borders. Pieces are
-looked up by hash in an open-addressed numpy table kept by each worker; only new ones go to the tokenizers
-library. A text that holds the opening of a special token is one piece.
+looked up by hash in an open-addressed numpy table kept by each worker, which compares their bytes; only new ones go to the tokenizers
+library. A text that holds the opening of a special token is one piece. The borders hold for tokenizers whose pre-tokenizer
+is one of those known here; with any other one, every text is one piece.
 """
 
 from __future__ import annotations
 
+import json
 import os
 
 import numpy as np
@@ -18,6 +20,7 @@ from . import lexing
 #: Distinct pieces (up to about 50 bytes each) and their ids that a worker keeps before it starts anew.
 CACHE_PIECES = 1_500_000
 CACHE_IDS = 16_000_000
+CACHE_BYTES = 64_000_000
 _CLOSING = np.zeros(256, bool)
 _CLOSING[list(b".,!?;:|#$%&*)]")] = True
 _ALNUM = np.zeros(256, bool)
@@ -28,6 +31,11 @@ _CONTROL[0x09:0x0E] = True
 _VISIBLE = np.zeros(256, bool)
 _VISIBLE[0x21:0x7F] = True
 _VISIBLE[0xC3:0xE0] = True
+#: Normalizers and split patterns for which the borders hold (fixed values of the two public tokenizers).
+_KNOWN = (
+    ([], ["ByteLevel with its own pattern"]),
+    (["NFC", "Replace", "Lowercase"], [r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+", "ByteLevel"]),
+)
 _encoders: dict[str, Encoder] = {}
 
 
@@ -55,12 +63,29 @@ def borders(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarra
     return np.flatnonzero(cut)
 
 
+def _with_room(held: np.ndarray, used: int, more: int) -> np.ndarray:
+    return held if used + more <= len(held) else np.concatenate([held[:used], np.zeros(max(len(held), more), held.dtype)])
+
+
+def _cuttable(path: str) -> bool:
+    """Whether borders() was derived for this kind of tokenizer."""
+    with open(path, encoding="utf-8") as f:
+        spec = json.load(f)
+    splits = spec.get("pre_tokenizer") or {}
+    patterns = [str(x.get("pattern", {}).get("Regex")) if x["type"] == "Split" else x["type"] for x in splits.get("pretokenizers", [splits] if splits else [])]
+    if splits.get("type") == "ByteLevel" and splits.get("use_regex"):
+        patterns = ["ByteLevel with its own pattern"]
+    special = all(t["content"].startswith("<|") for t in spec.get("added_tokens", []))
+    return spec["model"]["type"] == "BPE" and special and ([n.get("type") for n in (spec.get("normalizer") or {}).get("normalizers", [])], patterns) in _KNOWN
+
+
 class Encoder:
     def __init__(self, path: str, cache: int = CACHE_PIECES):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
+        self.known = _cuttable(path)
         self.width = np.dtype("<u2") if self.library.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
         self.limit = cache
         self._clear(1 << 16)
@@ -72,6 +97,11 @@ class Encoder:
         self.begin = np.zeros(slots // 2, np.int64)  # at most half of the slots are filled
         self.length = np.zeros(slots // 2, np.int32)
         self.pool = np.zeros(slots * 4, self.width)
+        self.text = np.zeros(slots * 4, np.uint8)  # bytes of all pieces, with eight spare ones
+        self.origin = np.zeros(slots // 2, np.int64)
+        self.size = np.zeros(slots // 2, np.int64)
+        self.written = 0
+        self.odd: dict[bytes, int] = {}  # entries of pieces whose hash another piece has
 
     def _find(self, keys: np.ndarray) -> np.ndarray:
         """Entry of each key, -1 where new."""
@@ -99,47 +129,67 @@ class Encoder:
             todo = todo[self.keys[at[todo]] != keys[todo]]
             at[todo] = (at[todo] + 1) & mask
 
-    def _learn(self, keys: np.ndarray, pieces: list[str]) -> None:
+    def _learn(self, keys: np.ndarray, pieces: list[bytes]) -> None:
         if 2 * (self.count + len(keys)) > len(self.keys):
             held, entries = self.keys[self.keys != 0], self.values[self.keys != 0]
             slots = len(self.keys)
             while 2 * (self.count + len(keys)) > slots:
                 slots *= 2
             self.keys, self.values = np.zeros(slots, np.uint64), np.zeros(slots, np.int32)
-            self.begin, self.length = np.resize(self.begin, slots // 2), np.resize(self.length, slots // 2)
             self._place(held, entries)
+        self._place(keys, self._append(pieces))
+
+    def _append(self, pieces: list[bytes]) -> np.ndarray:
+        """Numbers of new entries for these pieces."""
         batch = getattr(self.library, "encode_batch_fast", self.library.encode_batch)
-        made = [e.ids for i in range(0, len(pieces), 5_000) for e in batch(pieces[i : i + 5_000], add_special_tokens=False)]
+        texts = [p.decode("utf-8", "replace") for p in pieces]
+        made = [e.ids for i in range(0, len(texts), 5_000) for e in batch(texts[i : i + 5_000], add_special_tokens=False)]
         lengths = np.fromiter(map(len, made), np.int64, len(made))
         flat = np.fromiter((x for ids in made for x in ids), self.width, int(lengths.sum()))
-        if self.used + len(flat) > len(self.pool):
-            self.pool = np.concatenate([self.pool[: self.used], np.zeros(max(len(self.pool), len(flat)), self.width)])
+        raw, sizes = np.frombuffer(b"".join(pieces), np.uint8), np.fromiter(map(len, pieces), np.int64, len(pieces))
+        entries = np.arange(self.count, self.count + len(pieces))
+        if self.count + len(pieces) > len(self.begin):
+            room = max(2 * len(self.begin), self.count + len(pieces))
+            self.begin, self.length, self.origin, self.size = (np.resize(x, room) for x in (self.begin, self.length, self.origin, self.size))
+        self.pool, self.text = _with_room(self.pool, self.used, len(flat)), _with_room(self.text, self.written, len(raw) + 8)
         self.pool[self.used : self.used + len(flat)] = flat
-        entries = np.arange(self.count, self.count + len(keys))
-        self.begin[entries] = self.used + np.cumsum(lengths) - lengths
-        self.length[entries] = lengths
-        self.used += len(flat)
-        self.count += len(keys)
-        self._place(keys, entries)
+        self.text[self.written : self.written + len(raw)] = raw
+        self.begin[entries], self.length[entries] = self.used + np.cumsum(lengths) - lengths, lengths
+        self.origin[entries], self.size[entries] = self.written + np.cumsum(sizes) - sizes, sizes
+        self.used, self.written, self.count = self.used + len(flat), self.written + len(raw), self.count + len(pieces)
+        return entries
+
+    def _entries(self, data: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """Entry of every piece, by hash and bytes."""
+        keys = lexing.span_hashes(data, a, b)
+        keys[keys == 0] = 1
+        entry = self._find(keys)
+        new = np.flatnonzero(entry < 0)
+        raw = memoryview(np.ascontiguousarray(data))
+        if len(new):
+            fresh, first = np.unique(keys[new], return_index=True)
+            self._learn(fresh, [bytes(raw[a[i] : b[i]]) for i in new[first]])
+            entry[new] = self._find(keys[new])
+        size = b - a
+        held = self.size[entry]
+        same = (held == size) & lexing.same_spans(data, a, self.text, self.origin[entry], np.minimum(size, held), padded=True)
+        for i in np.flatnonzero(~same).tolist():
+            piece = bytes(raw[a[i] : b[i]])
+            if piece not in self.odd:
+                self.odd[piece] = int(self._append([piece])[0])
+            entry[i] = self.odd[piece]
+        return entry
 
     def encode_bytes(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """All ids of these texts in a row, and each text's number of ids."""
         if not len(data):
             return np.zeros(0, self.width), np.zeros(len(starts), np.int64)
-        if self.count > self.limit or self.used > CACHE_IDS:
+        if self.count > self.limit or self.used > CACHE_IDS or self.written > CACHE_BYTES:
             self._clear(1 << 16)
-        at = borders(data, starts, ends)
+        at = borders(data, starts, ends) if self.known else np.unique(np.append(starts, len(data)))
         at = at[: int(np.searchsorted(at, len(data))) + 1]
         a, b = at[:-1], at[1:]
-        keys = lexing.span_hashes(lexing.prefix_sums(data), a, b)
-        keys[keys == 0] = 1
-        entry = self._find(keys)
-        new = np.flatnonzero(entry < 0)
-        if len(new):
-            fresh, first = np.unique(keys[new], return_index=True)
-            raw = data.tobytes()
-            self._learn(fresh, [raw[a[i] : b[i]].decode("utf-8", "replace") for i in new[first]])
-            entry[new] = self._find(keys[new])
+        entry = self._entries(data, a, b)
         lengths = self.length[entry]
         done = np.cumsum(lengths)
         total = int(done[-1])

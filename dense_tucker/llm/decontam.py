@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import lexing
-from .common import BROADCAST_ROWS, bounded_batches, materialise, passes, texts_of
+from .common import BROADCAST_ROWS, materialise, passes, texts_of
 
 WINDOW = 10
 MAX_WORDS = 10_000_000
@@ -66,7 +66,6 @@ class Phrases:
 
 def build_index(docs: DataFrame, terms: np.ndarray, text: str = "text") -> DataFrame:
     """Shards: doc_ids, n_words, terms, offsets and positions (packed int32)."""
-    bounded_batches(docs.sparkSession)
     kind = docs.schema["doc_id"].dataType.simpleString()
     sieve = np.zeros(1 << 20, bool)
     sieve[(terms & np.uint64((1 << 20) - 1)).astype(np.int64)] = True
@@ -159,7 +158,6 @@ def match_windows(keys: np.ndarray, windows: np.ndarray, order: np.ndarray, leng
 def search(index: DataFrame, phrases: Phrases) -> DataFrame:
     """One row for each document: doc_id, n_words, n_hit, n_items, items_sha256, contaminated, item_ids."""
     spark = index.sparkSession
-    bounded_batches(spark, 16)
     kind = index.schema["doc_ids"].dataType.elementType.simpleString()
     seen = frequencies(index, len(phrases.terms))
     rank = np.where(phrases.windows >= 0, seen[phrases.windows] if len(seen) else 0, np.iinfo(np.int64).max)
@@ -196,7 +194,6 @@ def search(index: DataFrame, phrases: Phrases) -> DataFrame:
 
 def proximity(index: DataFrame, phrases: Phrases, reach: int) -> DataFrame:
     """doc_id, item_id, n_windows: documents with all distinct terms of an item within `reach` successive words, in any order."""
-    bounded_batches(index.sparkSession, 16)
     kind = index.schema["doc_ids"].dataType.elementType.simpleString()
     seen = frequencies(index, len(phrases.terms))
     sets: dict[int, np.ndarray] = {}

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_ROWS, bounded_batches, materialise
+from .common import BROADCAST_ROWS, materialise
 
 PRIOR_PAGES = 30
 IMPORTANT = 0.5
@@ -168,7 +168,6 @@ def _key(text: str) -> int:
 
 def blocks(pages: DataFrame) -> DataFrame:
     """page_id, url, host and blocks (place, prior, text) of every page."""
-    bounded_batches(pages.sparkSession)
     kind = pages.schema["page_id"].dataType.simpleString()
 
     def run(batches):

@@ -6,9 +6,9 @@ scaled on the training rows). Decoding adds up the logistic losses of the bits a
 least loss; a small lead over the second marks the text as ambiguous.
 
 Few languages get the exhaustive code, more a random one with well separated rows. At most TRAIN_DOCS
-documents of the training split are used for fitting, those with the least hashed ids. Null texts and texts
+documents of the training split, each of up to TRAIN_TEXT_BYTES, are used for fitting, those with the least hashed ids. Null texts and texts
 without a letter are `und` with score 0. Repeated rows get equal answers; an empty table gives an empty
-result; without a training row everything is `und`. Other columns are ignored.
+result; without a training row everything is `und`. Of languages with equal losses the first by name is taken. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,10 +21,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import lexing
-from .common import held_out, map_texts, passes, texts_of
+from .common import held_out, map_texts, passes, texts_of, training_texts
 
 TRAIN_DOCS = 6_000
 BUCKETS = 1 << 16
+#: Bytes whose n-grams are looked up at a time.
+SLICE = 1 << 18
 #: Lead of the best probability over the second under which a text is ambiguous.
 LEAD = 0.2
 _LETTERS = np.where(lexing.ALNUM & ~((np.arange(256) >= 0x30) & (np.arange(256) < 0x3A)), lexing.LOWER, 0x20).astype(np.uint8)
@@ -71,14 +73,17 @@ class Coder:
     def margins(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
         """Scaled prediction of each bit for each text."""
         out = np.zeros((len(starts), self.weights.shape[1]))
-        full = np.flatnonzero(ends > starts)
-        if not len(full):
-            return out
-        slots, counted = gram_slots(data)
-        total = np.add.reduceat(self.weights[slots] * counted[:, None], starts[full], axis=0)
-        n = lexing.sums_by(counted, starts[full], ends[full])
-        out[full] = total / np.maximum(1, n)[:, None]
-        return out * self.scale
+        n = np.zeros(len(starts), np.int64)
+        for low in range(0, len(data), SLICE):  # bounds memory when a text is long
+            high = min(low + SLICE, len(data))
+            slots, counted = (x[: high - low] for x in gram_slots(data[low : high + 2]))
+            rows = np.arange(np.searchsorted(ends, low, "right"), np.searchsorted(starts, high, "left"))
+            rows = rows[ends[rows] > starts[rows]]
+            if len(rows):
+                cuts = np.maximum(starts[rows] - low, 0)
+                out[rows] += np.add.reduceat(self.weights[slots] * counted[:, None], cuts, axis=0)
+                n[rows] += np.add.reduceat(counted, cuts, dtype=np.int64)
+        return out / np.maximum(1, n)[:, None] * self.scale
 
     def decode(self, margins: np.ndarray) -> np.ndarray:
         """Probability of each language: softmax of the negative summed logistic losses."""
@@ -114,12 +119,11 @@ def fit(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, langs: list[str]
 
 
 def train(docs: DataFrame, most: int = TRAIN_DOCS) -> Coder | None:
-    some = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", "lang")
-    chosen = some.dropDuplicates(["doc_id"]).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").where("text is not null").toArrow()  # `most` texts
+    marked = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
+    rows = training_texts(docs, marked.select("doc_id", F.col("lang").alias("label")), most)
     if not rows.num_rows:
         return None
-    return fit(*texts_of(rows.column("text").combine_chunks()), rows.column("lang").to_pylist())
+    return fit(*texts_of(rows.column("text").combine_chunks()), rows.column("label").to_pylist())
 
 
 def predict(docs: DataFrame, coder: Coder | None, text: str = "text") -> DataFrame:

@@ -1,9 +1,17 @@
 """Cross-entropy difference of two matched n-gram models.
 
 A target model (trusted documents) and a background model (all documents) of the same form share one
-vocabulary: every word that occurs at least twice in the corpus; the other words are one unknown word. Each
-model mixes its smoothed unigram with its bigram. A document's score is its mean loss per word under the
-target model less that under the background model: the lower, the more like the target.
+vocabulary: every word that occurs at least twice in the corpus; the other words are one unknown word. A word's
+probability after another is that of a Dirichlet-smoothed bigram, backed by the model's smoothed unigram, and adds up to 1 over the vocabulary:
+
+    P(w) = (c(w) + ADD) / (N + ADD * (words and the unknown one))
+    P(w | h) = (c(h, w) + WEIGHT * P(w)) / (followed(h) + WEIGHT)
+
+The first word of a text has P(w). The background's counts are scaled to the target's number of words (expected counts of
+a random part of that size), so smoothing weighs alike in both. A document's own counts are taken out of the
+models that hold it. Its score is its mean loss per word under the target model less that under the background model: the
+lower, the more like the target. It is target-like up to the score that LIKE of the trusted documents reach, each of which was
+scored without its own counts (0 where there is none).
 
 Word and bigram counts are exact (words and bigrams are told apart by 64-bit hashes) and nothing bounds how
 many there are. No task or driver holds a whole table of counts: chunks of texts send their distinct words to
@@ -11,7 +19,8 @@ buckets of the hash range, a bucket sums over all chunks and answers each, and t
 The number of buckets grows with the corpus, so a bucket's size does not.
 
 Words are lower-cased runs of other than white space. Null and empty texts have no words and zero losses.
-Repeated rows count as often as they occur; tables may be empty; other columns are ignored.
+Repeated rows are documents of their own and count as often as they occur; tables may be empty; without a trusted document the
+target model is uniform; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,22 +30,26 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import lexing
-from .common import bounded_batches, broadcast_if_small, discard, materialise, passes, texts_of
-
-MIX = 0.5
-#: Score up to which a document counts as target-like.
-THRESHOLD = 0.8
+from .common import broadcast_if_small, discard, materialise, passes, texts_of
+
+#: Prior count of every word.
+ADD = 0.5
+#: Weight of the unigram in a bigram's probability, in words.
+WEIGHT = 2.0
+#: Share of the trusted documents whose scores count as target-like.
+LIKE = 0.9
+#: Counts of a word in both models: all, and at the end of a text.
+WORD_COUNTS = ("target", "background", "target_last", "background_last")
 #: Words and rows after which a chunk of texts is closed.
 CHUNK_WORDS = 1 << 19
 CHUNK_ROWS = 100_000
 #: Keys that a bucket of the hash range gets from all chunks together, about.
 BUCKET_KEYS = 1 << 20
-BATCH_BYTES = 4 << 20
-_ANSWER = "chunk long, bucket long, target binary, background binary, n_vocab long, unknown_target long, unknown_background long, all_target long, all_background long"
+_ANSWER = "chunk long, bucket long, counts binary, n_vocab long, unknown array<long>, every array<long>"
 
 
 def _pack(x: np.ndarray) -> bytes:
@@ -51,11 +64,6 @@ def _unpack(raw: bytes, kind: type) -> np.ndarray:
     return np.ascontiguousarray(np.frombuffer(planes, np.uint8).reshape(size, -1).T).reshape(-1).view(kind)
 
 
-def _small_batches(spark: SparkSession) -> None:
-    """Chunks and their requests are long rows: bound the bytes of an Arrow batch too."""
-    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
-
-
 def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
     """Rows one by one, so that one chunk at a time is unpacked."""
     for batch in batches:
@@ -65,7 +73,6 @@ def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
 
 def chunks(docs: DataFrame, trusted: DataFrame, text: str = "text", words: int = CHUNK_WORDS) -> DataFrame:
     """chunk, doc_ids, lengths (words of each document), marks (trusted), keys (distinct words, the commonest first), tokens (places in keys) and their numbers."""
-    bounded_batches(docs.sparkSession)
     ids = broadcast_if_small(trusted.select(F.col("doc_id").alias("__id")).where("__id is not null").distinct().withColumn("__good", F.lit(True)))
     marked = docs.select(F.col("doc_id").alias("__id"), F.col(text).alias("__text")).join(ids, "__id", "left").select("__id", "__text", F.coalesce("__good", F.lit(False)).alias("__good"))
     kind = docs.schema["doc_id"].dataType.simpleString()
@@ -109,60 +116,68 @@ def chunks(docs: DataFrame, trusted: DataFrame, text: str = "text", words: int =
     return marked.mapInArrow(run, f"chunk long, doc_ids array<{kind}>, lengths binary, marks binary, keys binary, tokens binary, n_keys long, n_tokens long")
 
 
-def _requests(chunk: int, keys: np.ndarray, target: np.ndarray, background: np.ndarray, buckets: int) -> pa.RecordBatch:
+def _requests(chunk: int, keys: np.ndarray, counts: list[np.ndarray], buckets: int) -> pa.RecordBatch:
     """A chunk's sorted keys and their counts, one row for each bucket of the hash range."""
     bucket = ((keys >> np.uint64(32)) * np.uint64(buckets)) >> np.uint64(32)
     named, heads = np.unique(bucket, return_index=True)
     cuts = list(zip(heads.tolist(), [*heads[1:].tolist(), len(keys)], strict=True)) if len(keys) else []
     steps = [_pack(np.diff(keys[a:b], prepend=np.uint64(0))) for a, b in cuts]
-    counts = [[_pack(x[a:b].astype(np.int32)) for a, b in cuts] for x in (target, background)]
-    return pa.RecordBatch.from_arrays(
-        [pa.array(named.astype(np.int64)), pa.array([chunk] * len(cuts), pa.int64()), *(pa.array(x, pa.binary()) for x in (steps, *counts))],
-        names=["bucket", "chunk", "keys", "target", "background"],
-    )
+    packed = [_pack(np.concatenate([x[a:b] for x in counts]).astype(np.int32)) for a, b in cuts]
+    return pa.RecordBatch.from_arrays([pa.array(named.astype(np.int64)), pa.array([chunk] * len(cuts), pa.int64()), pa.array(steps, pa.binary()), pa.array(packed, pa.binary())], names=["bucket", "chunk", "keys", "counts"])
 
 
-def _answers(requests: DataFrame) -> DataFrame:
-    """The counts over all chunks of each chunk's keys, and on one row of each bucket its part of the totals."""
+def _answers(requests: DataFrame, kinds: int) -> DataFrame:
+    """The counts (of so many kinds) over all chunks of each chunk's keys, and on one row of each bucket its part of the totals."""
 
     def add(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows = [r for batch in batches for r in batch.select(["chunk", "keys", "target", "background"]).to_pylist()]
+        rows = [r for batch in batches for r in batch.select(["chunk", "keys", "counts"]).to_pylist()]
         parts = [np.cumsum(_unpack(r["keys"], np.uint64), dtype=np.uint64) for r in rows]
         keys, where = np.unique(np.concatenate(parts), return_inverse=True)
         ends = np.cumsum([len(x) for x in parts])[:-1]
-        sums = [np.bincount(where, np.concatenate([_unpack(r[k], np.int32) for r in rows]), minlength=len(keys)).astype(np.int64) for k in ("target", "background")]
+        counts = [_unpack(r["counts"], np.int32).reshape(kinds, -1) for r in rows]
+        sums = np.stack([np.bincount(where, np.concatenate([x[k] for x in counts]), minlength=len(keys)).astype(np.int64) for k in range(kinds)])
         single = sums[1] < 2
-        totals = [int((~single).sum()), *(int(x[single].sum()) for x in sums), *(int(x.sum()) for x in sums)]
+        own = [sums[:, w] for w in np.split(where, ends)]
+        unknown, every = ([x.sum(1).tolist(), *[[0] * kinds] * (len(rows) - 1)] for x in (sums[:, single], sums))
         yield pa.RecordBatch.from_arrays(
             [
                 pa.array([r["chunk"] for r in rows], pa.int64()),
                 pa.array([key[0].as_py()] * len(rows), pa.int64()),
-                *(pa.array([_pack(y) for y in np.split(x[where], ends)], pa.binary()) for x in sums),
-                *(pa.array([n] + [0] * (len(rows) - 1), pa.int64()) for n in totals),
+                pa.array([_pack(x.ravel()) for x in own], pa.binary()),
+                pa.array([int((~single).sum())] + [0] * (len(rows) - 1), pa.int64()),
+                *(pa.array(x, pa.list_(pa.int64())) for x in (unknown, every)),
             ],
-            names=["chunk", "bucket", "target", "background", "n_vocab", "unknown_target", "unknown_background", "all_target", "all_background"],
+            names=["chunk", "bucket", "counts", "n_vocab", "unknown", "every"],
         )
 
     return requests.groupBy("bucket").applyInArrow(add, _ANSWER)
 
 
-_REQUEST = "bucket long, chunk long, keys binary, target binary, background binary"
+_REQUEST = "bucket long, chunk long, keys binary, counts binary"
+
+
+def _ends(lengths: np.ndarray) -> np.ndarray:
+    """Places of the last words of texts."""
+    return (np.cumsum(lengths) - 1)[lengths > 0]
 
 
 def _word_requests(parts: DataFrame, buckets: int) -> DataFrame:
     def run(batches):
         for r in _rows(batches):
             keys, tokens = _unpack(r["keys"], np.uint64), _unpack(r["tokens"], np.int32)
-            good = np.repeat(_unpack(r["marks"], np.bool_), _unpack(r["lengths"], np.int32))
+            lengths = _unpack(r["lengths"], np.int32).astype(np.int64)
+            good = np.repeat(_unpack(r["marks"], np.bool_), lengths)
+            last = np.zeros(len(tokens), bool)
+            last[_ends(lengths)] = True
             order = np.argsort(keys)
-            yield _requests(r["chunk"], keys[order], *(np.bincount(x, minlength=len(keys))[order] for x in (tokens[good], tokens)), buckets)
+            yield _requests(r["chunk"], keys[order], [np.bincount(x, minlength=len(keys))[order] for x in (tokens[good], tokens, tokens[good & last], tokens[last])], buckets)
 
     return parts.select("chunk", "lengths", "marks", "keys", "tokens").mapInArrow(run, _REQUEST)
 
 
 def _pairs(r: dict) -> tuple[np.ndarray, ...]:
     """Of a chunk's row: places of words after another one of their text, sorted distinct bigrams, and the bigram of each such place."""
-    keys = np.where(_unpack(r["word_background"], np.int64) > 1, _unpack(r["keys"], np.uint64), np.uint64(0))
+    keys = np.where(_unpack(r["word_counts"], np.int64).reshape(len(WORD_COUNTS), -1)[1] > 1, _unpack(r["keys"], np.uint64), np.uint64(0))
     tokens, lengths = _unpack(r["tokens"], np.int32), _unpack(r["lengths"], np.int32).astype(np.int64)
     inside = np.ones(len(tokens), bool)
     inside[(np.cumsum(lengths) - lengths)[lengths > 0]] = False
@@ -176,18 +191,18 @@ def _pair_requests(parts: DataFrame, buckets: int) -> DataFrame:
         for r in _rows(batches):
             at, pairs, where = _pairs(r)
             good = np.repeat(_unpack(r["marks"], np.bool_), _unpack(r["lengths"], np.int32))[at]
-            yield _requests(r["chunk"], pairs, np.bincount(where[good], minlength=len(pairs)), np.bincount(where, minlength=len(pairs)), buckets)
+            yield _requests(r["chunk"], pairs, [np.bincount(x, minlength=len(pairs)) for x in (where[good], where)], buckets)
 
-    return parts.select("chunk", "lengths", "marks", "keys", "tokens", "word_background").mapInArrow(run, _REQUEST)
+    return parts.select("chunk", "lengths", "marks", "keys", "tokens", "word_counts").mapInArrow(run, _REQUEST)
 
 
 def _gathered(parts: DataFrame, answers: DataFrame):
     """Rows of chunks and of their answers by chunk; the chunk's own row has no bucket."""
-    return parts.unionByName(answers.select("chunk", "bucket", "target", "background"), allowMissingColumns=True).groupBy("chunk")
+    return parts.unionByName(answers.select("chunk", "bucket", "counts"), allowMissingColumns=True).groupBy("chunk")
 
 
-def _read(batches: Iterator[pa.RecordBatch], fields: list[str]) -> tuple[pa.Array, dict, np.ndarray, np.ndarray]:
-    """doc_ids and fields of the chunk's own row; the answered counts in the order of its keys."""
+def _read(batches: Iterator[pa.RecordBatch], fields: list[str], kinds: int) -> tuple[pa.Array, dict, np.ndarray]:
+    """doc_ids and fields of the chunk's own row; the answered counts (kinds x keys) in the order of its sorted keys."""
     ids, own, found = None, {}, []
     for batch in batches:
         for i, bucket in enumerate(batch.column("bucket").to_pylist()):
@@ -195,68 +210,110 @@ def _read(batches: Iterator[pa.RecordBatch], fields: list[str]) -> tuple[pa.Arra
                 ids = batch.column("doc_ids")[i].values
                 own = {k: batch.column(k)[i].as_py() for k in fields}
             else:
-                found.append((bucket, *(_unpack(batch.column(k)[i].as_py(), np.int64) for k in ("target", "background"))))
+                found.append((bucket, _unpack(batch.column("counts")[i].as_py(), np.int64).reshape(kinds, -1)))
     found.sort(key=lambda x: x[0])
-    none = [np.zeros(0, np.int64)]
-    return ids, own, *(np.concatenate([x[k] for x in found] or none) for k in (1, 2))
+    return ids, own, np.concatenate([x for _, x in found] or [np.zeros((kinds, 0), np.int64)], axis=1)
 
 
 def count_words(parts: DataFrame, bucket_keys: int = BUCKET_KEYS) -> tuple[DataFrame, dict[str, int]]:
     """Chunks with both models' counts of their distinct words, and the totals of the corpus."""
-    fields = ["lengths", "marks", "keys", "tokens"]
-    _small_batches(parts.sparkSession)
+    fields, kinds = ["lengths", "marks", "keys", "tokens"], len(WORD_COUNTS)
     buckets = 1 + (parts.agg(F.sum("n_keys")).first()[0] or 0) // bucket_keys
-    answers = materialise(_answers(_word_requests(parts, buckets)), "word-answers")
-    names = ["n_vocab", "unknown_target", "unknown_background", "all_target", "all_background"]
-    totals = {k: v or 0 for k, v in answers.agg(*[F.sum(k).alias(k) for k in names]).first().asDict().items()}
+    answers = materialise(_answers(_word_requests(parts, buckets), kinds), "word-answers")
+    sums = [F.sum("n_vocab").alias("n_vocab")] + [F.sum(F.col(c)[k]).alias(f"{c}_{name}") for c in ("unknown", "every") for k, name in enumerate(WORD_COUNTS)]
+    totals = {k: v or 0 for k, v in answers.agg(*sums).first().asDict().items()}
 
     def join(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, own, *found = _read(batches, fields)
+        ids, own, found = _read(batches, fields, kinds)
         place = np.argsort(np.argsort(_unpack(own["keys"], np.uint64)))
         yield pa.RecordBatch.from_arrays(
             [pa.array([key[0].as_py()], pa.int64()), pa.ListArray.from_arrays(pa.array([0, len(ids)], pa.int32()), ids)]
             + [pa.array([own[k]], pa.binary()) for k in fields]
-            + [pa.array([_pack(x[place])], pa.binary()) for x in found],
-            names=["chunk", "doc_ids", *fields, "word_target", "word_background"],
+            + [pa.array([_pack(found[:, place].ravel())], pa.binary())],
+            names=["chunk", "doc_ids", *fields, "word_counts"],
         )
 
     kind = parts.schema["doc_ids"].dataType.simpleString()
-    schema = f"chunk long, doc_ids {kind}, lengths binary, marks binary, keys binary, tokens binary, word_target binary, word_background binary"
+    schema = f"chunk long, doc_ids {kind}, lengths binary, marks binary, keys binary, tokens binary, word_counts binary"
     made = materialise(_gathered(parts.select("chunk", "doc_ids", *fields), answers).applyInArrow(join, schema), "word-counts")
     discard(answers)
     return made, totals
 
 
-def score(counted: DataFrame, totals: dict[str, int], threshold: float = THRESHOLD, mix: float = MIX, bucket_keys: int = BUCKET_KEYS) -> DataFrame:
-    """doc_id, n_words, n_unknown, ce_target, ce_background, score and target_like of every document."""
-    fields = ["lengths", "keys", "tokens", "word_target", "word_background"]
-    _small_batches(counted.sparkSession)
-    answers = _answers(_pair_requests(counted, 1 + totals["all_background"] // (2 * bucket_keys)))  # about two words to a distinct bigram of a chunk
+def unigram(count: np.ndarray, total: np.ndarray | float, n_vocab: int) -> np.ndarray:
+    """P(w) of words with these counts in a model of `total` words; the unknown word is one more than n_vocab."""
+    return (count + ADD) / (total + ADD * (n_vocab + 1))
+
+
+def bigram(pair: np.ndarray, followed: np.ndarray, backed: np.ndarray, weight: float = WEIGHT) -> np.ndarray:
+    """P(w | h) from c(h, w), followed(h) and P(w)."""
+    return (pair + weight * backed) / (followed + weight)
+
+
+def _within(row: np.ndarray, items: np.ndarray, n_items: int) -> np.ndarray:
+    """How often each place's item occurs in its own document."""
+    _, where, times = np.unique(row * max(1, n_items) + items, return_inverse=True, return_counts=True)
+    return times[where]
+
+
+def losses(tokens: np.ndarray, lengths: np.ndarray, marks: np.ndarray, counts: np.ndarray, pairs: np.ndarray, at: np.ndarray, where: np.ndarray, totals: dict[str, int]) -> tuple[list[np.ndarray], np.ndarray]:
+    """Mean loss per word of each text under both models, its own counts left out, and its number of unknown words.
+
+    counts (4 x distinct words) and pairs (2 x distinct bigrams) are of the whole corpus; at and where as from _pairs().
+    """
+    lengths = lengths.astype(np.int64)
+    row = np.repeat(np.arange(len(lengths)), lengths)
+    unknown = counts[1] < 2
+    word = np.where(unknown, len(unknown), np.arange(len(unknown)))[tokens]  # one number for all unknown words
+    own = _within(row, word, len(unknown) + 1)
+    own_pair = _within(row[at], where, pairs.shape[1])
+    before = word[at - 1]
+    last = np.full(len(lengths), -1)
+    last[lengths > 0] = word[_ends(lengths)]
+    own_followed = own[at - 1] - (before == last[row[at]])
+    n = np.maximum(1, lengths)
+    out = []
+    scale = totals["every_target"] / totals["every_background"] if totals["every_target"] else 1.0
+    for k, (model, size) in enumerate((("target", 1.0), ("background", scale))):
+        holds = np.ones(len(lengths), bool) if k else marks
+        mine = holds[row]
+        every = np.append(counts[k], 0)
+        every[:-1][unknown] = totals[f"unknown_{model}"]
+        every[-1] = totals[f"unknown_{model}"]
+        followed = every.copy()
+        followed[:-1] -= np.where(unknown, totals[f"unknown_{model}_last"], counts[k + 2])
+        followed[-1] -= totals[f"unknown_{model}_last"]
+        total = totals[f"every_{model}"] - np.where(holds, lengths, 0)
+        p = unigram(size * (every[word] - own * mine), size * total[row], totals["n_vocab"])
+        p[at] = bigram(size * (pairs[k][where] - own_pair * mine[at]), size * (followed[before] - own_followed * mine[at]), p[at])
+        out.append(np.bincount(row, -np.log(p), minlength=len(lengths)) / n)
+    return out, np.bincount(row[unknown[tokens]], minlength=len(lengths))
+
+
+def score(counted: DataFrame, totals: dict[str, int], bucket_keys: int = BUCKET_KEYS) -> DataFrame:
+    """doc_id, n_words, n_unknown, ce_target, ce_background, score and trusted of every document."""
+    fields = ["lengths", "marks", "keys", "tokens", "word_counts"]
+    answers = _answers(_pair_requests(counted, 1 + totals["every_background"] // (2 * bucket_keys)), 2)  # about two words to a distinct bigram of a chunk
 
     def work(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, own, *pair_counts = _read(batches, fields)
+        ids, own, pairs = _read(batches, fields, 2)
         at, _, where = _pairs(own)
         tokens, lengths = _unpack(own["tokens"], np.int32), _unpack(own["lengths"], np.int32)
-        unknown = _unpack(own["word_background"], np.int64) < 2
-        row = np.repeat(np.arange(len(ids)), lengths)
-        n = np.maximum(1, lengths)
-        losses = []
-        for model, pair in zip(("target", "background"), pair_counts, strict=True):
-            counts = np.where(unknown, totals[f"unknown_{model}"], _unpack(own[f"word_{model}"], np.int64)).astype(np.float64)
-            p = ((counts + 0.5) / (totals[f"all_{model}"] + 0.5 * (totals["n_vocab"] + 1)))[tokens]
-            seen = counts[tokens[at - 1]]
-            p[at] = np.where(seen > 0, mix * pair[where] / np.maximum(1, seen) + (1 - mix) * p[at], p[at])
-            losses.append(np.bincount(row, -np.log(p), minlength=len(ids)) / n)
-        t, b = losses
-        arrays = [ids, pa.array(lengths.astype(np.int64)), pa.array(np.bincount(row[unknown[tokens]], minlength=len(ids)).astype(np.int64)), *map(pa.array, (t, b, t - b, (lengths > 0) & (t - b <= threshold)))]
-        yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "n_words", "n_unknown", "ce_target", "ce_background", "score", "target_like"])
+        marks = _unpack(own["marks"], np.bool_)
+        (t, b), n_unknown = losses(tokens, lengths, marks, _unpack(own["word_counts"], np.int64).reshape(len(WORD_COUNTS), -1), pairs, at, where, totals)
+        arrays = [ids, pa.array(lengths.astype(np.int64)), pa.array(n_unknown.astype(np.int64)), *map(pa.array, (t, b, t - b, marks))]
+        yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "n_words", "n_unknown", "ce_target", "ce_background", "score", "trusted"])
 
     kind = counted.schema["doc_ids"].dataType.elementType.simpleString()
-    return _gathered(counted.drop("marks"), answers).applyInArrow(work, f"doc_id {kind}, n_words long, n_unknown long, ce_target double, ce_background double, score double, target_like boolean")
+    return _gathered(counted, answers).applyInArrow(work, f"doc_id {kind}, n_words long, n_unknown long, ce_target double, ce_background double, score double, trusted boolean")
 
 
-def apply(docs: DataFrame, trusted: DataFrame, chunk_words: int = CHUNK_WORDS, bucket_keys: int = BUCKET_KEYS) -> DataFrame:
+def apply(docs: DataFrame, trusted: DataFrame, chunk_words: int = CHUNK_WORDS, bucket_keys: int = BUCKET_KEYS, like: float = LIKE) -> DataFrame:
+    """doc_id, n_words, n_unknown, ce_target, ce_background, score, trusted, threshold and target_like of every document."""
     parts = materialise(chunks(docs, trusted, words=chunk_words), "word-chunks")
     counted, totals = count_words(parts, bucket_keys)
     discard(parts)
-    return score(counted, totals, bucket_keys=bucket_keys)
+    scored = materialise(score(counted, totals, bucket_keys=bucket_keys), "scores")
+    discard(counted)
+    threshold = scored.where("trusted and n_words > 0").agg(F.percentile_approx("score", like)).first()[0] or 0.0
+    return scored.withColumn("threshold", F.lit(float(threshold))).withColumn("target_like", (F.col("n_words") > 0) & (F.col("score") <= threshold))

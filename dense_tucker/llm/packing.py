@@ -17,12 +17,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import bpe
-from .common import bounded_batches, materialise, passes, texts_of
+from .common import materialise, passes, texts_of
 
 
 def encode_table(docs: DataFrame, tokenizer: str, end_id: int = 1, text: str = "text", key: str = "doc_id") -> DataFrame:
     """doc_id, part, before (ids before it in the partition), n (ids with the end id), ids (little-endian), wide."""
-    bounded_batches(docs.sparkSession)
 
     def run(batches):
         from pyspark import TaskContext
@@ -71,7 +70,6 @@ def pack(docs: DataFrame, tokenizer: str, length: int = 2048, end_id: int = 1, t
     encoded = materialise(encode_table(docs, tokenizer, end_id, text), "packed-ids")
     base = prefix_offsets([(r[0], r[1]) for r in encoded.groupBy("part").agg(F.sum("n")).collect()])
     kind = docs.schema["doc_id"].dataType.simpleString()
-    bounded_batches(docs.sparkSession)
 
     def run(batches):
         for batch in batches:

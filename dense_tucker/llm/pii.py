@@ -24,7 +24,6 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import lexing
-from .common import bounded_batches
 
 KINDS = ("email", "ip", "card", "phone")
 TRAIN_DOCS = 3_000
@@ -347,7 +346,6 @@ def _triggered(column: pa.Array) -> list[int]:
 
 def find(docs: DataFrame, net: Tagger | None, text: str = "text") -> DataFrame:
     """doc_id, counts of base spans by kind, base_sha256, spans and n_added of every document."""
-    bounded_batches(docs.sparkSession)
     kind = docs.schema["doc_id"].dataType.simpleString()
     none = hashlib.sha256(b"").hexdigest()
 
@@ -387,7 +385,6 @@ def masked(text: str, spans: list[Span]) -> str:
 def redact(docs: DataFrame, labelled: DataFrame) -> DataFrame:
     """The same rows and columns, personal data in `text` masked and `n_chars` (if there) counted anew."""
     net = train(labelled)
-    bounded_batches(docs.sparkSession)
     place, names = docs.columns.index("text"), docs.columns
     count = names.index("n_chars") if "n_chars" in names else None
 

@@ -4,8 +4,9 @@ Each line is described by binned measures of its own and of its two neighbours.
 and good; it is fitted by gradient ascent on its likelihood, every line of a labelled document bearing that
 document's label. The score is the mean of the forward-backward marginals of `good`, weighted by line length.
 
-Labelled rows for fitting are at most TRAIN_DOCS documents of the training split, those with the least hashed
-ids; scoring reads every whole text. Null, empty and blank texts have no line and score 0. Repeated rows get
+Labelled rows for fitting are at most TRAIN_DOCS documents of the training split, each of up to TRAIN_TEXT_BYTES, those
+with the least hashed ids; an id with both labels has none. Scoring reads every whole text, a long one in pieces of whole lines,
+and the marginals of a text of many lines come from a parallel scan of its transitions. Null, empty and blank texts have no line and score 0. Repeated rows get
 equal scores; an empty table gives an empty result; without training rows of both labels every score is 0.5.
 Other columns are ignored.
 """
@@ -21,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import lexing
-from .common import bounded_batches, held_out, map_texts, passes, texts_of
+from .common import PASS_BYTES, held_out, map_texts, passes, texts_of, training_texts
 
 TRAIN_DOCS = 6_000
 THRESHOLD = 0.7
@@ -41,11 +42,41 @@ _STOP[list(b".,;:?")] = True
 #: Upper borders of the bins of a share.
 _SHARES = np.asarray([0.0, 0.005, 0.02, 0.05, 0.1, 0.2, 0.35, 0.6])
 GROUPS = 13
+#: Column of the repeats of a line.
+REPEATS = 8
+#: Lines from which a text's marginals come from the scan.
+MANY_LINES = 1_000
 
 
 def line_features(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Bins (lines x GROUPS) of all lines with a word, the text of each and its length in bytes."""
-    sums = lexing.prefix_sums(data)
+    bins, row, length, key = [np.concatenate(x) for x in zip(*(_measured(data, a, b, r) for a, b, r in _pieces(data, starts, ends)), strict=True)]
+    # equal lines of the same text
+    _, group, times = np.unique(lexing.mix(key ^ lexing.mix(row.astype(np.uint64))), return_inverse=True, return_counts=True)
+    bins[:, REPEATS] = np.minimum(4, times[group] - 1) if len(group) else group
+    return bins, row, length
+
+
+def _pieces(data: np.ndarray, starts: np.ndarray, ends: np.ndarray):
+    """Starts, ends and rows of parts of the texts: all at once, but a text of several passes by whole lines of about one pass."""
+    at = 0
+    for i in np.flatnonzero(ends - starts > 2 * PASS_BYTES).tolist():
+        yield starts[at:i], ends[at:i], np.arange(at, i)
+        feeds = np.flatnonzero(data[starts[i] : ends[i]] == 0x0A) + 1 + starts[i]
+        low = int(starts[i])
+        while low < ends[i]:
+            k = int(np.searchsorted(feeds, low + PASS_BYTES))
+            high = int(feeds[k]) if k < len(feeds) else int(ends[i])
+            yield np.array([low]), np.array([high]), np.array([i])
+            low = high
+        at = i + 1
+    yield starts[at:], ends[at:], np.arange(at, len(starts))
+
+
+def _measured(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Bins without the repeats of lines, row, length and hash of each line of these (adjacent) parts."""
+    base = int(starts[0]) if len(starts) else 0
+    data, starts, ends = data[base : int(ends[-1]) if len(ends) else 0], starts - base, ends - base
     word = lexing.SPACED[data]
     feeds = np.flatnonzero(data == 0x0A)
     some = starts < ends
@@ -53,9 +84,7 @@ def line_features(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tup
     last = np.maximum(np.sort(np.concatenate([ends[some], feeds])), first)
 
     def of(flags):
-        total = np.zeros(len(data) + 1, np.int64)
-        np.cumsum(flags, out=total[1:])
-        return total[last] - total[first]
+        return lexing.sums_by(flags, first, last)
 
     filled = of(word)
     keep = filled > 0
@@ -73,10 +102,6 @@ def line_features(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tup
     _, at = np.unique(tagged, return_index=True)
     distinct = np.bincount(line[at], minlength=len(first))
     doubled = np.bincount(line[same], minlength=len(first))
-    # equal lines of the same text
-    key = lexing.mix(lexing.span_hashes(sums, first, last) ^ lexing.mix(row.astype(np.uint64)))
-    _, group, times = np.unique(key, return_inverse=True, return_counts=True)
-
     def share(x, of_what):
         return np.searchsorted(_SHARES, x / np.maximum(1, of_what), "left")
 
@@ -91,21 +116,21 @@ def line_features(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tup
         share(of(_BANG[data]), n_words),
         share(doubled, many),
         share(n_words - distinct, many),
-        np.minimum(4, times[group] - 1) if len(group) else group,
+        np.zeros(len(first), np.int64),
         np.minimum(9, (filled / many).astype(np.int64)),
         share(of(_STOP[data]), n_words),
         np.minimum(9, np.log2(many).astype(np.int64)),
         _UPPER[data[first]].astype(np.int64) + 2 * _STOP[data[last - 1]] if len(first) else first,
     ]
-    bins = np.stack(columns, 1).astype(np.int64) if len(first) else np.zeros((0, GROUPS), np.int64)
-    return bins, row, length
+    bins = np.stack(columns, 1).astype(np.int8) if len(first) else np.zeros((0, GROUPS), np.int8)
+    return bins, rows[row] if len(row) else row, length, lexing.span_hashes(data, first, last)
 
 
 def _slots(bins: np.ndarray, row: np.ndarray) -> np.ndarray:
     """Indices into the flat weights: own, previous and next line's bins (slot 0 of a neighbour group: none)."""
     width = GROUPS * (BINS + 1)
-    own = np.arange(GROUPS) * (BINS + 1) + bins + 1
-    edge = np.arange(GROUPS) * (BINS + 1)
+    own = (np.arange(GROUPS) * (BINS + 1) + bins + 1).astype(np.int32)
+    edge = (np.arange(GROUPS) * (BINS + 1)).astype(np.int32)
     before = np.broadcast_to(edge, own.shape).copy()
     after = before.copy()
     if len(own) > 1:
@@ -128,6 +153,47 @@ class Field:
     def emissions(self, slots: np.ndarray) -> np.ndarray:
         return self.weights[slots].sum(1) + self.bias
 
+    def judged(self, bins: np.ndarray, row: np.ndarray) -> np.ndarray:
+        """Emissions of all lines, whose slots are made for some lines at a time."""
+        step = 1 << 15
+        out = np.empty(len(bins))
+        for a in range(0, len(bins), step):
+            low, high = max(0, a - 1), min(len(bins), a + step + 1)
+            out[a : a + step] = self.emissions(_slots(bins[low:high], row[low:high]))[a - low : a - low + step]
+        return out
+
+    def good(self, emissions: np.ndarray, n: np.ndarray) -> np.ndarray:
+        """P(good) of each line; n: each text's number of lines."""
+        first = np.cumsum(n) - n
+        long = np.flatnonzero(n > MANY_LINES)
+        short = np.ones(len(emissions), bool)
+        out = np.empty(len(emissions))
+        for i in long.tolist():
+            at = slice(int(first[i]), int(first[i] + n[i]))
+            short[at] = False
+            out[at] = self.scanned(emissions[at])
+        some = n.copy()
+        some[long] = 0
+        out[short] = self.marginals(emissions[short], np.cumsum(some) - some, some)[0]
+        return out
+
+    def scanned(self, emissions: np.ndarray) -> np.ndarray:
+        """P(good) of each line of one text, by prefix and suffix products of 2 x 2 matrices in doubling steps."""
+        weight = np.stack([np.ones_like(emissions), np.exp(np.clip(emissions, -30, 30))], 1)
+        step = np.exp(self.moves)[None] * weight[:, None, :]
+        ahead = step.copy()
+        ahead[0] = np.diag(weight[0])
+        back = np.concatenate([step[1:], np.eye(2)[None]])
+        k = 1
+        while k < len(step):
+            ahead[k:] = ahead[:-k] @ ahead[k:]
+            back[:-k] = back[:-k] @ back[k:]
+            for x in (ahead, back):
+                x /= x.sum((1, 2), keepdims=True)
+            k *= 2
+        both = ahead.sum(1) * back.sum(2)
+        return both[:, 1] / both.sum(1)
+
     def marginals(self, good: np.ndarray, first: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """P(good) of each line, summed pair marginals (2 x 2) and log partition of each text.
 
@@ -191,11 +257,10 @@ def fit(bins: np.ndarray, row: np.ndarray, labels: np.ndarray, rounds: int = 150
 
 def train(docs: DataFrame, labels: DataFrame, most: int = TRAIN_DOCS) -> Field:
     """Fit on at most `most` labelled documents of the training split (least hashed ids first)."""
-    marked = labels.where(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", F.col("quality").cast("int").alias("quality"))
-    some = marked.dropDuplicates(["doc_id"]).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    rows = docs.select("doc_id", "text").join(F.broadcast(some), "doc_id").where("text is not null").toArrow()  # `most` texts
-    data, starts, ends = texts_of(rows.column("text").combine_chunks())
-    y = rows.column("quality").to_numpy()
+    marked = labels.where(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", F.col("quality").cast("int").alias("label"))
+    rows = training_texts(docs, marked, most)
+    data, starts, ends = texts_of(rows.column("text"))
+    y = rows.column("label").to_numpy()
     bins, row = [], []
     for a, b in passes(starts, ends):
         low = int(starts[a])
@@ -211,7 +276,7 @@ def _judge(field: Field, threshold: float, data: np.ndarray, starts: np.ndarray,
     """score, predicted, n_lines and n_bad_lines of each text."""
     bins, row, length = line_features(data, starts, ends)
     n = np.bincount(row, minlength=len(starts))
-    p, _, _ = field.marginals(field.emissions(_slots(bins, row)), np.cumsum(n) - n, n)
+    p = field.good(field.judged(bins, row), n)
     total = np.bincount(row, length, minlength=len(starts))
     mean = np.clip(np.bincount(row, p * length, minlength=len(starts)) / np.maximum(1, total), 0, 1)
     return {"score": mean, "predicted": (mean >= threshold).astype(np.int32), "n_lines": n.astype(np.int64), "n_bad_lines": np.bincount(row[p < 0.5], minlength=len(starts)).astype(np.int64)}
@@ -230,7 +295,6 @@ def apply(docs: DataFrame, labels: DataFrame) -> DataFrame:
 def keep(docs: DataFrame, labelled: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """Documents that the classifier accepts, with all their columns; `labelled` holds the texts of `labels`."""
     field, place = train(labelled, labels), docs.columns.index("text")
-    bounded_batches(docs.sparkSession)
 
     def run(batches):
         for batch in batches:

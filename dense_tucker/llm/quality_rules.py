@@ -4,7 +4,8 @@ Two multinomials over hashed word 1-grams and 2-grams are counted over all docum
 documents, one of the raw corpus. A document's score is the mean log ratio of its n-grams. Every document
 below a fixed threshold, or failing the base rules, is not kept.
 Words are runs of bytes other than white space. Null and empty texts have no words, score 0 and fail.
-Repeated rows count as often as they occur; tables may be empty; other columns are ignored.
+Repeated rows count as often as they occur; tables may be empty; other columns are ignored. A text is one pass, whose
+memory is about a dozen times the text.
 """
 
 from __future__ import annotations
@@ -15,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import lexing
-from .common import bounded_batches, broadcast_if_small, map_texts, passes, texts_of
+from .common import broadcast_if_small, map_texts, passes, texts_of
 
 BUCKETS = 1 << 16
 #: Prior count of each bucket's ratio.
@@ -37,31 +38,37 @@ def base_counts(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> dict[
         "n_symbols": lexing.sums_by(_SYMBOL[data], starts, ends),
     }
     # lines: between line feeds, within texts
-    sums = lexing.prefix_sums(data)
     feeds = np.flatnonzero(data == 0x0A)
     some = starts < ends
     first = np.sort(np.concatenate([starts[some], feeds + 1]))
     last = np.sort(np.concatenate([ends[some], feeds]))
-    words_to = np.zeros(len(data) + 1, np.int64)
-    np.cumsum(word, out=words_to[1:])
     last = np.maximum(last, first)
-    full = words_to[last] > words_to[first]
+    full = lexing.tally(a, first, last) > 0
     first, last = first[full], last[full]
     line_row = lexing.owners(first, starts, ends)
-    keys = lexing.mix(lexing.span_hashes(sums, first, last) ^ lexing.mix(line_row.astype(np.uint64)))
-    _, kept = np.unique(keys, return_index=True)
+    line = lexing.numbered(data, lexing.span_hashes(data, first, last), first, last)
+    kept = np.unique(line_row * (1 + int(line.max(initial=0))) + line, return_index=True)[1]
     lines = np.bincount(line_row, minlength=len(starts))
     out["n_dup_lines"] = lines - np.bincount(line_row[kept], minlength=len(starts))
     # three-word windows found twice or more
     repeat = np.zeros(len(h), bool)
     if len(h) > 2:
-        same = row[2:] == row[:-2]
-        window = lexing.mix(lexing.mix(lexing.mix(h[:-2] ^ lexing.mix(row[:-2].astype(np.uint64))) + h[1:-1]) ^ (h[2:] * np.uint64(3)))
-        at = np.flatnonzero(same)
-        order = at[np.argsort(window[at], kind="stable")]
+        at = np.flatnonzero(row[2:] == row[:-2])
+        number = lexing.numbered(data, h, a, b).astype(np.uint64)
+        # the places of three numbers in one: exact, as equal neighbours are compared
+        window = lexing.mix(lexing.mix(lexing.mix(number[:-2] ^ (row[:-2].astype(np.uint64) << np.uint64(32))) + number[1:-1]) ^ number[2:])[at]
+        sort = np.argsort(window, kind="stable")
+        order, window = at[sort], window[sort]
         equal = np.zeros(len(order), bool)
         if len(order) > 1:
-            twin = window[order[1:]] == window[order[:-1]]
+            twin = window[1:] == window[:-1]
+            meet = np.flatnonzero(twin)
+            exact = row[order[meet]] == row[order[meet + 1]]
+            for k in range(3):
+                exact &= number[order[meet] + k] == number[order[meet + 1] + k]
+            if not exact.all():  # hashes alone met: sort by the numbers themselves
+                order = at[np.lexsort((number[at + 2], number[at + 1], number[at], row[at]))]
+                twin = np.logical_and.reduce([row[order[1:]] == row[order[:-1]], *(number[order[1:] + k] == number[order[:-1] + k] for k in range(3))])
             equal[1:] |= twin
             equal[:-1] |= twin
         hit = order[equal]
@@ -82,7 +89,6 @@ def buckets_of(h: np.ndarray, row: np.ndarray, buckets: int) -> tuple[np.ndarray
 
 def count_ngrams(docs: DataFrame, trusted: DataFrame, buckets: int = BUCKETS, text: str = "text") -> tuple[np.ndarray, np.ndarray]:
     """Counts of the trusted documents (ids in `trusted`) and of all documents, each over `buckets` buckets."""
-    bounded_batches(docs.sparkSession)
     ids = broadcast_if_small(trusted.select(F.col("doc_id").alias("__id")).where("__id is not null").distinct().withColumn("__good", F.lit(True)))
     marked = docs.select(F.col("doc_id").alias("__id"), F.col(text).alias("__text")).join(ids, "__id", "left").select("__text", F.coalesce("__good", F.lit(False)).alias("__good"))
 

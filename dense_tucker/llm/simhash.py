@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, discard, materialise
+from .common import discard, materialise
 
 SHINGLE = 4
 RADIUS = 4
@@ -65,7 +65,6 @@ def _bit_counts(values: np.ndarray) -> np.ndarray:
 
 def fingerprints(docs: DataFrame, text: str = "text", size: int = SHINGLE) -> DataFrame:
     """doc_id and fp (signed 64-bit) of every document."""
-    bounded_batches(docs.sparkSession)
 
     def run(batches):
         for batch in batches:
@@ -112,7 +111,6 @@ def _keys(fp: str) -> tuple[list[str], list[str]]:
 
 def links(distinct: DataFrame, radius: int = RADIUS, hot_rows: int = HOT_ROWS) -> DataFrame:
     """Edges (a, b), a > b, of a graph with the components of all pairs of distinct `fp` within the radius."""
-    bounded_batches(distinct.sparkSession, 10_000)
     tables, probes = _keys("fp")
     rows = distinct.selectExpr("fp", f"explode(array({', '.join(tables + probes)})) as at").where("at is not null").select("fp", "at.seg", "at.key", "at.probe")
     filled = distinct.selectExpr("fp", f"explode(array({', '.join(tables)})) as at").groupBy("at.seg", "at.key").agg(F.count("*").alias("n"))

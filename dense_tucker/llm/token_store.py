@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import lexing
-from .common import bounded_batches, new_folder
+from .common import new_folder
 from .packing import encode_table
 
 #: Payload bytes after which a shard ends (at the end of a document).
@@ -82,7 +82,6 @@ class TokenStore:
 
     def records(self, with_ids: bool = False) -> DataFrame:
         """Every document read back through its shard's index: doc_id, start, n_tokens, ids_crc32 (and ids)."""
-        bounded_batches(self.spark, 64)
         offsets = self.part_offsets()
 
         def run(batches):
@@ -106,7 +105,6 @@ class TokenStore:
 
     def lookup(self, keys: list[int]) -> DataFrame:
         """Ids of the given keys (a query-sized list): doc_id, n_tokens, ids. Shards without one are skipped by their key range."""
-        bounded_batches(self.spark, 64)
         wanted = np.unique(np.asarray(keys, np.int64))
         low, high = (int(wanted[0]), int(wanted[-1])) if len(wanted) else (0, -1)
 
@@ -203,7 +201,6 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int = 1, shard_bytes: i
         coded = coded.withColumn("bounds", bounds)
     coded = coded.withColumn("place", place).select("place", "doc_id", "ids", "size")
     sorted_ = coded.repartitionById(len(edges) + 1, F.col("place").cast("int")).sortWithinPartitions("place", F.asc_nulls_first("doc_id"), "ids")
-    bounded_batches(spark)
 
     def run(batches):
         state: dict = {"part": None}

@@ -335,22 +335,61 @@ def test_lm_scoring_orders_by_likeness(docs, labels):
     assert np.median(good) < np.median(bad)
 
 
+def exact_models(own, good, leave=None):
+    """Word, bigram and history counts of both models without one document, from plain counters."""
+    out = []
+    for some in ([k for k in own if k in good], list(own)):
+        uni, pair = Counter(), Counter()
+        for k in some:
+            if k != leave:
+                uni.update(own[k])
+                pair.update(zip(own[k], own[k][1:], strict=False))
+        follow = Counter()
+        for (h, _), n in pair.items():
+            follow[h] += n
+        out.append((uni, pair, follow, sum(uni.values())))
+    return out
+
+
+def lm_words(docs):
+    own = {k: re.findall(rb"[^\x20\x09-\x0D]+", t.encode().lower()) for k, t in texts(docs).items()}
+    seen = Counter(w for words in own.values() for w in words)
+    return {k: [w if seen[w] > 1 else None for w in words] for k, words in own.items()}, sum(n > 1 for n in seen.values())
+
+
+def lm_probability(model, scale, n_vocab, w, h=Ellipsis):
+    uni, pair, follow, total = model
+    p = (scale * uni[w] + 0.5) / (scale * total + 0.5 * (n_vocab + 1))
+    return p if h is Ellipsis else (scale * pair[h, w] + 2.0 * p) / (scale * follow[h] + 2.0)
+
+
+def test_lm_models_add_up_to_one(docs, labels):
+    good = {r["doc_id"] for r in labels.where("quality = 1").collect()}
+    own, n_vocab = lm_words(docs)
+    words = sorted({w for x in own.values() for w in x if w is not None}) + [None]
+    assert len(words) == n_vocab + 1
+    for (uni, pair, follow, total), scale in zip(exact_models(own, good), (1.0, 0.3), strict=True):
+        p = lm_scoring.unigram(scale * np.array([uni[w] for w in words]), scale * total, n_vocab)
+        assert p.sum() == pytest.approx(1, abs=1e-9)
+        for h in [w for w, _ in uni.most_common(25)] + [None] + words[: len(words) - 1 : max(1, len(words) // 25)]:
+            assert lm_scoring.bigram(scale * np.array([pair[h, w] for w in words]), scale * follow[h], p).sum() == pytest.approx(1, abs=1e-9)
+
+
 def test_lm_scoring_equals_exact_counts(docs, labels):
-    """Vocabulary and bigrams are whole and exact, whatever the chunks and buckets."""
+    """Every score, the document's own counts left out, whatever the chunks and buckets."""
     trusted = labels.where("quality = 1")
     good = {r["doc_id"] for r in trusted.collect()}
-    own = {k: re.findall(rb"[^\x20\x09-\x0D]+", t.encode().lower()) for k, t in texts(docs).items()}
-    seen = Counter(w for words in own.values() for w in words)
-    own = {k: [w if seen[w] > 1 else None for w in words] for k, words in own.items()}
-    models = [(Counter(w for x in some for w in x), Counter(p for x in some for p in zip(x, x[1:], strict=False))) for some in ([x for k, x in own.items() if k in good], list(own.values()))]
-    size = sum(n > 1 for n in seen.values()) + 1
-
-    def loss(words, uni, pair):
-        total = sum(uni.values())
-        p = [(uni[w] + 0.5) / (total + 0.5 * size) for w in words]
-        for i in range(1, len(words)):
-            if uni[words[i - 1]]:
-                p[i] = 0.5 * pair[words[i - 1], words[i]] / uni[words[i - 1]] + 0.5 * p[i]
+    own, n_vocab = lm_words(docs)
+    whole = exact_models(own, good)
+    scale = whole[0][3] / whole[1][3]
+
+    def without(model, words):
+        uni, pair, follow, total = model
+        less, pairs, heads = Counter(words), Counter(zip(words, words[1:], strict=False)), Counter(words[:-1])
+        return ({w: uni[w] - less[w] for w in less}, {p: pair[p] - pairs[p] for p in pairs}, {h: follow[h] - heads[h] for h in heads}, total - len(words))
+
+    def loss(words, model, scale):
+        p = [lm_probability(model, scale, n_vocab, w, *([words[i - 1]] if i else [])) for i, w in enumerate(words)]
         return -sum(map(np.log, p)) / max(1, len(words))
 
     for sizes in ({}, {"chunk_words": 20_000, "bucket_keys": 20_000}):
@@ -359,7 +398,11 @@ def test_lm_scoring_equals_exact_counts(docs, labels):
         for r in rows:
             words = own[r["doc_id"]]
             assert (r["n_words"], r["n_unknown"]) == (len(words), words.count(None))
-            assert [r["ce_target"], r["ce_background"]] == pytest.approx([loss(words, *m) for m in models], abs=1e-9)
+            target = without(whole[0], words) if r["doc_id"] in good else whole[0]
+            assert [r["ce_target"], r["ce_background"]] == pytest.approx([loss(words, target, 1.0), loss(words, without(whole[1], words), scale)], abs=1e-9)
+            assert r["target_like"] == (len(words) > 0 and r["score"] <= r["threshold"]) and r["trusted"] == (r["doc_id"] in good)
+        mine = [r["target_like"] for r in rows if r["trusted"]]
+        assert 0.88 * len(mine) <= sum(mine) <= 0.93 * len(mine) + 1
 
 
 def test_empty_tables(spark, empty, labels, small):
