@@ -41,7 +41,7 @@ ADD = 0.5
 #: Weight of the unigram in a bigram's probability, in words.
 WEIGHT = 2.0
 #: Share of the trusted documents whose scores count as target-like.
-LIKE = 0.9
+LIKE = 0.8
 #: Counts of a word in both models: all, and at the end of a text.
 WORD_COUNTS = ("target", "background", "target_last", "background_last")
 #: Words and rows after which a chunk of texts is closed.

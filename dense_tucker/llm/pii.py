@@ -1,15 +1,16 @@
 """Personal data: base patterns, and a character BiLSTM with CRF transitions that adds spans to them.
 
-The network is trained in numpy by gradient ascent on the CRF likelihood, from the labelled spans of at most
-TRAIN_DOCS documents (the base patterns label them). At use, windows of fixed length overlap around every
-character that any kind of span must contain (a digit or an @); a window without one can hold no span. Of
-overlapping windows, each character's tag is taken from the window in which it stands most central; runs are
-then cut into spans over the whole text. A span is added if it holds a digit or @, is sure enough and meets
-no base span.
+The network is trained in numpy by gradient ascent on the CRF likelihood, from labelled spans: those that the base patterns
+find in at most TRAIN_DOCS documents, and values in writings that the base patterns do not know (`jo (at) mail (dot) org`,
+`192[.]0[.]2[.]7`, numbers without a plus sign, with dots or in words), set into text of these documents beside harmless
+numbers and words. At use it reads every character of every text in windows of WINDOW characters that overlap by twice
+MARGIN; each character's tag is taken from the window in which it stands most central, and spans are cut over the
+whole text, at the borders of words. A span is added if it is sure enough, meets no base span and, written plainly, passes the
+base rule's check of its kind (parts up to 255, Luhn, number of digits, form of an address).
 
 Null and empty texts have no spans. Spans are code points, end exclusive. Repeated rows are answered one by
-one; an empty table gives an empty result; without a labelled span only base patterns answer. Other columns
-are ignored (redact keeps them).
+one; an empty table gives an empty result; without a training text only base patterns answer. Other columns
+are ignored (redact keeps them). Base patterns take time in proportion to the text, whatever it holds.
 """
 
 from __future__ import annotations
@@ -24,25 +25,39 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import lexing
+from .common import TRAIN_TEXT_BYTES, slices, texts_of
 
 KINDS = ("email", "ip", "card", "phone")
-TRAIN_DOCS = 3_000
-WINDOW = 96
-MARGIN = 24
+TRAIN_DOCS = 2_000
+#: Characters of a window, and of its borders that its neighbours decide.
+WINDOW = 384
+MARGIN = 32
+#: Lengths of windows are rounded up to a multiple of this, so that a window's answer does not hang on its neighbours in a batch.
+ROUND = 32
+#: Characters of a training window, and training windows made for each document.
+SAMPLE = 88
+PER_DOC = 3
 #: Mean probability of its tags from which a span is added.
-SURE = 0.95
-HIDDEN = 16
+SURE = 0.6
+#: Words by which a found span may grow or shrink at either border.
+REACH = 6
+HIDDEN = 12
 EMBED = 8
 #: Fixed patterns of the base rules.
-_RUN = re.compile(r"[A-Za-z0-9._%+\-@]+")
+_LOCAL = re.compile(r"[A-Za-z0-9._%+-]+")
+_DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 _EMAIL = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
-_IP = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
-_CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
+_PARTS = re.compile(r"[0-9]++(?:\.[0-9]++)*+")
+_CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])++")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _TRIGGER = np.zeros(256, bool)
 _TRIGGER[0x30:0x3A] = True
 _TRIGGER[0x40] = True
-_DIGITS = re.compile(r"[0-9@]")
+_CLASS = np.full(128, 96, np.uint8)
+_CLASS[0x20:0x7F] = np.arange(1, 96)
+_CLASS[0x0A] = 97
+#: Written digits.
+_WORDS = ("zero", "one", "two", "three", "four", "five", "six", "seven", "eight", "nine")
 Span = tuple[str, int, int]
 
 
@@ -56,26 +71,53 @@ def luhn(digits: str) -> bool:
     return total % 10 == 0
 
 
-def base_spans(text: str) -> list[Span]:
-    """Spans of the base rules, by start, then kind as listed."""
+def _emails(text: str) -> list[Span]:
+    """Each @ takes the address characters before it that no earlier match holds, and labels after it."""
+    out: list[Span] = []
+    at, free = text.find("@"), 0
+    while at >= 0:
+        before = _LOCAL.match(text[free:at][::-1])
+        after = _DOMAIN.match(text, at + 1) if before else None
+        free = at + 1
+        if after:
+            out.append(("email", at - before.end(), after.end()))
+            free = after.end()
+        at = text.find("@", free)
+    return out
+
+
+def _ips(text: str) -> list[Span]:
+    """Fours of the parts of every maximal run of dotted numbers."""
     out: list[Span] = []
-    if "@" in text:
-        at = text.find("@")
-        while at >= 0:  # a match lies within a run of address characters
-            low = at
-            while low and _RUN.fullmatch(text, low - 1, low):
-                low -= 1
-            run = _RUN.match(text, low)
-            out += [("email", m.start(), m.end()) for m in _EMAIL.finditer(text, low, run.end())]
-            at = text.find("@", run.end())
-    if _DIGITS.search(text):
-        out += [("ip", m.start(), m.end()) for m in _IP.finditer(text) if all(int(x) <= 255 for x in m[0].split("."))]
-        for m in _CARD.finditer(text):
+    for m in _PARTS.finditer(text):
+        parts = m[0].split(".")
+        start = m.start()
+        for k in range(0, len(parts) // 4 * 4, 4):
+            four = parts[k : k + 4]
+            end = start + sum(map(len, four)) + 3
+            if all(_small(x) for x in four):
+                out.append(("ip", start, end))
+            start = end + 1
+    return out
+
+
+def _small(digits: str) -> bool:
+    digits = digits.lstrip("0")
+    return len(digits) < 4 and int(digits or "0") <= 255
+
+
+def base_spans(text: str) -> list[Span]:
+    """Spans of the base rules, by start, then kind as listed; one pass over the text for each kind."""
+    out = _emails(text) if "@" in text else []
+    if "." in text:
+        out += _ips(text)
+    for m in _CARD.finditer(text):
+        if 12 <= m.end() - m.start() <= 37:
             digits = m[0].replace(" ", "").replace("-", "")
             if 12 <= len(digits) <= 19 and luhn(digits):
                 out.append(("card", m.start(), m.end()))
-        if "+" in text:
-            out += [("phone", m.start(), m.end()) for m in _PHONE.finditer(text) if 9 <= sum(map(str.isdigit, m[0])) <= 15]
+    if "+" in text:
+        out += [("phone", m.start(), m.end()) for m in _PHONE.finditer(text) if 9 <= sum(map(str.isdigit, m[0])) <= 15]
     return sorted(out, key=lambda s: (s[1], KINDS.index(s[0])))
 
 
@@ -85,33 +127,112 @@ def written(spans: list[Span]) -> str:
 
 def _codes(text: str) -> np.ndarray:
     """Class of each character: 1-95 printable ASCII, 96 other, 97 line feed; 0 is padding."""
-    points = np.frombuffer(text.encode("utf-32-le", "replace"), "<u4").astype(np.int64)
-    return np.where((points >= 0x20) & (points < 0x7F), points - 0x1F, np.where(points == 0x0A, 97, 96))
-
-
-def windows_of(codes: np.ndarray, size: int = WINDOW, margin: int = MARGIN) -> np.ndarray:
-    """First characters of overlapping windows that cover every trigger with `margin` characters around it."""
-    hits = np.flatnonzero((codes == 0x40 - 0x1F) | ((codes >= 0x30 - 0x1F) & (codes < 0x3A - 0x1F)))
-    firsts = []
-    reach = -1
-    for h in hits.tolist():
-        if h + min(margin, len(codes) - 1 - h) < reach:
-            continue
-        start = max(0, h - margin) if h >= reach - margin else reach - 2 * margin
-        if firsts and start <= firsts[-1]:
-            start = firsts[-1] + size - 2 * margin
-        firsts.append(start)
-        reach = start + size
-    return np.asarray(firsts, np.int64)
+    if text.isascii():
+        return _CLASS[np.frombuffer(text.encode(), np.uint8)]
+    points = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), "<u4")
+    return np.where(points < 128, _CLASS[np.minimum(points, 127)], np.uint8(96))
+
+
+# Values and their writings, for training
+
+
+def _one(rng: np.random.Generator, options):
+    return options[int(rng.integers(0, len(options)))]
+
+
+def _plain(rng: np.random.Generator, kind: str, words: list[str]) -> str:
+    """A value that its base pattern finds."""
+    number = lambda n: "".join(map(str, rng.integers(0, 10, n)))
+    if kind == "email":
+        name = [_one(rng, words).lower() for _ in range(3)]
+        local = _one(rng, [name[0], f"{name[0]}.{name[1]}", f"{name[0]}{rng.integers(1, 99)}", f"{name[0][:1]}{name[1]}"])
+        return f"{local}@{name[2]}.{_one(rng, ['com', 'org', 'net', 'de', 'fr', 'example.com', 'co.uk', 'io'])}"
+    if kind == "ip":
+        return ".".join(map(str, rng.integers(0, 256, 4)))
+    if kind == "card":
+        body = str(rng.integers(3, 7)) + number(_one(rng, [13, 14, 14, 14]))
+        digits = next(body + str(d) for d in range(10) if luhn(body + str(d)))
+        return _one(rng, ["", " ", "-"]).join(digits[i : i + 4] for i in range(0, len(digits), 4))
+    a, b = str(rng.integers(1, 100)), number(3)
+    return _one(rng, [f"+{a} {b} {number(7)}", f"+{a} ({b}) {number(3)}-{number(4)}", f"+{a}{b}{number(7)}", f"+{a}-{b}-{number(3)}-{number(4)}"])
+
+
+def _disguised(rng: np.random.Generator, kind: str, value: str) -> str:
+    """The value in a writing that its base pattern does not find."""
+    digits = re.sub("[^0-9]", "", value)
+    if kind == "email":
+        local, host = value.split("@")
+        at = _one(rng, [" at ", " (at) ", "[at]", " AT ", "(at)", " [at] ", " @ "])
+        dot = {" at ": " dot ", " AT ": " DOT ", " (at) ": " (dot) ", "[at]": "[dot]", "(at)": "(dot)", " [at] ": " [dot] ", " @ ": " . "}[at]
+        return local + at + host.replace(".", dot if rng.random() < 0.7 or at in (" @ ", " at ", " AT ") else ".")
+    if kind == "ip":
+        return value.replace(".", _one(rng, ["[.]", " . ", "(.)", " dot ", "[dot]"]))
+    if kind == "card":
+        step = _one(rng, [".", "_", "/", "  ", "words"])
+        if step == "words":
+            return " ".join(_WORDS[int(d)] for d in digits)
+        return step.join(digits[i : i + 4] for i in range(0, len(digits), 4))
+    form = int(rng.integers(0, 6))
+    if form == 0:
+        return "plus " + " ".join(_WORDS[int(d)] for d in digits)
+    last = digits[-10:]
+    return (f"({last[:3]}) {last[3:6]}-{last[6:]}", f"({last[:3]}) {last[3:6]}-{last[6:]}", f"00{digits[:2]} {digits[2:5]} {digits[5:]}", f"{last[:3]}.{last[3:6]}.{last[6:]}", f"{last[:3]}-{last[3:6]}-{last[6:]}", f"{last[:3]}/{last[3:6]}-{last[6:]}")[form]
+
+
+def _harmless(rng: np.random.Generator, words: list[str]) -> str:
+    """Numbers and words that are no personal data."""
+    n = lambda a, b: int(rng.integers(a, b))
+    a, b, c = (_one(rng, words) for _ in range(3))
+    forms = (
+        lambda: f"{n(1900, 2100)}-{n(1, 13):02d}-{n(1, 29):02d}", lambda: f"{n(1, 29)}/{n(1, 13)}/{n(1900, 2100)}", lambda: f"{n(0, 24)}:{n(0, 60):02d}", lambda: f"{n(1, 999)},{n(0, 1000):03d}.{n(0, 100):02d}",
+        lambda: f"v{n(0, 20)}.{n(0, 20)}.{n(0, 20)}", lambda: f"{n(1, 100)}.{n(0, 100)}%", lambda: f"{a} at {b}", lambda: f"{a} (at {b})", lambda: f"a dot {a}", lambda: f"{' '.join(_WORDS[k] for k in rng.integers(0, 10, n(1, 4)))} {a}",
+        lambda: f"{a}@{b}", lambda: f"@{a}", lambda: f"{a}.{b}.{c}", lambda: f"{n(1, 10**6)}", lambda: f"no. {n(1, 10**4)}", lambda: f"{n(10, 99)} {n(10, 99)} {n(10, 99)}", lambda: f"{n(1900, 2000)}-{n(2000, 2100)}", lambda: f"[{n(1, 99)}]",
+        lambda: f"({n(1, 99)})", lambda: f"{n(1, 20)}.{n(1, 20)}", lambda: f"+{n(1, 99)}", lambda: f"{a}/{b}/{n(1, 99)}", lambda: f"#{n(1, 10**5)}", lambda: f"{n(1, 50)}, {n(1, 50)}, {n(1, 50)}, {n(1, 50)}", lambda: f"{a} [{b}] {c}", lambda: f"{a} {b}. {c}", lambda: f"{a} at www.{b}.com",
+    )
+    return _one(rng, forms)()
+
+
+def disguised_samples(texts: list[str], n: int, seed: int) -> list[tuple[str, list[Span], list[Span]]]:
+    """n windows of these texts with values set in: (window, all spans, those in a writing that base patterns do not find)."""
+    rng = np.random.default_rng(seed)
+    words = sorted({w for t in texts[:500] for w in re.findall(r"[A-Za-z]{2,10}", t[:2_000])}) or ["name", "mail", "host"]
+    full = [t for t in texts if t] or [" "]
+    out = []
+    for _ in range(n):
+        text = full[int(rng.integers(0, len(full)))]
+        start = int(rng.integers(0, max(1, len(text) - 40)))
+        piece = text[start : start + int(rng.integers(10, 60))]
+        cut = piece.rfind(" ", 0, int(rng.integers(1, len(piece) + 1))) + 1
+        head, tail = piece[:cut], piece[cut:]
+        what, hidden = rng.random(), False
+        if what < 0.12:
+            put, kind = "", None
+        elif what < 0.35:
+            put, kind = _harmless(rng, words), None
+        else:
+            kind = _one(rng, KINDS)
+            put = _plain(rng, kind, words)
+            if what > 0.5:
+                put, hidden = _disguised(rng, kind, put), True
+        before, after = _one(rng, ["", "", "", "(", ": ", "\n", "call ", "tel. ", "mail: ", "see "]), _one(rng, [" ", " ", " ", ". ", ", ", ") ", "\n"])
+        made = head + before + put + after + tail
+        at = len(head) + len(before)
+        spans = base_spans(made) if kind is None or not hidden else [s for s in base_spans(made) if s[2] <= at or s[1] >= at + len(put)]
+        mine = [(kind, at, at + len(put))] if hidden else []
+        out.append((made, sorted(spans + mine, key=lambda s: s[1]), mine))
+    return out
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
-    return 1 / (1 + np.exp(-np.clip(x, -20, 20)))
+    return 0.5 * np.tanh(0.5 * x) + 0.5
 
 
 @dataclass
 class Tagger:
-    """Parameters by name; tags: 0 outside, then begin and inside of each kind."""
+    """Parameters by name; tags: 0 outside, then begin and inside of each kind. Gates in order: forget, input, output, candidate.
+
+    `w` and `out` have one layer for each direction; the backward one reads a window from its (padded) end.
+    """
 
     p: dict[str, np.ndarray] = field(default_factory=dict)
 
@@ -119,41 +240,31 @@ class Tagger:
     def new(cls, hidden: int = HIDDEN, embed: int = EMBED, seed: int = 11) -> Tagger:
         rng = np.random.default_rng(seed)
         tags = 1 + 2 * len(KINDS)
-        p = {"embed": rng.normal(0, 0.3, (98, embed)), "out": rng.normal(0, 0.2, (2 * hidden, tags)), "out_b": np.zeros(tags), "move": np.zeros((tags, tags))}
-        for side in "fb":
-            p["w" + side] = rng.normal(0, 1 / np.sqrt(embed + hidden), (embed + hidden, 4 * hidden))
-            p["b" + side] = np.concatenate([np.ones(hidden), np.zeros(3 * hidden)])
+        p = {"embed": rng.normal(0, 0.3, (98, embed)), "out": rng.normal(0, 0.2, (2, hidden, tags)), "out_b": np.zeros(tags), "move": np.zeros((tags, tags))}
+        p["w"] = rng.normal(0, 1 / np.sqrt(embed + hidden), (2, embed + hidden, 4 * hidden))
+        p["b"] = np.zeros((2, 4 * hidden))
+        p["b"][:, :hidden] = 1
         return cls({k: v.astype(np.float32) for k, v in p.items()})
 
-    def _lstm(self, x: np.ndarray, side: str, keep: bool) -> tuple[np.ndarray, list]:
-        """x: time x batch x embed. Gates in order: forget, input, output, candidate."""
-        w, b = self.p["w" + side], self.p["b" + side]
-        n = w.shape[1] // 4
-        e = x.shape[2]
-        drive = x @ w[:e] + b
-        h = np.zeros((x.shape[1], n), np.float32)
-        c = np.zeros_like(h)
-        out, tape = np.empty((*x.shape[:2], n), np.float32), []
-        for t in range(len(x)) if side == "f" else range(len(x) - 1, -1, -1):
-            z = drive[t] + h @ w[e:]
-            gates = _sigmoid(z[:, : 3 * n])
-            g = np.tanh(z[:, 3 * n :])
-            f, i, o = gates[:, :n], gates[:, n : 2 * n], gates[:, 2 * n :]
-            before, c = c, f * c + i * g
-            tc = np.tanh(c)
-            if keep:
-                tape.append((t, h, before, f, i, o, g, tc))
-            h = o * tc
-            out[t] = h
-        return out, tape
-
-    def emissions(self, codes: np.ndarray, keep: bool = False):
-        """codes: batch x time. Scores time x batch x tags."""
+    def emissions(self, codes: np.ndarray):
+        """codes: batch x time. Scores time x batch x tags, and what gradients() needs."""
         x = self.p["embed"][codes.T]
-        hf, tf = self._lstm(x, "f", keep)
-        hb, tb = self._lstm(x, "b", keep)
-        both = np.concatenate([hf, hb], 2)
-        return both @ self.p["out"] + self.p["out_b"], (x, both, tf, tb)
+        x = np.stack([x, x[::-1]], 1)  # time x direction x batch x embed
+        w, e = self.p["w"], x.shape[3]
+        n = w.shape[2] // 4
+        drive = x @ w[:, :e] + self.p["b"][:, None]
+        shape = (*x.shape[:3], n)
+        h, c, gates, tanh_c = np.zeros((shape[0] + 1, *shape[1:]), x.dtype), np.zeros((shape[0] + 1, *shape[1:]), x.dtype), np.empty((*shape[:3], 4 * n), x.dtype), np.empty(shape, x.dtype)
+        for t in range(shape[0]):
+            z = drive[t] + h[t] @ w[:, e:]
+            gates[t, ..., : 3 * n] = _sigmoid(z[..., : 3 * n])
+            gates[t, ..., 3 * n :] = np.tanh(z[..., 3 * n :])
+            f, i, o, g = (gates[t, ..., k * n : (k + 1) * n] for k in range(4))
+            c[t + 1] = f * c[t] + i * g
+            np.tanh(c[t + 1], out=tanh_c[t])
+            h[t + 1] = o * tanh_c[t]
+        scores = h[1:, 0] @ self.p["out"][0] + h[1:, 1][::-1] @ self.p["out"][1] + self.p["out_b"]
+        return scores, (x, h, c, gates, tanh_c)
 
     def marginals(self, scores: np.ndarray, mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Tag probabilities (time x batch x tags) and expected transitions, by scaled forward-backward."""
@@ -178,50 +289,85 @@ class Tagger:
         post = fwd * bwd
         return post / post.sum(2, keepdims=True), pair
 
-    def _back(self, x: np.ndarray, d_out: np.ndarray, tape: list, side: str, grads: dict) -> np.ndarray:
-        w = self.p["w" + side]
-        n = w.shape[1] // 4
-        e = x.shape[2]
-        dx = np.zeros_like(x)
-        dw, db = np.zeros_like(w), np.zeros_like(self.p["b" + side])
-        dh = np.zeros((x.shape[1], n), np.float32)
-        dc = np.zeros_like(dh)
-        for t, h, before, f, i, o, g, tc in reversed(tape):
-            dh = dh + d_out[t]
-            dc = dc + dh * o * (1 - tc * tc)
-            dz = np.concatenate([dc * before * f * (1 - f), dc * g * i * (1 - i), dh * tc * o * (1 - o), dc * i * (1 - g * g)], 1)
-            dw += np.concatenate([x[t], h], 1).T @ dz
-            db += dz.sum(0)
-            back = dz @ w.T
-            dx[t], dh = back[:, :e], back[:, e:]
-            dc = dc * f
-        grads["w" + side], grads["b" + side] = dw, db
-        return dx
-
     def gradients(self, codes: np.ndarray, tags: np.ndarray) -> dict[str, np.ndarray]:
         """Ascent direction of the mean log likelihood of tags (batch x time; -1 is padding)."""
         mask = (tags >= 0).T
-        scores, (x, both, tf, tb) = self.emissions(codes, True)
+        scores, (x, h, c, gates, tanh_c) = self.emissions(codes)
         post, pair = self.marginals(scores, mask)
         n_tags = scores.shape[2]
-        gold = np.eye(n_tags)[np.maximum(tags.T, 0)]
-        d = ((gold - post) * mask[:, :, None]).astype(np.float32) / len(codes)
+        d = ((np.eye(n_tags)[np.maximum(tags.T, 0)] - post) * mask[:, :, None]).astype(x.dtype) / len(codes)
         inner = mask[1:] & mask[:-1]
         seen = np.zeros((n_tags, n_tags))
         np.add.at(seen, (np.maximum(tags.T[:-1], 0)[inner], np.maximum(tags.T[1:], 0)[inner]), 1)
-        grads = {"move": ((seen - pair) / len(codes)).astype(np.float32), "out": np.einsum("tbh,tbk->hk", both, d), "out_b": d.sum((0, 1))}
-        d_both = d @ self.p["out"].T
-        n = both.shape[2] // 2
-        dx = self._back(x, d_both[:, :, :n], tf, "f", grads) + self._back(x, d_both[:, :, n:], tb, "b", grads)
-        grads["embed"] = np.zeros_like(self.p["embed"])
-        np.add.at(grads["embed"], codes.T, dx)
+        both, n_hidden = np.stack([d, d[::-1]], 1), h.shape[3]
+        grads = {"move": ((seen - pair) / len(codes)).astype(x.dtype), "out": h[1:].transpose(1, 3, 0, 2).reshape(2, n_hidden, -1) @ both.transpose(1, 0, 2, 3).reshape(2, -1, n_tags), "out_b": d.sum((0, 1))}
+        d_h = both @ self.p["out"].transpose(0, 2, 1)
+        w, e = self.p["w"], x.shape[3]
+        n = w.shape[2] // 4
+        back = w.transpose(0, 2, 1)
+        dz = np.empty_like(gates)
+        dh, dc = np.zeros_like(h[0]), np.zeros_like(h[0])
+        for t in range(len(x) - 1, -1, -1):
+            f, i, o, g = (gates[t, ..., k * n : (k + 1) * n] for k in range(4))
+            dh = dh + d_h[t]
+            dc = dc + dh * o * (1 - tanh_c[t] ** 2)
+            dz[t, ..., :n] = dc * c[t] * f * (1 - f)
+            dz[t, ..., n : 2 * n] = dc * g * i * (1 - i)
+            dz[t, ..., 2 * n : 3 * n] = dh * tanh_c[t] * o * (1 - o)
+            dz[t, ..., 3 * n :] = dc * i * (1 - g * g)
+            dh = dz[t] @ back[..., e:]
+            dc = dc * f
+        flat = dz.transpose(1, 0, 2, 3).reshape(2, -1, 4 * n)
+        inputs = np.concatenate([x, h[:-1]], 3).transpose(1, 0, 2, 3).reshape(2, flat.shape[1], -1)
+        grads["w"], grads["b"] = inputs.transpose(0, 2, 1) @ flat, flat.sum(1)
+        dx = dz @ back[..., :e]
+        dx = dx[:, 0] + dx[::-1, 1]
+        grads["embed"] = np.stack([np.bincount(codes.T.ravel(), dx[..., k].ravel(), minlength=98) for k in range(e)], 1).astype(x.dtype)
         return grads
 
-    def decode(self, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Best tag sequence (batch x time, by Viterbi) and its tags' marginal probabilities."""
-        mask = (codes > 0).T
-        scores, _ = self.emissions(codes)
-        post, _ = self.marginals(scores, mask)
+    def scores(self, codes: np.ndarray) -> np.ndarray:
+        """codes: batch x time. Scores time x tags x batch, in a layout that keeps all steps in long contiguous rows."""
+        w, embed = self.p["w"].transpose(0, 2, 1).copy(), np.ascontiguousarray(self.p["embed"].T)
+        n, e = w.shape[1] // 4, len(embed)
+        w = np.concatenate([w[:, :, :e], self.p["b"][:, :, None], w[:, :, e:]], 2)
+        w[:, : 3 * n] *= 0.5
+        out = np.ascontiguousarray(self.p["out"].transpose(0, 2, 1))
+        B, T = codes.shape
+        at = np.ascontiguousarray(codes.T).astype(np.intp)
+        state = np.zeros((2, e + 1 + n, B), np.float32)
+        state[:, e] = 1
+        c, z, part = np.zeros((2, n, B), np.float32), np.empty((2, 4 * n, B), np.float32), np.empty((2, n, B), np.float32)
+        made = np.empty((2, T, out.shape[1], B), np.float32)
+        for t in range(T):
+            np.take(embed, at[t], axis=1, out=state[0, :e], mode="clip")
+            np.take(embed, at[T - 1 - t], axis=1, out=state[1, :e], mode="clip")
+            np.matmul(w, state, out=z)
+            np.tanh(z, out=z)
+            z[:, : 3 * n] *= 0.5
+            z[:, : 3 * n] += 0.5
+            c *= z[:, :n]
+            c += np.multiply(z[:, n : 2 * n], z[:, 3 * n :], out=part)
+            np.tanh(c, out=part)
+            np.multiply(part, z[:, 2 * n : 3 * n], out=state[:, e + 1 :])
+            np.matmul(out[0], state[0, e + 1 :], out=made[0, t])
+            np.matmul(out[1], state[1, e + 1 :], out=made[1, T - 1 - t])
+        made[0] += made[1]
+        made[0] += self.p["out_b"][:, None]
+        return made[0]
+
+    def undecided(self, scores: np.ndarray) -> np.ndarray:
+        """Of scores time x tags x batch: the rows whose best path is not all `outside`, by a Viterbi pass without links."""
+        move = (self.p["move"] - self.p["move"][0, 0])[:, :, None]
+        gain = scores - scores[:, :1]
+        best, ways = gain[0], np.empty((*move.shape[:2], scores.shape[2]), np.float32)
+        for now in gain[1:]:
+            np.add(best[:, None], move, out=ways)
+            best = ways.max(0)
+            best += now
+        return np.flatnonzero(best.max(0) > 1e-4)
+
+    def decode(self, scores: np.ndarray, mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Of scores time x batch x tags: best tag sequence (batch x time, by Viterbi) and its tags' marginal probabilities (1 in rows that are all `outside`)."""
         move = self.p["move"]
         T, B, K = scores.shape
         best, link = scores[0], np.zeros((T, B, K), np.int8)
@@ -236,43 +382,57 @@ class Tagger:
             tags[t] = np.where(mask[t], now, 0)
             if t:
                 now = np.where(mask[t], link[t, rows, now], now)
-        return tags.T, np.take_along_axis(post, tags[:, :, None], 2)[:, :, 0].T
+        sure, some = np.ones((T, B)), np.flatnonzero(tags.any(0))
+        if len(some):
+            post, _ = self.marginals(np.ascontiguousarray(scores[:, some]), mask[:, some])
+            sure[:, some] = np.take_along_axis(post, tags[:, some, None], 2)[:, :, 0]
+        return tags.T, sure.T
 
 
-def examples(text: str, size: int = WINDOW) -> tuple[list[np.ndarray], list[np.ndarray]]:
-    """Windows of a labelled text with their tags."""
-    codes = _codes(text)
-    tags = np.zeros(len(codes), np.int64)
-    for kind, a, b in base_spans(text):
+def _tags(n: int, spans: list[Span]) -> np.ndarray:
+    tags = np.zeros(n, np.int64)
+    for kind, a, b in spans:
         if not tags[a:b].any():
             k = KINDS.index(kind)
             tags[a:b] = 2 + 2 * k
             tags[a] = 1 + 2 * k
-    firsts = windows_of(codes)
-    return [codes[f : f + size] for f in firsts.tolist()], [tags[f : f + size] for f in firsts.tolist()]
+    return tags
 
 
-def fit(texts: list[str], steps: int = 260, batch: int = 32, rate: float = 0.02, seed: int = 5) -> Tagger | None:
-    """Train on the labelled windows; None without a labelled span."""
+def examples(texts: list[str], seed: int = 5) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    """Training windows and their tags: one around each base span, and windows with values set in."""
+    rng = np.random.default_rng(seed)
     xs: list[np.ndarray] = []
     ys: list[np.ndarray] = []
-    for t in texts:
-        x, y = examples(t)
-        xs += x
-        ys += y
-    if not any(y.any() for y in ys):
+    for text in texts:
+        spans = base_spans(text)
+        if spans:
+            tags, codes = _tags(len(text), spans), _codes(text)
+            for _, a, b in spans:
+                f = max(0, min(a - int(rng.integers(0, 40)), b + 20 - SAMPLE))
+                xs.append(codes[f : f + SAMPLE])
+                ys.append(tags[f : f + SAMPLE])
+    for text, spans, _ in disguised_samples(texts, PER_DOC * len(texts), seed):
+        xs.append(_codes(text)[:SAMPLE])
+        ys.append(_tags(len(text), spans)[:SAMPLE])
+    return xs, ys
+
+
+def fit(texts: list[str], steps: int = 900, batch: int = 32, rate: float = 0.02, seed: int = 5) -> Tagger | None:
+    """Train on the labelled windows of these texts; None without a text."""
+    if not any(texts):
         return None
+    xs, ys = examples(texts, seed)
     rng = np.random.default_rng(seed)
     net = Tagger.new()
     m = {k: np.zeros_like(v) for k, v in net.p.items()}
     v2 = {k: np.zeros_like(v) for k, v in net.p.items()}
-    marked = [i for i, y in enumerate(ys) if y.any()]
     for step in range(1, steps + 1):
-        pick = np.concatenate([rng.choice(len(xs), batch // 2), rng.choice(marked, batch // 2)])
-        codes, tags = np.zeros((batch, WINDOW), np.int64), np.full((batch, WINDOW), -1, np.int64)
+        pick = rng.choice(len(xs), batch)
+        codes, tags = np.zeros((batch, SAMPLE), np.int64), np.full((batch, SAMPLE), -1, np.int64)
         for r, i in enumerate(pick.tolist()):
             codes[r, : len(xs[i])], tags[r, : len(xs[i])] = xs[i], ys[i]
-        now = rate * (1 - 0.9 * step / steps)
+        now = rate * (1 - 0.95 * step / steps)
         for k, g in net.gradients(codes, tags).items():
             m[k] = 0.9 * m[k] + 0.1 * g
             v2[k] = 0.99 * v2[k] + 0.01 * g * g
@@ -280,91 +440,170 @@ def fit(texts: list[str], steps: int = 260, batch: int = 32, rate: float = 0.02,
     return net
 
 
-def train(docs: DataFrame, most: int = TRAIN_DOCS) -> Tagger | None:
-    """Fit on at most `most` documents with a digit or @, those with the least hashed ids."""
-    ids = docs.where(F.col("text").isNotNull() & F.col("doc_id").isNotNull()).select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    rows = docs.select("doc_id", "text").join(F.broadcast(ids.distinct()), "doc_id").where(F.col("text").rlike("[0-9@]")).orderBy("doc_id", "text").select("text").toArrow()
+def train(docs: DataFrame, most: int = TRAIN_DOCS, longest: int = TRAIN_TEXT_BYTES) -> Tagger | None:
+    """Fit on at most `most` documents of up to `longest` bytes, those with the least hashed ids."""
+    ids = docs.where(F.col("text").isNotNull() & F.col("doc_id").isNotNull()).select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(most).distinct()
+    short = docs.select("doc_id", F.col("text").cast("string").alias("text")).where(F.col("text").isNotNull() & (F.octet_length("text") <= longest))
+    rows = short.join(F.broadcast(ids), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text")).orderBy("doc_id").select("text").toArrow()
     return fit(rows.column("text").to_pylist())
 
 
-def model_spans(texts: list[str], net: Tagger, sure: float = SURE, batch: int = 256) -> list[list[Span]]:
+def windows_of(n: int, size: int = WINDOW, margin: int = MARGIN) -> list[tuple[int, int, int, int]]:
+    """First and end character of each window of a text of n characters, and the part of it that the window decides."""
+    step = size - 2 * margin
+    firsts = range(0, max(1, n - 2 * margin), step) if n else ()
+    last = len(firsts) - 1
+    return [(f, min(n, f + size), f + margin if k else 0, n if k == last else f + margin + step) for k, f in enumerate(firsts)]
+
+
+def model_spans(texts: list[str], net: Tagger, sure: float = SURE, batch: int = 512) -> list[list[Span]]:
     """Spans that the network finds in each text, reconciled over its windows."""
     coded = [_codes(t) for t in texts]
-    places = [(i, f) for i, c in enumerate(coded) for f in windows_of(c).tolist()]
-    tags = [np.zeros(len(c), np.int64) for c in coded]
-    probability = [np.ones(len(c), np.float32) for c in coded]
-    central = [np.full(len(c), -1, np.int64) for c in coded]
-    for s in range(0, len(places), batch):
-        part = places[s : s + batch]
-        codes = np.zeros((len(part), WINDOW), np.int64)
-        for r, (i, f) in enumerate(part):
-            piece = coded[i][f : f + WINDOW]
-            codes[r, : len(piece)] = piece
-        best, sure_of = net.decode(codes)
-        for r, (i, f) in enumerate(part):
-            n = min(WINDOW, len(coded[i]) - f)
-            depth = np.minimum(np.arange(n) + (WINDOW if f == 0 else 0), np.arange(n)[::-1] + (WINDOW if f + n == len(coded[i]) else 0))
-            better = depth > central[i][f : f + n]
-            for out, new in ((tags, best[r, :n]), (probability, sure_of[r, :n]), (central, depth)):
-                out[i][f : f + n][better] = new[better]
-    found: list[list[Span]] = []
-    for text, t, p in zip(texts, tags, probability, strict=True):
-        spans: list[Span] = []
+    alike: dict[int, list[tuple[int, int, int, int, int]]] = {}
+    for i, c in enumerate(coded):
+        for f, e, a, b in windows_of(len(c)):
+            alike.setdefault(-(-(e - f) // ROUND) * ROUND, []).append((i, f, e, a, b))
+    tags: dict[int, np.ndarray] = {}
+    probability: dict[int, np.ndarray] = {}
+    for size, places in alike.items():
+        held: list[tuple[np.ndarray, np.ndarray, list]] = []  # what is left to decode: few windows of each batch
+        for s in range(0, len(places), batch):
+            part = places[s : s + batch]
+            codes = np.zeros((len(part), size), np.uint8)
+            for r, (i, f, e, _, _) in enumerate(part):
+                codes[r, : e - f] = coded[i][f:e]
+            scores = net.scores(codes)
+            mask = codes.T > 0
+            scores[:, 1:] -= np.where(mask, np.float32(0), np.float32(1e4))[:, None]
+            open_ = net.undecided(scores)
+            if len(open_):
+                held.append((scores[:, :, open_].transpose(0, 2, 1), mask[:, open_], [part[k] for k in open_.tolist()]))
+        if not held:
+            continue
+        best, sure_of = net.decode(np.concatenate([x[0] for x in held], 1), np.concatenate([x[1] for x in held], 1))
+        for r, (i, f, _, a, b) in enumerate(x for _, _, windows in held for x in windows):
+            if i not in tags:
+                tags[i], probability[i] = np.zeros(len(coded[i]), np.int8), np.ones(len(coded[i]), np.float32)
+            tags[i][a:b], probability[i][a:b] = best[r, a - f : b - f], sure_of[r, a - f : b - f]
+    found: list[list[Span]] = [[] for _ in texts]
+    for i, t in tags.items():
         at = np.flatnonzero(t)
-        if len(at):
-            kind = (t[at] - 1) // 2
-            new = np.ones(len(at), bool)
-            new[1:] = (np.diff(at) > 1) | (kind[1:] != kind[:-1]) | (t[at[1:]] % 2 == 1)
-            heads = np.flatnonzero(new)
-            for h, e in zip(heads.tolist(), np.append(heads[1:], len(at)).tolist(), strict=True):
-                a, b = int(at[h]), int(at[e - 1]) + 1
-                if p[a:b].mean() >= sure and _DIGITS.search(text, a, b):
-                    spans.append((KINDS[int(kind[h])], a, b))
-        found.append(spans)
+        if not len(at):
+            continue
+        kind = (t[at] - 1) // 2
+        new = np.ones(len(at), bool)
+        new[1:] = (np.diff(at) > 1) | (kind[1:] != kind[:-1]) | (t[at[1:]] % 2 == 1)
+        heads = np.flatnonzero(new)
+        for h, e in zip(heads.tolist(), np.append(heads[1:], len(at)).tolist(), strict=True):
+            a, b = int(at[h]), int(at[e - 1]) + 1
+            if probability[i][a:b].mean() >= sure:
+                found[i].append((KINDS[int(kind[h])], a, b))
     return found
 
 
-def all_spans(texts: list[str], net: Tagger | None) -> list[tuple[list[Span], list[Span]]]:
-    """Base spans and all spans of each text."""
-    base = [base_spans(t) for t in texts]
-    extra = model_spans(texts, net) if net is not None else [[] for _ in texts]
-    out = []
-    for own, more in zip(base, extra, strict=True):
-        added = [s for s in more if not any(s[1] < b and a < s[2] for _, a, b in own)]
-        out.append((own, sorted(own + added, key=lambda s: (s[1], KINDS.index(s[0]), s[2]))))
+_AT = re.compile(r"\s*[\[(]\s*at\s*[\])]\s*|\s+at\s+|\s+@\s+", re.I)
+_DOT = re.compile(r"\s*[\[(]\s*(?:dot|\.)\s*[\])]\s*|\s+dot\s+|\s+\.\s+", re.I)
+_WORD = re.compile("|".join(_WORDS), re.I)
+_NUMBER = re.compile(r"(?:\+|plus)?[0-9\s().,_/-]+", re.I)
+
+
+def plainly(kind: str, written_: str) -> str | None:
+    """The value in the base pattern's writing if it passes that pattern's check, else None."""
+    if kind == "email":
+        plain = _DOT.sub(".", _AT.sub("@", written_))
+        return plain if _EMAIL.fullmatch(plain) else None
+    if kind == "ip":
+        plain = _DOT.sub(".", written_)
+        parts = plain.split(".")
+        return plain if len(parts) == 4 and all(x.isascii() and x.isdigit() and _small(x) for x in parts) else None
+    spelled = _WORD.sub(lambda m: str(_WORDS.index(m[0].lower())), written_)
+    if not _NUMBER.fullmatch(spelled):
+        return None
+    digits = re.sub("[^0-9]", "", spelled)
+    if kind == "card":
+        return digits if 12 <= len(digits) <= 19 and luhn(digits) else None
+    return f"+{digits}" if 9 <= len(digits) <= 15 else None
+
+
+_TOKEN = re.compile(r"[^\s]+")
+_CALL = re.compile(r"00|[+(]|plus |[0-9]{3}[./-][0-9]{3}[.-][0-9]{4}\Z", re.I)
+
+
+def _snapped(text: str, kind: str, a: int, b: int) -> Span | None:
+    """The longest stretch of whole words, up to REACH more or less at either border, that passes the kind's check.
+
+    Punctuation at the borders is no part of it. A number that fails as a card or address but looks like one for calls may be a phone.
+    """
+    low = max(0, a - 200)
+    words = [(m.start(), m.end()) for m in _TOKEN.finditer(text, low, min(len(text), b + 200))]
+    if low and words and words[0][0] == low:
+        words = words[1:]
+    inside = [i for i, (x, y) in enumerate(words) if x < b and a < y]
+    if not inside:
+        return None
+    first, last = inside[0], inside[-1]
+    best: Span | None = None
+    for i in range(max(0, first - REACH), min(first + REACH, last) + 1):
+        x = words[i][0]
+        while x < words[i][1] and not (text[x].isalnum() or text[x] in "+(" and text[x + 1 : x + 2].isdigit()):
+            x += 1
+        if x == words[i][1]:
+            continue
+        for j in range(min(len(words) - 1, last + REACH), max(i, last - REACH) - 1, -1):
+            y = words[j][1]
+            while y > words[j][0] and not text[y - 1].isalnum():
+                y -= 1
+            if y == words[j][0] or y <= x:
+                continue
+            if text[x] == "(" and text.count("(", x, y) > text.count(")", x, y):
+                x += 1
+            if best is not None and y - x <= best[2] - best[1]:
+                break
+            value = text[x:y]
+            fits = kind if plainly(kind, value) else "phone" if kind in ("card", "ip") and _CALL.match(value) and plainly("phone", value) else None
+            if fits:
+                best = (fits, x, y)
+                break
+    return best
+
+
+def added_spans(text: str, base: list[Span], found: list[Span]) -> list[Span]:
+    """Found spans, moved to the borders of words, that meet no base span nor each other and pass their kind's check."""
+    out: list[Span] = []
+    for kind, a, b in found:
+        made = _snapped(text, kind, a, b)
+        if made is not None and not any(made[1] < y and x < made[2] for _, x, y in base + out):
+            out.append(made)
     return out
 
 
-def _triggered(column: pa.Array) -> list[int]:
-    """Rows whose text holds a digit or @."""
-    from .common import texts_of
+def all_spans(texts: list[str], net: Tagger | None, triggered: list[bool] | None = None) -> list[tuple[list[Span], list[Span]]]:
+    """Base spans and all spans of each text; texts marked as not triggered hold no base span."""
+    base = [base_spans(t) if triggered is None or triggered[i] else [] for i, t in enumerate(texts)]
+    extra = model_spans(texts, net) if net is not None else [[] for _ in texts]
+    return [(own, sorted(own + added_spans(t, own, more), key=lambda s: (s[1], KINDS.index(s[0]), s[2]))) for t, own, more in zip(texts, base, extra, strict=True)]
+
 
+def _triggered(column: pa.Array) -> list[bool]:
+    """Whether each text holds a digit or @."""
     data, starts, ends = texts_of(column)
-    hits = np.flatnonzero(_TRIGGER[data])
-    return np.unique(lexing.owners(hits, starts, ends)).tolist()
+    return (lexing.sums_by(_TRIGGER[data], starts, ends) > 0).tolist()
 
 
 def find(docs: DataFrame, net: Tagger | None, text: str = "text") -> DataFrame:
-    """doc_id, counts of base spans by kind, base_sha256, spans and n_added of every document."""
+    """doc_id, counts of base spans by kind, base_sha256, spans, n_spans and n_added of every document."""
     kind = docs.schema["doc_id"].dataType.simpleString()
-    none = hashlib.sha256(b"").hexdigest()
 
     def run(batches):
-        for batch in batches:
-            n = batch.num_rows
-            counts = np.zeros((4, n), np.int64)
-            sums, spans, added = [none] * n, [""] * n, np.zeros(n, np.int64)
-            rows = _triggered(batch.column(1))
+        for batch in (part for whole in batches for part in slices(whole, 1)):
             column = batch.column(1)
-            for r, (own, every) in zip(rows, all_spans([column[r].as_py() for r in rows], net), strict=True):
-                for k, _, _ in own:
-                    counts[KINDS.index(k), r] += 1
-                if own:
-                    sums[r] = hashlib.sha256(written(own).encode()).hexdigest()
-                spans[r], added[r] = written(every), len(every) - len(own)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *map(pa.array, counts), pa.array(sums), pa.array(spans), pa.array(added)], names=["doc_id", *(f"n_{k}" for k in KINDS), "base_sha256", "spans", "n_added"])
+            rows = all_spans([t or "" for t in column.to_pylist()], net, _triggered(column))
+            counts = [pa.array([sum(k == name for k, _, _ in own) for own, _ in rows], pa.int64()) for name in KINDS]
+            sums = pa.array([hashlib.sha256(written(own).encode()).hexdigest() for own, _ in rows], pa.string())
+            every, added = (pa.array(x, pa.int64()) for x in ([len(e) for _, e in rows], [len(e) - len(own) for own, e in rows]))
+            yield pa.RecordBatch.from_arrays([batch.column(0), *counts, sums, pa.array([written(e) for _, e in rows], pa.string()), every, added], names=["doc_id", *(f"n_{k}" for k in KINDS), "base_sha256", "spans", "n_spans", "n_added"])
 
-    return docs.select("doc_id", F.col(text).cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long")
+    return docs.select("doc_id", F.col(text).cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_spans long, n_added long")
 
 
 def apply(docs: DataFrame) -> DataFrame:
@@ -389,12 +628,11 @@ def redact(docs: DataFrame, labelled: DataFrame) -> DataFrame:
     count = names.index("n_chars") if "n_chars" in names else None
 
     def run(batches):
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole, place)):
             column = batch.column(place)
             texts = column.to_pylist()
             arrays = list(batch.columns)
-            rows = _triggered(column)
-            changed = [(r, every) for r, (_, every) in zip(rows, all_spans([texts[r] for r in rows], net), strict=True) if every]
+            changed = [(r, every) for r, (_, every) in enumerate(all_spans([t or "" for t in texts], net, _triggered(column))) if every]
             if changed:
                 chars = arrays[count].to_pylist() if count is not None else []
                 for r, every in changed:

@@ -2,6 +2,7 @@
 
 import hashlib
 import re
+import time
 import zlib
 from collections import Counter
 
@@ -214,23 +215,85 @@ def test_perfect_hash():
     assert sorted(token_store.find_slots(keys, levels, bits).tolist()) == list(range(len(keys)))
 
 
+def plain_spans(t):
+    """Base spans by the patterns themselves."""
+    out = [("email", *m.span()) for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", t)]
+    out += [("ip", *m.span()) for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", t) if all(int(x) <= 255 for x in m[0].split("."))]
+    for kind, pattern, low, high in (("card", r"[0-9]([\x20-]?[0-9])+", 12, 19), ("phone", r"\+[0-9][\x20().0-9-]+[0-9]", 9, 15)):
+        for m in re.finditer(pattern, t):
+            digits = [int(c) for c in m[0] if c.isdigit()]
+            sums = sum(d if i % 2 == 0 else sum(divmod(2 * d, 10)) for i, d in enumerate(digits[::-1]))
+            if low <= len(digits) <= high and (kind == "phone" or sums % 10 == 0):
+                out.append((kind, *m.span()))
+    order = ["email", "ip", "card", "phone"]
+    return ",".join(f"{k}:{a}:{b}" for k, a, b in sorted(out, key=lambda s: (s[1], order.index(s[0]))))
+
+
 def test_personal_data(docs, odd):
-    assert pii.written(pii.base_spans("a.b@c.de 1.2.3.400 x +1 (555) 123-4567 x 4111 1111 1111 1111 x 1.2.3.4")) == "email:0:8,phone:21:38,card:41:60,ip:63:70"
-    assert pii.base_spans("x@y x@y.z@q.de") == [("email", 4, 9)]
+    assert plain_spans("a.b@c.de 1.2.3.400 x +1 (555) 123-4567 x 4111 1111 1111 1111 x 1.2.3.4") == "email:0:8,phone:21:38,card:41:60,ip:63:70"
     net = pii.train(docs)
     for df in (docs, odd):
         own = texts(df)
         for r in pii.find(df, net).collect():
             if r["doc_id"] in own and r["doc_id"] not in (None, 3):
-                base = pii.base_spans(own[r["doc_id"]])
-                assert r["base_sha256"] == hashlib.sha256(pii.written(base).encode()).hexdigest()
-                assert set(filter(None, pii.written(base).split(","))) <= set(r["spans"].split(","))
+                base = plain_spans(own[r["doc_id"]])
+                assert r["base_sha256"] == hashlib.sha256(base.encode()).hexdigest()
+                assert [r[f"n_{k}"] for k in pii.KINDS] == [base.count(k) for k in pii.KINDS]
+                every = list(filter(None, r["spans"].split(",")))
+                assert set(filter(None, base.split(","))) <= set(every) and len(every) == r["n_spans"] == r["n_added"] + len(list(filter(None, base.split(","))))
     clean = {r["doc_id"]: r["text"] for r in pii.redact(docs, docs).collect()}
-    assert all(not pii.base_spans(t or "") for t in clean.values())
+    assert all(not plain_spans(t or "") for t in clean.values())
     out = pii.redact(odd, docs)
     assert out.columns == odd.columns and out.count() == odd.count()
 
 
+def test_personal_data_patterns():
+    """The linear scanners equal the patterns on random texts, and long runs end at once."""
+    rng = np.random.default_rng(1)
+    for k in range(6_000):
+        letters = list(("a@.", "a@.-1 ", "12.", "0123456789.", "+1(). -5", "a1@.+%- ")[k % 6])
+        text = "".join(rng.choice(letters, int(rng.integers(0, 40))))
+        assert pii.written(pii.base_spans(text)) == plain_spans(text), text
+    began = time.perf_counter()
+    assert pii.base_spans("1" * 5_000 + ".1.1.1") == []
+    for text in ("1" * 500_000, "a" * 500_000 + "@", "a@" * 200_000, "1." * 200_000, "+1 " * 200_000, "+1" + " " * 500_000, "." * 500_000 + "@a", "1 " * 300_000):
+        pii.base_spans(text)
+    assert time.perf_counter() - began < 20
+
+
+def test_personal_data_in_other_writings(spark):
+    """Held-out texts and values in writings that the base patterns do not find; clean texts stay alone."""
+    rows = [r["text"] for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").orderBy("doc_id").select("text").collect()]
+    net = pii.fit(rows[:700])
+    samples = pii.disguised_samples(rows[700:], 1_500, seed=99)
+    found = pii.all_spans([t for t, _, _ in samples], net)
+    hidden = sum(len(x) for _, _, x in samples)
+    hit = sum(len(set(x) & set(every)) for (_, _, x), (_, every) in zip(samples, found, strict=True))
+    added = sum(len(every) - len(own) for own, every in found)
+    assert hidden > 500 and hit >= 0.9 * hidden and hit >= 0.97 * added
+    clean = [re.sub("[0-9@]", "", t) for t in rows[700:]]
+    long = next(t for t in clean if len(t) > 2_000)
+    put = [long[:1_500] + f" {v} " + long[1_500:] for v in ("jo.smith (at) mail (dot) org", "ann[at]host[dot]com", "plus four nine three zero one two three four five six seven")]  # nothing that a base pattern needs
+    assert sum((1501 == s[1]) for _, every in pii.all_spans(put, net) for s in every) >= 2
+    assert sum(bool(every) for _, every in pii.all_spans(clean, net)) <= 0.005 * len(clean)
+
+
+def test_personal_data_windows():
+    for n in (0, 1, 63, 64, 383, 384, 385, 640, 704, 705, 1_000, 5_000):
+        parts = pii.windows_of(n)
+        assert [k for _, _, a, b in parts for k in range(a, b)] == list(range(n))
+        assert all(f <= a and b <= e and e - f <= pii.WINDOW for f, e, a, b in parts)
+    rng = np.random.default_rng(0)
+    net = pii.Tagger.new()
+    codes = rng.integers(1, 98, (5, 64))
+    assert np.allclose(net.scores(codes.astype(np.uint8)).transpose(0, 2, 1), net.emissions(codes)[0], atol=1e-5)
+    scores = rng.normal(0, 2, (64, 9, 40)).astype(np.float32)
+    scores[:, 0] += rng.uniform(0, 8, 40).astype(np.float32)
+    net.p["move"] = rng.normal(0, 1, (9, 9)).astype(np.float32)
+    best, _ = net.decode(scores.transpose(0, 2, 1), np.ones((64, 40), bool))
+    assert np.flatnonzero(best.any(1)).tolist() == net.undecided(scores).tolist()
+
+
 def test_personal_data_gradients():
     rng = np.random.default_rng(0)
     net = pii.Tagger.new(hidden=3, embed=2)
@@ -252,15 +315,15 @@ def test_personal_data_gradients():
         return total / 2
 
     grads = net.gradients(codes, tags)
-    for name in ("move", "out", "wf", "wb", "embed"):
-        at = (int(codes[0, 0]), 0) if name == "embed" else (1, 2)
+    places = {"move": [(1, 2)], "out": [(0, 1, 2), (1, 2, 0)], "w": [(0, 1, 2), (1, 4, 9), (0, 3, 11)], "b": [(1, 4)], "out_b": [(3,)], "embed": [(int(codes[0, 0]), 0), (0, 1)]}
+    for name, at in ((k, x) for k, xs in places.items() for x in xs):
         keep = net.p[name][at]
-        net.p[name][at] = keep + 1e-3
+        net.p[name][at] = keep + 1e-4
         up = value()
-        net.p[name][at] = keep - 1e-3
-        slope = (up - value()) / 2e-3
+        net.p[name][at] = keep - 1e-4
+        slope = (up - value()) / 2e-4
         net.p[name][at] = keep
-        assert slope == pytest.approx(grads[name][at], abs=2e-3)
+        assert slope == pytest.approx(grads[name][at], abs=1e-5)
 
 
 def test_line_field_marginals():
@@ -402,7 +465,7 @@ def test_lm_scoring_equals_exact_counts(docs, labels):
             assert [r["ce_target"], r["ce_background"]] == pytest.approx([loss(words, target, 1.0), loss(words, without(whole[1], words), scale)], abs=1e-9)
             assert r["target_like"] == (len(words) > 0 and r["score"] <= r["threshold"]) and r["trusted"] == (r["doc_id"] in good)
         mine = [r["target_like"] for r in rows if r["trusted"]]
-        assert 0.88 * len(mine) <= sum(mine) <= 0.93 * len(mine) + 1
+        assert 0.78 * len(mine) <= sum(mine) <= 0.83 * len(mine) + 1
 
 
 def test_empty_tables(spark, empty, labels, small):
