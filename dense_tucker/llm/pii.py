@@ -30,10 +30,12 @@ from .common import TRAIN_TEXT_BYTES, slices, texts_of
 KINDS = ("email", "ip", "card", "phone")
 TRAIN_DOCS = 2_000
 #: Characters of a window, and of its borders that its neighbours decide.
-WINDOW = 384
+WINDOW = 768
 MARGIN = 32
 #: Lengths of windows are rounded up to a multiple of this, so that a window's answer does not hang on its neighbours in a batch.
-ROUND = 32
+ROUND = 128
+#: Bytes of texts that are tagged together: enough for full batches of windows.
+SLICE_BYTES = 8 << 20
 #: Characters of a training window, and training windows made for each document.
 SAMPLE = 88
 PER_DOC = 3
@@ -327,11 +329,12 @@ class Tagger:
 
     def scores(self, codes: np.ndarray) -> np.ndarray:
         """codes: batch x time. Scores time x tags x batch, in a layout that keeps all steps in long contiguous rows."""
+        # a gate is (1 + tanh(z / 2)) / 2; its half stays out of the output (kept double) and of the two products in the cell
         w, embed = self.p["w"].transpose(0, 2, 1).copy(), np.ascontiguousarray(self.p["embed"].T)
         n, e = w.shape[1] // 4, len(embed)
-        w = np.concatenate([w[:, :, :e], self.p["b"][:, :, None], w[:, :, e:]], 2)
+        w = np.concatenate([w[:, :, :e], self.p["b"][:, :, None], 0.5 * w[:, :, e:]], 2)
         w[:, : 3 * n] *= 0.5
-        out = np.ascontiguousarray(self.p["out"].transpose(0, 2, 1))
+        out = np.ascontiguousarray(0.5 * self.p["out"].transpose(0, 2, 1))
         B, T = codes.shape
         at = np.ascontiguousarray(codes.T).astype(np.intp)
         state = np.zeros((2, e + 1 + n, B), np.float32)
@@ -343,10 +346,10 @@ class Tagger:
             np.take(embed, at[T - 1 - t], axis=1, out=state[1, :e], mode="clip")
             np.matmul(w, state, out=z)
             np.tanh(z, out=z)
-            z[:, : 3 * n] *= 0.5
-            z[:, : 3 * n] += 0.5
+            z[:, : 3 * n] += 1
             c *= z[:, :n]
             c += np.multiply(z[:, n : 2 * n], z[:, 3 * n :], out=part)
+            c *= 0.5
             np.tanh(c, out=part)
             np.multiply(part, z[:, 2 * n : 3 * n], out=state[:, e + 1 :])
             np.matmul(out[0], state[0, e + 1 :], out=made[0, t])
@@ -356,15 +359,17 @@ class Tagger:
         return made[0]
 
     def undecided(self, scores: np.ndarray) -> np.ndarray:
-        """Of scores time x tags x batch: the rows whose best path is not all `outside`, by a Viterbi pass without links."""
-        move = (self.p["move"] - self.p["move"][0, 0])[:, :, None]
-        gain = scores - scores[:, :1]
-        best, ways = gain[0], np.empty((*move.shape[:2], scores.shape[2]), np.float32)
-        for now in gain[1:]:
-            np.add(best[:, None], move, out=ways)
-            best = ways.max(0)
-            best += now
-        return np.flatnonzero(best.max(0) > 1e-4)
+        """Of scores time x tags x batch: the rows whose best path is not all `outside`, by a Viterbi pass without links.
+
+        First with three tags (outside, any begin, any inside) and the best transition between any two of each, which no path outdoes;
+        then with all tags for the rows that this leaves.
+        """
+        move = self.p["move"] - self.p["move"][0, 0]
+        kinds = [[0], list(range(1, len(move), 2)), list(range(2, len(move), 2))]
+        rough = np.asarray([[move[np.ix_(a, b)].max() for b in kinds] for a in kinds], np.float32)
+        best = np.stack([scores[:, 0], scores[:, 1::2].max(1), scores[:, 2::2].max(1)], 1)
+        some = np.flatnonzero(_gains(best, rough) > 1e-4)
+        return some[_gains(scores[:, :, some], move) > 1e-4] if len(some) else some
 
     def decode(self, scores: np.ndarray, mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Of scores time x batch x tags: best tag sequence (batch x time, by Viterbi) and its tags' marginal probabilities (1 in rows that are all `outside`)."""
@@ -389,6 +394,19 @@ class Tagger:
         return tags.T, sure.T
 
 
+def _gains(scores: np.ndarray, move: np.ndarray) -> np.ndarray:
+    """How much the best path of each row gains over the one that keeps the first tag; move: transitions over that tag's to itself."""
+    move = move[:, :, None].astype(np.float32)
+    first = scores[:, :1]
+    best, ways = scores[0] - first[0], np.empty((*move.shape[:2], scores.shape[2]), np.float32)
+    for now, base in zip(scores[1:], first[1:], strict=True):
+        np.add(best[:, None], move, out=ways)
+        best = ways.max(0)
+        best += now
+        best -= base
+    return best.max(0)
+
+
 def _tags(n: int, spans: list[Span]) -> np.ndarray:
     tags = np.zeros(n, np.int64)
     for kind, a, b in spans:
@@ -595,7 +613,7 @@ def find(docs: DataFrame, net: Tagger | None, text: str = "text") -> DataFrame:
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
-        for batch in (part for whole in batches for part in slices(whole, 1)):
+        for batch in (part for whole in batches for part in slices(whole, 1, SLICE_BYTES)):
             column = batch.column(1)
             rows = all_spans([t or "" for t in column.to_pylist()], net, _triggered(column))
             counts = [pa.array([sum(k == name for k, _, _ in own) for own, _ in rows], pa.int64()) for name in KINDS]
@@ -628,7 +646,7 @@ def redact(docs: DataFrame, labelled: DataFrame) -> DataFrame:
     count = names.index("n_chars") if "n_chars" in names else None
 
     def run(batches):
-        for batch in (part for whole in batches for part in slices(whole, place)):
+        for batch in (part for whole in batches for part in slices(whole, place, SLICE_BYTES)):
             column = batch.column(place)
             texts = column.to_pylist()
             arrays = list(batch.columns)
