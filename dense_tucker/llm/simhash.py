@@ -5,8 +5,9 @@ cut into three segments. Two fingerprints within 4 bits differ by at most one bi
 segments, or agree in the third; so each enumerates the radius-1 balls of the first two segments (flipping
 only bits that are 0: the partner of a single flip finds it from the other side) and the third segment
 itself, fetches what the tables hold there, and complete distances are verified. Only a spanning forest of
-each bucket's links is passed on, so a bucket's output is linear in its members and no link is lost; hot
-buckets are dealt to several tasks by their probes. Components are found by alternating star contraction.
+each bucket's links is passed on, so a bucket's output is linear in its members and no link is lost. A hot bucket is
+divided by the other bits: cut into five parts, of which two members within 4 bits agree in one; what stays hot is dealt to
+several tasks by its probes. Components are found by alternating star contraction.
 
 Null texts and texts without a word have fingerprint zero and are linked like any other. Repeated rows share
 their component. An empty table gives an empty result. Other columns are ignored.
@@ -19,15 +20,18 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import MapType, VariantType
 
-from .common import discard, materialise
+from .common import broadcast_if_small, discard, materialise, slices
 
 SHINGLE = 4
 RADIUS = 4
 #: First bit and width of each segment; the first two are probed with one flip, the third exactly.
 SEGMENTS = ((0, 22), (22, 22), (44, 20))
-#: Table rows of one bucket above which its probes are dealt to several tasks.
+#: Table rows of one bucket above which it is divided.
 HOT_ROWS = 4_000
+#: Parts of the bits beside a segment: one more than the radius.
+PARTS = RADIUS + 1
 
 
 def fingerprint(text: bytes, size: int = SHINGLE, buffer: int = 1 << 16) -> int:
@@ -67,7 +71,7 @@ def fingerprints(docs: DataFrame, text: str = "text", size: int = SHINGLE) -> Da
     """doc_id and fp (signed 64-bit) of every document."""
 
     def run(batches):
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole, 1)):
             column = batch.column(1).cast(pa.large_binary())
             values = np.fromiter((fingerprint(t or b"", size) for t in column.to_pylist()), np.uint64, len(column))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(values.view(np.int64))], names=["doc_id", "fp"])
@@ -109,19 +113,39 @@ def _keys(fp: str) -> tuple[list[str], list[str]]:
     return tables, probes
 
 
+def _parts(fp: str, seg: str) -> str:
+    """SQL array of (sub, bits): the value of each part of the bits beside a segment."""
+    cases = []
+    for s, (first, width) in enumerate(SEGMENTS):
+        turn = (first + width) % 64
+        rest = f"(shiftrightunsigned({fp}, {turn}) | shiftleft({fp}, {64 - turn}))" if turn else fp
+        cuts = [k * (64 - width) // PARTS for k in range(PARTS + 1)]
+        each = [f"struct({k} as sub, shiftrightunsigned({rest}, {cuts[k]}) & {(1 << cuts[k + 1] - cuts[k]) - 1}L as bits)" for k in range(PARTS)]
+        cases.append(f"when {seg} = {s} then array({', '.join(each)})")
+    return f"case {' '.join(cases)} end"
+
+
 def links(distinct: DataFrame, radius: int = RADIUS, hot_rows: int = HOT_ROWS) -> DataFrame:
-    """Edges (a, b), a > b, of a graph with the components of all pairs of distinct `fp` within the radius."""
+    """Edges (a, b), a > b, of a graph with the components of all pairs of distinct `fp` within the radius (up to RADIUS)."""
+    if radius > RADIUS:
+        raise ValueError(f"radius over {RADIUS}")
     tables, probes = _keys("fp")
-    rows = distinct.selectExpr("fp", f"explode(array({', '.join(tables + probes)})) as at").where("at is not null").select("fp", "at.seg", "at.key", "at.probe")
-    filled = distinct.selectExpr("fp", f"explode(array({', '.join(tables)})) as at").groupBy("at.seg", "at.key").agg(F.count("*").alias("n"))
-    # A key with a single table row has no partner but the probes of others; those with many rows are dealt out.
-    hot = filled.where(F.col("n") > hot_rows).select("seg", "key", F.ceil(F.col("n") / hot_rows).cast("int").alias("parts"))
-    busy = rows.join(hot, ["seg", "key"], "left")
-    dealt = busy.selectExpr(
-        "seg", "key", "fp", "probe",
-        "explode(case when parts is null then array(0) when probe then array(cast(pmod(xxhash64(fp), parts) as int)) else sequence(0, parts - 1) end) as deal",
-    )
-    spread = dealt.repartition("seg", "key", "deal").sortWithinPartitions("seg", "key", "deal", "probe")
+
+    def at(places: list[str]) -> DataFrame:
+        return distinct.selectExpr("fp", f"explode(array({', '.join(places)})) as at").where("at is not null").select("fp", "at.*")
+
+    def divided(rows: DataFrame) -> DataFrame:
+        """Rows of hot buckets once for each part, others as they are (sub -1)."""
+        return rows.join(hot, ["seg", "key"], "left").selectExpr("fp", "seg", "key", "probe", f"explode(case when hot then {_parts('fp', 'seg')} else array(struct(-1 as sub, 0L as bits)) end) as p").select("fp", "seg", "key", "probe", "p.*")
+
+    hot = broadcast_if_small(materialise(at(tables).groupBy("seg", "key").agg(F.count("*").alias("n")).where(F.col("n") > hot_rows).select("seg", "key", F.lit(True).alias("hot")), "hot-buckets"))
+    still = divided(at(tables).join(hot, ["seg", "key"], "left_semi")).groupBy("seg", "key", "sub", "bits").agg(F.count("*").alias("n")).where(F.col("n") > hot_rows)
+    still = broadcast_if_small(materialise(still.select("seg", "key", "sub", "bits", F.ceil(F.col("n") / hot_rows).cast("int").alias("parts")), "hot-parts"))
+    # one number for a bucket, or a part of one, and a deal of its probes
+    number = "shiftleft(cast(seg * 8 + sub + 1 as bigint), 56) | shiftleft(cast(key as bigint), 32) | shiftleft(bits, 20)"
+    deals = "explode(case when parts is null then array(0) when probe then array(cast(pmod(xxhash64(fp), parts) as int)) else sequence(0, parts - 1) end)"
+    dealt = divided(at(tables + probes)).join(still, ["seg", "key", "sub", "bits"], "left").selectExpr(f"{number} as place", "fp", "probe", f"{deals} as deal").selectExpr("place | deal as place", "fp", "probe")
+    spread = dealt.repartition("place").sortWithinPartitions("place", "probe")
 
     def run(batches):
         kept: dict = {"key": None}
@@ -139,13 +163,15 @@ def links(distinct: DataFrame, radius: int = RADIUS, hot_rows: int = HOT_ROWS) -
             return pa.RecordBatch.from_arrays([pa.array(a[keep]), pa.array(b[keep])], names=["a", "b"])
 
         for batch in batches:
-            seg, key, fp, probe, deal = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1, 2, 3, 4))
+            if not batch.num_rows:
+                continue
+            place, fp, probe = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(3))
             fp = fp.astype(np.int64).view(np.uint64)
             probe = probe.astype(bool)
-            new = np.ones(len(seg), bool)
-            new[1:] = (seg[1:] != seg[:-1]) | (key[1:] != key[:-1]) | (deal[1:] != deal[:-1])
+            new = np.ones(len(place), bool)
+            new[1:] = place[1:] != place[:-1]
             heads = np.flatnonzero(new)
-            tails = np.append(heads[1:], len(seg))
+            tails = np.append(heads[1:], len(place))
             inside = np.add.reduceat(probe.astype(np.int64), heads)
             found: list = []
             for i, (h, e, q) in enumerate(zip(heads.tolist(), tails.tolist(), inside.tolist(), strict=True)):
@@ -155,10 +181,9 @@ def links(distinct: DataFrame, radius: int = RADIUS, hot_rows: int = HOT_ROWS) -
                         a, b = _forest(fp[h : h + n], fp[h + n : e], radius)
                         found.append((np.maximum(a, b), np.minimum(a, b)))
                     continue
-                name = (int(seg[h]), int(key[h]), int(deal[h]))
-                if name != kept["key"]:
+                if int(place[h]) != kept["key"]:
                     close(found)
-                    kept.update(key=name, table=[], probes=[])
+                    kept.update(key=int(place[h]), table=[], probes=[])
                 kept["table"].append(fp[h : e - q])
                 kept["probes"].append(fp[e - q : e])
             if found:
@@ -168,7 +193,7 @@ def links(distinct: DataFrame, radius: int = RADIUS, hot_rows: int = HOT_ROWS) -
         if found:
             yield emit(found)
 
-    return spread.select("seg", "key", "fp", "probe", "deal").mapInArrow(run, "a long, b long").distinct()
+    return spread.select("place", "fp", "probe").mapInArrow(run, "a long, b long").distinct()
 
 
 def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
@@ -197,23 +222,44 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     raise RuntimeError(f"components not settled after {rounds} rounds")
 
 
+def classes(marks: DataFrame, radius: int = RADIUS, hot_rows: int = HOT_ROWS) -> DataFrame:
+    """fp and root (the least fp of its component) of every distinct `fp`."""
+    distinct = materialise(marks.select("fp").distinct(), "distinct-fingerprints")
+    roots = components(links(distinct, radius, hot_rows))
+    made = materialise(distinct.join(roots, distinct.fp == roots.node, "left").select("fp", F.coalesce("root", "fp").alias("root")), "classes")
+    discard(distinct)
+    discard(roots)
+    return made
+
+
 def cluster(docs: DataFrame, text: str = "text", size: int = SHINGLE, radius: int = RADIUS, hot_rows: int = HOT_ROWS) -> DataFrame:
     """doc_id, fingerprint (hexadecimal) and component_id (least doc_id within reach) of every document."""
     marks = materialise(fingerprints(docs, text, size), "fingerprints")
-    distinct = materialise(marks.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "distinct-fingerprints")
-    roots = components(links(distinct.select("fp"), radius, hot_rows))
-    linked = materialise(distinct.join(roots, distinct.fp == roots.node, "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root")), "rooted")
-    named = materialise(linked.groupBy("root").agg(F.min("first_id").alias("component_id")), "named")
-    by_fp = materialise(linked.join(named, "root").select("fp", "component_id"), "classes")
-    return marks.join(by_fp, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    by_fp = classes(marks, radius, hot_rows)
+    first = marks.groupBy("fp").agg(F.min("doc_id").alias("first_id"))
+    named = by_fp.join(first, "fp").groupBy("root").agg(F.min("first_id").alias("component_id"))
+    named = materialise(by_fp.join(named, "root").select("fp", "component_id"), "named")
+    discard(by_fp)
+    return marks.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """Documents without those that are near copies of one with a lesser id; rows without an id all stay.
+    """One row of each group of near copies: that with the least id (rows without one last), then the least hash of its text.
 
-    Of rows that share an id one stays.
+    Rows are told apart by id and text, so rows that share an id but not their text are documents of their own. Of rows with equal id and
+    text that one stays whose columns have the least hash.
     """
-    named = docs.where("doc_id is not null")
-    stay = cluster(named).where("doc_id = component_id").select("doc_id").distinct()
-    kept = named.join(stay, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
-    return kept.unionAll(docs.where("doc_id is null"))
+    key = ["__id", "__text"]
+    keyed = docs.withColumn("__id", F.coalesce(F.col("doc_id").cast("string"), F.lit(""))).withColumn("__text", F.xxhash64("text"))
+    marks = keyed.select(F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id").alias("id"), "__id", "__text").alias("doc_id"), "text")
+    marks = materialise(fingerprints(marks), "fingerprints")
+    rooted = materialise(marks.join(classes(marks), "fp").select("root", F.col("doc_id").alias("row")), "rooted")
+    first = rooted.groupBy("root").agg(F.min("row").alias("first"))
+    lost = materialise(rooted.join(first, "root").where("row <> first").select("row.__id", "row.__text").distinct(), "lost")
+    twice = materialise(rooted.groupBy("row").count().where("count > 1").select("row.__id", "row.__text"), "twice")
+    discard(marks)
+    kept = keyed.join(broadcast_if_small(lost), key, "left_anti")
+    some = broadcast_if_small(twice)
+    plain = [f.name for f in docs.schema.fields if not isinstance(f.dataType, (MapType, VariantType))]
+    one = kept.join(some, key, "left_semi").groupBy(*key).agg(F.min_by(F.struct(*docs.columns), F.xxhash64(*plain)).alias("row")).select("row.*")
+    return kept.join(some, key, "left_anti").select(*docs.columns).unionAll(one)
