@@ -10,6 +10,7 @@ repeated rows are packed as often as they occur; other columns are ignored.
 from __future__ import annotations
 
 import zlib
+from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
@@ -20,8 +21,8 @@ from . import bpe
 from .common import materialise, passes, texts_of
 
 
-def encode_table(docs: DataFrame, tokenizer: str, end_id: int = 1, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """doc_id, part, before (ids before it in the partition), n (ids with the end id), ids (little-endian), wide."""
+def encode_table(docs: DataFrame, tokenizer: str, end_id: int = 1, text: str = "text", key: str = "doc_id", place: Callable[[pa.Array, list[bytes]], np.ndarray] | None = None) -> DataFrame:
+    """doc_id, part, before (ids before it in the partition), n (ids with the end id), ids (little-endian), size (bytes of an id), and place(keys, ids) if given."""
 
     def run(batches):
         from pyspark import TaskContext
@@ -36,21 +37,23 @@ def encode_table(docs: DataFrame, tokenizer: str, end_id: int = 1, text: str = "
                 ids, counts = coder.encode_bytes(data[low:high], starts[a:b] - low, ends[a:b] - low)
                 raw, at = ids.tobytes(), np.concatenate([[0], np.cumsum(counts)]) * size
                 n = counts + 1
+                keys, blobs = batch.column(0).slice(a, b - a), [raw[at[i] : at[i + 1]] + end for i in range(b - a)]
                 yield pa.RecordBatch.from_arrays(
                     [
-                        batch.column(0).slice(a, b - a),
+                        keys,
                         pa.array(np.full(b - a, part, np.int32)),
                         pa.array(before + np.cumsum(n) - n),
                         pa.array(n),
-                        pa.array([raw[at[i] : at[i + 1]] + end for i in range(b - a)], pa.binary()),
+                        pa.array(blobs, pa.binary()),
                         pa.array(np.full(b - a, size, np.int32)),
+                        *([] if place is None else [pa.array(place(keys, blobs))]),
                     ],
-                    names=["doc_id", "part", "before", "n", "ids", "size"],
+                    names=["doc_id", "part", "before", "n", "ids", "size"] + ([] if place is None else ["place"]),
                 )
                 before += int(n.sum())
 
     kind = docs.schema[key].dataType.simpleString()
-    return docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, f"doc_id {kind}, part int, before long, n long, ids binary, size int")
+    return docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, f"doc_id {kind}, part int, before long, n long, ids binary, size int" + ("" if place is None else ", place int"))
 
 
 def prefix_offsets(totals: list[tuple[int, int]]) -> dict[int, int]:

@@ -1,12 +1,15 @@
 """A keyed store of token ids: shards of raw id payload, each with a minimal perfect hash over its keys.
 
-A shard is one row of the store's table: a run of documents in ascending key order, their ids one after the
+A shard is one row (and one row group) of the store's table: a run of documents in ascending key order, their ids one after the
 other, and an index of constant-time access: a collision-free bit hash in levels (keys that collide at one
-level go on to the next), whose rank numbers the slots 0..n-1; each slot stores a 32-bit fingerprint of its
-key, the position and the number of ids. A directory gives each shard's first and last key and the number
+level go on to the next), whose rank, from counts stored for every 64 bits, numbers the slots 0..n-1; each slot stores a 32-bit
+fingerprint of its key, the position and the number of ids. A directory gives each shard's first and last key and the number
 of ids before it. All files are written by Spark's writer, so any store that Spark can write will do.
-Null texts hold the end id alone. A key that occurs more than once has one slot, for its records in a row.
-Null keys come first and have no slot. An empty table gives an empty store. Other columns are ignored.
+
+Documents are dealt out by ranges of the key; a key that fills several ranges is dealt over several tasks, and a shard may end inside a
+key, so no task or shard grows with one key. Such a key has a slot in each of its shards, and lookup() gives one piece for each.
+Null texts hold the end id alone. Records of one key are in a row, in any order. Null keys come first and have no slot. An empty table
+gives an empty store. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -23,17 +26,17 @@ from . import lexing
 from .common import new_folder
 from .packing import encode_table
 
-#: Payload bytes after which a shard ends (at the end of a document).
+#: Payload bytes after which a shard ends, at the end of a document.
 SHARD_BYTES = 1 << 20
-_SCHEMA = "part int, shard int, first_key long, last_key long, n_docs int, before long, n_ids long, width int, doc_ids binary, counts binary, payload binary, levels binary, bits binary, fingerprints binary, positions binary, lengths binary"
+_SCHEMA = "part int, shard int, first_key long, last_key long, n_docs int, before long, n_ids long, width int, doc_ids binary, counts binary, payload binary, levels binary, bits binary, ranks binary, fingerprints binary, positions binary, lengths binary"
 
 
 def _hash(keys: np.ndarray, seed: int) -> np.ndarray:
     return lexing.mix(keys.astype(np.int64).view(np.uint64) + np.uint64((seed * 0x9E3779B97F4A7C15) % (1 << 64)))
 
 
-def build_index(keys: np.ndarray, gamma: float = 1.5) -> tuple[np.ndarray, np.ndarray]:
-    """Level sizes and bits of a minimal perfect hash of distinct int64 keys."""
+def build_index(keys: np.ndarray, gamma: float = 1.5) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Level sizes, bits (64 to a number) and the number of set bits before each of these, of a minimal perfect hash of distinct int64 keys."""
     levels, bits, left = [], [], keys
     while len(left):
         size = max(8, int(gamma * len(left)))
@@ -42,17 +45,25 @@ def build_index(keys: np.ndarray, gamma: float = 1.5) -> tuple[np.ndarray, np.nd
         levels.append(size)
         bits.append(alone)
         left = left[~alone[slot]]
-    return np.asarray(levels, np.int64), np.concatenate(bits) if bits else np.zeros(0, bool)
+    flat = np.concatenate(bits) if bits else np.zeros(0, bool)
+    packed = np.packbits(np.append(flat, np.zeros(-len(flat) % 64, bool)), bitorder="little").view("<u8")
+    counts = np.bitwise_count(packed).astype(np.int64)
+    return np.asarray(levels, np.int64), packed, (np.cumsum(counts) - counts).astype(np.int32)
 
 
-def find_slots(keys: np.ndarray, levels: np.ndarray, bits: np.ndarray) -> np.ndarray:
-    """Slot of each key; any number or -1 for keys that are not in the index (the fingerprint tells)."""
-    rank = np.cumsum(bits) - bits
+def find_slots(keys: np.ndarray, levels: np.ndarray, bits: np.ndarray, ranks: np.ndarray, probes: list[int] | None = None) -> np.ndarray:
+    """Slot of each key; any number or -1 for keys that are not in the index (the fingerprint tells). Reads one number of bits and one rank for a key and level."""
     out, left, base = np.full(len(keys), -1, np.int64), np.arange(len(keys)), 0
     for level, size in enumerate(levels.tolist(), 1):
+        if not len(left):
+            break
         at = base + (_hash(keys[left], level) % np.uint64(size)).astype(np.int64)
-        hit = bits[at]
-        out[left[hit]] = rank[at[hit]]
+        word, bit = bits[at >> 6], (at & 63).astype(np.uint64)
+        if probes is not None:
+            probes.append(len(left))
+        hit = (word >> bit) & np.uint64(1) == 1
+        before = word & ((np.uint64(1) << bit) - np.uint64(1))
+        out[left[hit]] = (ranks[at >> 6] + np.bitwise_count(before))[hit]
         left, base = left[~hit], base + size
     return out
 
@@ -86,7 +97,7 @@ class TokenStore:
 
         def run(batches):
             for batch in batches:
-                for row in batch.to_pylist():
+                for row in (batch.slice(i, 1).to_pylist()[0] for i in range(batch.num_rows)):
                     keys = np.frombuffer(row["doc_ids"], np.int64)
                     counts = np.frombuffer(row["counts"], np.int64)
                     wide = np.frombuffer(row["payload"], f"<u{row['width']}").astype("<u4")
@@ -104,36 +115,43 @@ class TokenStore:
         return self.shards().mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long" + (", ids binary" if with_ids else ""))
 
     def lookup(self, keys: list[int]) -> DataFrame:
-        """Ids of the given keys (a query-sized list): doc_id, n_tokens, ids. Shards without one are skipped by their key range."""
+        """Pieces of the given keys (a query-sized list) in (part, shard) order: doc_id, part, shard, n_tokens, ids.
+
+        The directory tells which shards can hold a key; only their row groups are read, and of each only the slots of its keys.
+        """
         wanted = np.unique(np.asarray(keys, np.int64))
-        low, high = (int(wanted[0]), int(wanted[-1])) if len(wanted) else (0, -1)
+        asked = self.spark.createDataFrame([(int(k),) for k in wanted], "key long")
+        near = self.directory().where("last_key is not null").join(F.broadcast(asked), F.expr("key >= coalesce(first_key, -9223372036854775807L - 1) and key <= last_key"))
+        places = [(r[0], r[1]) for r in near.select("part", "shard").distinct().collect()]  # no more than keys and the shards of those that span several
+        by_part: dict[int, list[int]] = {}
+        for part, shard in places:
+            by_part.setdefault(part, []).append(shard)
+        some = F.lit(False)
+        for part, shards in by_part.items():
+            some = some | ((F.col("part") == part) & F.col("shard").isin(shards))
 
         def run(batches):
             for batch in batches:
-                for row in batch.to_pylist():
-                    if row["last_key"] is None:
-                        continue
-                    near = wanted[np.searchsorted(wanted, row["first_key"] if row["first_key"] is not None else -(1 << 63)) : np.searchsorted(wanted, row["last_key"], "right")]
-                    if not len(near):
-                        continue
+                for row in (batch.slice(i, 1).to_pylist()[0] for i in range(batch.num_rows)):
+                    first = row["first_key"] if row["first_key"] is not None else -(1 << 63)
+                    near = wanted[np.searchsorted(wanted, first) : np.searchsorted(wanted, row["last_key"], "right")]
                     at, n = _access(row, near)
                     hit = at >= 0
                     size = row["width"]
                     blobs = [np.frombuffer(row["payload"][size * a : size * (a + k)], f"<u{size}").astype("<u4").tobytes() for a, k in zip(at[hit].tolist(), n[hit].tolist(), strict=True)]
-                    yield pa.RecordBatch.from_arrays([pa.array(near[hit]), pa.array(n[hit]), pa.array(blobs, pa.binary())], names=["doc_id", "n_tokens", "ids"])
+                    place = [pa.array(np.full(len(blobs), row[c], np.int32)) for c in ("part", "shard")]
+                    yield pa.RecordBatch.from_arrays([pa.array(near[hit]), *place, pa.array(n[hit]), pa.array(blobs, pa.binary())], names=["doc_id", "part", "shard", "n_tokens", "ids"])
 
-        some = self.shards().where(F.col("last_key").isNotNull() & (F.col("last_key") >= low) & (F.coalesce("first_key", F.lit(low)) <= high))
-        return some.mapInArrow(run, "doc_id long, n_tokens long, ids binary")
+        return self.shards().where(some).mapInArrow(run, "doc_id long, part int, shard int, n_tokens long, ids binary")
 
 
-def _bits(row: dict) -> tuple[np.ndarray, np.ndarray]:
-    levels = np.frombuffer(row["levels"], np.int64)
-    return levels, np.unpackbits(np.frombuffer(row["bits"], np.uint8))[: int(levels.sum())].astype(bool)
+def _index(row: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    return np.frombuffer(row["levels"], np.int64), np.frombuffer(row["bits"], "<u8"), np.frombuffer(row["ranks"], np.int32)
 
 
 def _access(row: dict, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """First id in the payload and number of ids of each key; -1 where the shard has no such key."""
-    slots = find_slots(keys, *_bits(row))
+    slots = find_slots(keys, *_index(row))
     prints = np.frombuffer(row["fingerprints"], np.uint32)
     good = slots >= 0
     good[good] = prints[slots[good]] == _fingerprint(keys[good])
@@ -172,35 +190,65 @@ def _shard(part: int, number: int, before: int, keys: list, blobs: list[bytes],
     ids = np.asarray([0 if k is None else k for k in keys], np.int64)
     at = np.cumsum(counts) - counts
     distinct, first = np.unique(ids[some], return_index=True)
-    levels, bits = build_index(distinct)
-    slots = find_slots(distinct, levels, bits)
+    levels, bits, ranks = build_index(distinct)
+    slots = find_slots(distinct, levels, bits, ranks)
     prints, positions, lengths = np.zeros(len(distinct), np.uint32), np.zeros(len(distinct), np.int64), np.zeros(len(distinct), np.int64)
     prints[slots] = _fingerprint(distinct)
     positions[slots] = at[some][first]
     lengths[slots] = np.add.reduceat(counts[some], first) if len(first) else 0
     return {
         "part": part, "shard": number, "first_key": keys[0], "last_key": keys[-1], "n_docs": len(keys), "before": before, "n_ids": int(counts.sum()), "width": width,
-        "doc_ids": ids.tobytes(), "counts": counts.tobytes(), "payload": b"".join(blobs), "levels": levels.tobytes(), "bits": np.packbits(bits).tobytes(),
+        "doc_ids": ids.tobytes(), "counts": counts.tobytes(), "payload": b"".join(blobs), "levels": levels.tobytes(), "bits": bits.tobytes(), "ranks": ranks.tobytes(),
         "fingerprints": prints.tobytes(), "positions": positions.tobytes(), "lengths": lengths.tobytes(),
     }
 
 
+@dataclass
+class Deal:
+    """Places of keys in ascending order: nulls first, then ranges between edges; a key that several edges share has places of its own."""
+
+    edges: np.ndarray  # distinct
+    times: np.ndarray  # places of the edge's own key, 0 where the range after it holds it
+    nulls: int
+
+    @classmethod
+    def of(cls, edges: list[int], nulls: int) -> Deal:
+        distinct, times = np.unique(np.asarray(edges, np.int64), return_counts=True)
+        return cls(distinct, np.where(times > 1, times, 0), nulls)
+
+    @property
+    def places(self) -> int:
+        return self.nulls + 1 + len(self.edges) + int(self.times.sum())
+
+    def __call__(self, keys: pa.Array, blobs: list[bytes]) -> np.ndarray:
+        null = np.asarray(keys.is_null())
+        values = keys.cast(pa.int64()).fill_null(0).to_numpy()
+        before = np.searchsorted(self.edges, values, "right")
+        own = np.concatenate([[0], np.cumsum(self.times)])
+        place = self.nulls + before + own[before]
+        edge = np.maximum(before - 1, 0)
+        same = (before > 0) & (self.edges[edge] == values) & (self.times[edge] > 0) if len(self.edges) else np.zeros(len(values), bool)
+        for i in np.flatnonzero(same | null).tolist():
+            mark = zlib.crc32(blobs[i])
+            place[i] = mark % self.nulls if null[i] else place[i] - self.times[edge[i]] + mark % self.times[edge[i]]
+        return place.astype(np.int32)
+
+
+def deal_of(docs: DataFrame, parts: int) -> Deal:
+    """About `parts` places of equally many rows, from approximate percentiles of the key."""
+    grid = [i / parts for i in range(1, parts)] or [0.5]
+    edges, nulls, rows = docs.select(F.col("doc_id").cast("long").alias("doc_id")).agg(F.percentile_approx("doc_id", grid, 20_000), F.count_if(F.col("doc_id").isNull()), F.count("*")).first()
+    return Deal.of(edges or [], -(-nulls * parts // rows) if nulls else 0)
+
+
 def write_store(docs: DataFrame, tokenizer: str, end_id: int = 1, shard_bytes: int = SHARD_BYTES, parts: int | None = None, path: str | None = None) -> TokenStore:
     """Encode all texts, deal them out by ranges of the key and write the shards in ascending key order."""
     spark = docs.sparkSession
     path = path or new_folder(spark, "token-store")
     parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    grid = [i / parts for i in range(1, parts)] or [0.5]
-    edges = docs.agg(F.percentile_approx("doc_id", grid, 20_000)).first()[0] or []
-    edges = sorted(set(edges))
-    coded = encode_table(docs, tokenizer, end_id).select(F.col("doc_id").cast("long").alias("doc_id"), "ids", "size")
-    place = F.lit(0)
-    if edges:  # number of edges at or below the key, by binary search over a literal array
-        bounds = F.array(*[F.lit(int(e)) for e in edges])
-        place = F.coalesce(F.expr("size(filter(bounds, e -> e <= doc_id))"), F.lit(0))
-        coded = coded.withColumn("bounds", bounds)
-    coded = coded.withColumn("place", place).select("place", "doc_id", "ids", "size")
-    sorted_ = coded.repartitionById(len(edges) + 1, F.col("place").cast("int")).sortWithinPartitions("place", F.asc_nulls_first("doc_id"), "ids")
+    deal = deal_of(docs, parts)
+    coded = encode_table(docs, tokenizer, end_id, place=deal).select("place", F.col("doc_id").cast("long").alias("doc_id"), "ids", "size")
+    sorted_ = coded.repartitionById(deal.places, F.col("place")).sortWithinPartitions("place", F.asc_nulls_first("doc_id"))
 
     def run(batches):
         state: dict = {"part": None}
@@ -220,7 +268,7 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int = 1, shard_bytes: i
                     if state["part"] is not None and state["keys"]:
                         yield close()
                     state |= {"part": part, "shard": 0, "before": 0, "keys": [], "blobs": [], "bytes": 0, "width": size}
-                elif state["bytes"] >= shard_bytes and key != state["keys"][-1]:
+                elif state["bytes"] >= shard_bytes:
                     yield close()
                 state["keys"].append(key)
                 state["blobs"].append(ids)
@@ -228,5 +276,5 @@ def write_store(docs: DataFrame, tokenizer: str, end_id: int = 1, shard_bytes: i
         if state["part"] is not None and state["keys"]:
             yield close()
 
-    sorted_.mapInArrow(run, _SCHEMA).write.parquet(path)
+    sorted_.mapInArrow(run, _SCHEMA).write.option("parquet.block.size", shard_bytes).parquet(path)
     return TokenStore(spark, path)

@@ -166,10 +166,93 @@ def test_decontamination_equals_brute_force(spark, docs, odd, small):
 
 
 def test_proximity(spark):
-    df = spark.createDataFrame([(1, "red x x blue"), (2, "blue red"), (3, "red x x x x blue"), (4, None)], "doc_id bigint, text string")
-    phrases = decontam.Phrases.of([("i", "red blue")])
-    index = decontam.build_index(df, phrases.terms)
-    assert {r["doc_id"] for r in decontam.proximity(index, phrases, 4).collect()} == {1, 2}
+    df = spark.createDataFrame([(1, "red x x blue"), (2, "blue red"), (3, "red x x x x blue"), (4, None), (5, "x"), (6, "red")], "doc_id bigint, text string")
+    got = {r["doc_id"]: r["near_ids"] for r in decontam.search(decontam.build_index(df), [decontam.Phrases.of([("i", "red blue")])], reach=3).collect()}
+    assert got == {1: ["i"], 2: ["i"], 3: [], 4: [], 5: [], 6: []}
+
+
+def test_one_index_for_any_test_set(spark, docs, small, tmp_path):
+    """The index is built without a test set; slices of a test set give the same answers as all of it at once."""
+    bench = spark.read.parquet(f"{small}/benchmark.parquet")
+    index = decontam.write_index(docs, str(tmp_path / "index"))
+    spelled = index.select("spelled", "spelled_ends").first()
+    assert len(np.frombuffer(spelled["spelled_ends"], np.int32)) > 1_000
+    whole = sorted(decontam.search(index, decontam.phrases_of(bench)).collect(), key=lambda r: r["doc_id"])
+    cut = list(decontam.phrases_of(bench, slice_bytes=2_000))
+    assert len(cut) > 3
+    assert sorted(decontam.search(index, cut).collect(), key=lambda r: r["doc_id"]) == whole
+    other = decontam.Phrases.of([("own", texts(docs)[whole[0]["doc_id"]])])
+    assert whole[0]["doc_id"] in {r["doc_id"] for r in decontam.search(index, [other]).where("contaminated").collect()}
+
+
+def test_decontamination_query_equals_sql(spark, small):
+    import duckdb
+
+    db = duckdb.connect()
+    for name in ("documents", "benchmark"):
+        db.execute(f"create view {name} as select * from read_parquet('{small}/{name}.parquet')")
+    got = queries.op6_positional_index(spark, small)
+    want = db.execute(queries.OP6_SQL).fetchall()
+    names = [x[0] for x in db.description]
+    assert sorted(names) == sorted(got.columns)
+    assert sorted(map(tuple, got.select(*names).collect())) == sorted(want) and sum(r[names.index("n_near")] for r in want) > 0
+
+
+def same_length_twins(n):
+    """Two unlike texts of n characters whose polynomial hashes modulo 2**64 are equal."""
+    signs = [bin(i).count("1") & 1 for i in range(n)]
+    return "".join("ab"[s] for s in signs), "".join("ba"[s] for s in signs)
+
+
+def test_unlike_texts_with_like_structure(spark):
+    for n in (1024, 2048, 4096):
+        a, b = same_length_twins(n)
+        assert lexing.hash_word(a.encode()) != lexing.hash_word(b.encode())
+        df = spark.createDataFrame([(1, a), (2, b), (3, f"{a}\n{b}\n{a}")], "doc_id bigint, text string")
+        for path in (BYTE, WORD):
+            library = Tokenizer.from_file(path)
+            want = {r: zlib.crc32(np.asarray(library.encode(t, add_special_tokens=False).ids + [1], "<u4").tobytes()) for r, t in ((1, a), (2, b))}
+            assert want.items() <= {r["doc_id"]: r["ids_crc32"] for r in token_store.write_store(df, path).records().collect()}.items()
+        counts = {r["doc_id"]: r["n_dup_lines"] for r in quality_rules.apply(df, df.where("doc_id = 1")).collect()}
+        assert counts == {1: 0, 2: 0, 3: 1}
+        bench = spark.createDataFrame([("x", a)], "item_id string, text string")
+        assert {r["doc_id"]: r["contaminated"] for r in decontam.apply(df, bench).collect()} == {1: True, 2: False, 3: True}
+
+
+def test_answers_do_not_rest_on_hashes(docs, labels, spark, small, monkeypatch):
+    """With a hash of few values, all exact answers stay."""
+    import pyarrow as pa
+
+    sample = [t for t in texts(docs).values()][:25] + ODD
+    data, a, b = common.texts_of(pa.array(sample))
+    plain = quality_rules.base_counts(data, a, b)
+    real = lexing.span_hashes
+    monkeypatch.setattr(lexing, "span_hashes", lambda d, s, e: real(d, s, e) % np.uint64(97) + np.uint64(1))
+    poor = quality_rules.base_counts(data, a, b)
+    assert all((plain[k] == poor[k]).all() for k in plain if k[0] != "_")
+    for path in (BYTE, WORD):
+        coder = bpe.Encoder(path)
+        ids, n = coder.encode_bytes(data, a, b)
+        for text, got in zip(sample, np.split(ids, np.cumsum(n)[:-1]), strict=True):
+            assert got.tolist() == coder.library.encode(text or "", add_special_tokens=False).ids
+
+
+def test_session_settings_stay(spark, docs, labels, small):
+    keys = ("spark.sql.execution.arrow.maxRecordsPerBatch", "spark.sql.execution.arrow.maxBytesPerBatch")
+    before = [spark.conf.get(k, None) for k in keys]
+    bench = spark.read.parquet(f"{small}/benchmark.parquet")
+    decontam.apply(docs, bench).count()
+    lm_scoring.apply(docs, labels.where("quality = 1")).count()
+    token_store.write_store(docs, WORD).records().count()
+    assert [spark.conf.get(k, None) for k in keys] == before
+
+
+def test_near_duplicates_keep_unlike_texts(spark):
+    words = [f"w{i}" for i in range(300)]
+    rows = [(1, "one two three four five"), (1, "some quite other words here"), (2, "and a third text of words"), (3, " ".join(words)), (4, " ".join(words)), (None, " ".join(words)), (None, "no id but text of its own"), (7, "same row"), (7, "same row"), (8, None), (9, "")]
+    df = spark.createDataFrame([(*r, "x") for r in rows], "doc_id bigint, text string, source string")
+    kept = sorted(((r["doc_id"], r["text"]) for r in simhash.keep_one(df).collect()), key=str)
+    assert kept == sorted([(1, "one two three four five"), (1, "some quite other words here"), (2, "and a third text of words"), (3, " ".join(words)), (None, "no id but text of its own"), (7, "same row"), (8, None)], key=str)
 
 
 def test_packing(docs, odd):
@@ -211,8 +294,30 @@ def test_token_store_round_trip(docs, odd, spark):
 
 def test_perfect_hash():
     keys = np.unique(np.random.default_rng(0).integers(-(1 << 62), 1 << 62, 5000))
-    levels, bits = token_store.build_index(keys)
-    assert sorted(token_store.find_slots(keys, levels, bits).tolist()) == list(range(len(keys)))
+    index = token_store.build_index(keys)
+    assert sorted(token_store.find_slots(keys, *index).tolist()) == list(range(len(keys)))
+    for n in (1, 10, 100):
+        probes: list[int] = []
+        token_store.find_slots(keys[:n], *index, probes)
+        assert n <= sum(probes) <= 6 * n + 8  # bits looked at: by the keys asked for, not by the index
+
+
+def test_hot_keys_are_split(spark):
+    rows = [(7, f"text number {i} " + "word " * 50) for i in range(300)] + [(None, f"none {i} " + "word " * 50) for i in range(200)] + [(i, f"doc {i}") for i in range(100)]
+    store = token_store.write_store(spark.createDataFrame(rows, "doc_id bigint, text string"), WORD, shard_bytes=2_000, parts=8)
+    got = store.records().collect()
+    assert len(got) == 600 and [sum(r["doc_id"] == k for r in got) for k in (7, None)] == [301, 200]
+    own = store.directory().where("first_key = 7 and last_key = 7 and n_docs > 1").collect()
+    assert len({r["part"] for r in own}) > 1 and max(r["n_ids"] for r in own) < 3_000
+    ordered = sorted(got, key=lambda r: r["start"])
+    at = 0
+    for r in ordered:
+        assert r["start"] == at
+        at += r["n_tokens"]
+    keys = [-1 if r["doc_id"] is None else r["doc_id"] for r in ordered]
+    assert keys == sorted(keys)
+    pieces = store.lookup([7, 50, 1_000]).collect()
+    assert sum(r["n_tokens"] for r in pieces if r["doc_id"] == 7) == sum(r["n_tokens"] for r in got if r["doc_id"] == 7) and sum(r["doc_id"] == 50 for r in pieces) == 1
 
 
 def plain_spans(t):
@@ -279,7 +384,7 @@ def test_personal_data_in_other_writings(spark):
 
 
 def test_personal_data_windows():
-    for n in (0, 1, 63, 64, 383, 384, 385, 640, 704, 705, 1_000, 5_000):
+    for n in (0, 1, 63, 64, 767, 768, 769, 1_472, 1_473, 5_000):
         parts = pii.windows_of(n)
         assert [k for _, _, a, b in parts for k in range(a, b)] == list(range(n))
         assert all(f <= a and b <= e and e - f <= pii.WINDOW for f, e, a, b in parts)
@@ -391,6 +496,65 @@ def test_style_tree_sees_past_names(spark):
     assert got[6005] == ["Main 5"]
 
 
+def article_text(page):
+    """What a reader sees of the given pages' article: blocks of the article element, one a line."""
+    import html
+
+    inner = re.search(r"<article>(.*?)</article>", page, re.S)[1]
+    lines = [" ".join(html.unescape(re.sub(r"<(?:/?b|a [^>]*|/a)>", "", re.sub(r"<br ?/?>", " ", part))).split()) for part in re.split(r"</?(?:p|h1|h2|h3|ul|ol|li|div|blockquote|table|tr|td|pre)(?:\s[^>]*)?>", inner)]
+    return "\n".join(filter(None, lines))
+
+
+@pytest.mark.parametrize("renamed", [False, True])
+def test_given_pages(spark, renamed):
+    """All given pages give their article's text; with class names replaced by random ones too, as the tree decides."""
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet").select("page_id", "url", "html")
+    rows = pages.collect()
+    want = {r["page_id"]: article_text(r["html"]) for r in rows}
+    if renamed:
+        name = {h: f"q{i}z" for i, h in enumerate(sorted({r["url"].split("/")[2] for r in rows}))}
+        pages = spark.createDataFrame([(r["page_id"], r["url"], re.sub(r"class=\"[^\"]*\"", f'class="{name[r["url"].split("/")[2]]}"', r["html"])) for r in rows], "page_id bigint, url string, html string")
+    got = html_tree.extract(pages).collect()
+    assert {r["page_id"]: r["text"] for r in got} == want
+    assert sum(r["n_decided_by_tree"] for r in got) > len(got) / 2
+
+
+def test_style_tree_importance(spark):
+    """Composite importance equals the recursion from the leaves up, by hand."""
+    rows = [(i, f"http://h.x/{i}", f"<body><div><p>same</p></div><section><p>own {i}</p>{'<p>more</p>' * (i % 2)}</section></body>") for i in range(4)]
+    tree = html_tree.places(html_tree.parsed_pages(spark.createDataFrame(rows, "page_id bigint, url string, html string")).cache())
+    nodes = {r["place"]: r for r in tree.collect()}
+    kids: dict = {}
+    for r in nodes.values():
+        if r["path"]:
+            kids.setdefault(r["path"][-1], []).append(r)
+
+    def composite(r):
+        if r["leaf"]:
+            return r["own"]
+        rest = html_tree.DECAY ** r["kinds"]
+        return (1 - rest) * r["own"] + rest * sum(k["share"] / r["pages"] * composite(k) for k in kids.get(r["place"], []))
+
+    got = {r["place"]: r["importance"] for r in html_tree.importance(tree).collect()}
+    assert got.keys() == nodes.keys()
+    for place, r in nodes.items():
+        assert got[place] == pytest.approx(composite(r))
+    assert len(nodes) == 8 and min(r["own"] for r in nodes.values() if r["leaf"]) == 0
+
+
+def test_style_tree_deep_nesting(spark):
+    import tracemalloc
+
+    deep = "<body>" + "<div>" * 100_000 + "deep text" + "</div>" * 100_000
+    tracemalloc.start()
+    made = html_tree.parse(deep)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert [t for _, _, _, t in made.blocks] == ["deep text"] and peak < 150e6
+    df = spark.createDataFrame([(1, "http://d.x/1", deep), (2, None, "<p>a<!-- cut"), (3, "u", "<p>b <a href='x"), (4, "u", "plain"), (5, "u", " <ul><li>x<li>y</ul>")], "page_id bigint, url string, html string")
+    assert {r["page_id"]: r["text"] for r in html_tree.extract(df).collect()} == {1: "deep text", 2: "a", 3: "b", 4: "plain", 5: "x\ny"}
+
+
 def test_lm_scoring_orders_by_likeness(docs, labels):
     trusted = labels.where("quality = 1")
     rows = lm_scoring.apply(docs, trusted).join(labels, "doc_id").collect()
