@@ -48,7 +48,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each stage's rows are written before the next one reads them; then all that was written for them goes."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES[:-1]:
-        docs = common.materialise(stage(spark, docs, sf_dir), name)
+        mark = common.marked()
+        done = common.materialise(stage(spark, docs, sf_dir), name)
+        common.clear(spark, mark, keep=done)
+        common.discard(docs)
+        docs = done
     return STAGES[-1][1](spark, docs, sf_dir)
