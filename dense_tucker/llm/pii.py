@@ -5,7 +5,7 @@ find in at most TRAIN_DOCS documents, and values in writings that the base patte
 `192[.]0[.]2[.]7`, numbers without a plus sign, with dots or in words), set into text of these documents beside harmless
 numbers and words. At use it reads every character of every text in windows of WINDOW characters that overlap by twice
 MARGIN; each character's tag is taken from the window in which it stands most central, and spans are cut over the
-whole text, at the borders of words. A span is added if it is sure enough, meets no base span and, written plainly, passes the
+whole text, at the borders of words. A span is added if it meets no base span and, written plainly, passes the
 base rule's check of its kind (parts up to 255, Luhn, number of digits, form of an address).
 
 Null and empty texts have no spans. Spans are code points, end exclusive. Repeated rows are answered one by
@@ -39,8 +39,6 @@ SLICE_BYTES = 8 << 20
 #: Characters of a training window, and training windows made for each document.
 SAMPLE = 88
 PER_DOC = 3
-#: Mean probability of its tags from which a span is added.
-SURE = 0.6
 #: Words by which a found span may grow or shrink at either border.
 REACH = 6
 HIDDEN = 12
@@ -371,8 +369,8 @@ class Tagger:
         some = np.flatnonzero(_gains(best, rough) > 1e-4)
         return some[_gains(scores[:, :, some], move) > 1e-4] if len(some) else some
 
-    def decode(self, scores: np.ndarray, mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Of scores time x batch x tags: best tag sequence (batch x time, by Viterbi) and its tags' marginal probabilities (1 in rows that are all `outside`)."""
+    def decode(self, scores: np.ndarray, mask: np.ndarray) -> np.ndarray:
+        """Of scores time x batch x tags: best tag sequence (batch x time, by Viterbi)."""
         move = self.p["move"]
         T, B, K = scores.shape
         best, link = scores[0], np.zeros((T, B, K), np.int8)
@@ -387,11 +385,7 @@ class Tagger:
             tags[t] = np.where(mask[t], now, 0)
             if t:
                 now = np.where(mask[t], link[t, rows, now], now)
-        sure, some = np.ones((T, B)), np.flatnonzero(tags.any(0))
-        if len(some):
-            post, _ = self.marginals(np.ascontiguousarray(scores[:, some]), mask[:, some])
-            sure[:, some] = np.take_along_axis(post, tags[:, some, None], 2)[:, :, 0]
-        return tags.T, sure.T
+        return tags.T
 
 
 def _gains(scores: np.ndarray, move: np.ndarray) -> np.ndarray:
@@ -474,7 +468,7 @@ def windows_of(n: int, size: int = WINDOW, margin: int = MARGIN) -> list[tuple[i
     return [(f, min(n, f + size), f + margin if k else 0, n if k == last else f + margin + step) for k, f in enumerate(firsts)]
 
 
-def model_spans(texts: list[str], net: Tagger, sure: float = SURE, batch: int = 512) -> list[list[Span]]:
+def model_spans(texts: list[str], net: Tagger, batch: int = 512) -> list[list[Span]]:
     """Spans that the network finds in each text, reconciled over its windows."""
     coded = [_codes(t) for t in texts]
     alike: dict[int, list[tuple[int, int, int, int, int]]] = {}
@@ -482,7 +476,6 @@ def model_spans(texts: list[str], net: Tagger, sure: float = SURE, batch: int =
         for f, e, a, b in windows_of(len(c)):
             alike.setdefault(-(-(e - f) // ROUND) * ROUND, []).append((i, f, e, a, b))
     tags: dict[int, np.ndarray] = {}
-    probability: dict[int, np.ndarray] = {}
     for size, places in alike.items():
         held: list[tuple[np.ndarray, np.ndarray, list]] = []  # what is left to decode: few windows of each batch
         for s in range(0, len(places), batch):
@@ -498,11 +491,11 @@ def model_spans(texts: list[str], net: Tagger, sure: float = SURE, batch: int =
                 held.append((scores[:, :, open_].transpose(0, 2, 1), mask[:, open_], [part[k] for k in open_.tolist()]))
         if not held:
             continue
-        best, sure_of = net.decode(np.concatenate([x[0] for x in held], 1), np.concatenate([x[1] for x in held], 1))
+        best = net.decode(np.concatenate([x[0] for x in held], 1), np.concatenate([x[1] for x in held], 1))
         for r, (i, f, _, a, b) in enumerate(x for _, _, windows in held for x in windows):
             if i not in tags:
-                tags[i], probability[i] = np.zeros(len(coded[i]), np.int8), np.ones(len(coded[i]), np.float32)
-            tags[i][a:b], probability[i][a:b] = best[r, a - f : b - f], sure_of[r, a - f : b - f]
+                tags[i] = np.zeros(len(coded[i]), np.int8)
+            tags[i][a:b] = best[r, a - f : b - f]
     found: list[list[Span]] = [[] for _ in texts]
     for i, t in tags.items():
         at = np.flatnonzero(t)
@@ -513,9 +506,7 @@ def model_spans(texts: list[str], net: Tagger, sure: float = SURE, batch: int =
         new[1:] = (np.diff(at) > 1) | (kind[1:] != kind[:-1]) | (t[at[1:]] % 2 == 1)
         heads = np.flatnonzero(new)
         for h, e in zip(heads.tolist(), np.append(heads[1:], len(at)).tolist(), strict=True):
-            a, b = int(at[h]), int(at[e - 1]) + 1
-            if probability[i][a:b].mean() >= sure:
-                found[i].append((KINDS[int(kind[h])], a, b))
+            found[i].append((KINDS[int(kind[h])], int(at[h]), int(at[e - 1]) + 1))
     return found
 
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
@@ -58,6 +59,53 @@ from words left join hits using (doc_id) left join items using (doc_id) left joi
 """
 
 
+#: The base columns of the quality rules.
+RULES_SQL = r"""
+with t as (
+    select doc_id, coalesce(text, '') as text from documents
+), words as (
+    select doc_id, text, regexp_extract_all(text, '[^\x20\x09-\x0D]+') as w from t
+), windows as (
+    select doc_id, i, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] as window from words, unnest(range(1, greatest(1, len(w) - 1))) as u(i)
+), twice as (
+    select doc_id, i from windows qualify count(*) over (partition by doc_id, window) > 1
+), repeated as (
+    select doc_id, count(distinct k) as n from twice, unnest(range(i, i + 3)) as u(k) group by doc_id
+), lines as (
+    select doc_id, unnest(string_split(text, chr(10))) as line from t
+), doubled as (
+    select doc_id, count(*) - count(distinct line) as n from lines where regexp_matches(line, '[^\x20\x09-\x0D]') group by doc_id
+), counts as (
+    select doc_id, len(w)::bigint as n_words, coalesce(list_sum(list_transform(w, x -> length(x))), 0)::bigint as word_chars,
+        (length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')))::bigint as n_symbols, coalesce(d.n, 0)::bigint as n_dup_lines, coalesce(r.n, 0)::bigint as n_repeat_words
+    from words left join doubled d using (doc_id) left join repeated r using (doc_id)
+)
+select *, n_words < 50 or 100 * n_repeat_words > 50 * n_words as base_failed from counts
+"""
+
+#: How many base spans of each kind the texts hold.
+PRIVACY_SQL = r"""
+with t as (
+    select doc_id, coalesce(text, '') as text from documents
+), found as (
+    select doc_id, regexp_extract_all(text, '[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+') as emails, regexp_extract_all(text, '[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+') as ips,
+        list_transform(regexp_extract_all(text, '[0-9](?:[\x20-]?[0-9])+'), x -> regexp_replace(x, '[^0-9]', '', 'g')) as numbers,
+        list_transform(regexp_extract_all(text, '\+[0-9][\x20().0-9-]+[0-9]'), x -> length(regexp_replace(x, '[^0-9]', '', 'g'))) as calls
+    from t
+), digits as (
+    select doc_id, place, length(number) as n, unnest(string_split(reverse(number), ''))::int as d, unnest(range(length(number))) as i
+    from (select doc_id, unnest(numbers) as number, unnest(range(len(numbers))) as place from found) where length(number) between 12 and 19
+), luhn as (
+    select doc_id, place, sum(case when i % 2 = 0 then d when d > 4 then 2 * d - 9 else 2 * d end) % 10 as rest from digits group by doc_id, place
+), cards as (
+    select doc_id, count(*) as n from luhn where rest = 0 group by doc_id
+)
+select doc_id, len(emails)::bigint as n_email, len(list_filter(ips, x -> list_aggregate(list_transform(string_split(x, '.'), y -> y::hugeint <= 255), 'bool_and')))::bigint as n_ip,
+    coalesce(cards.n, 0)::bigint as n_card, len(list_filter(calls, x -> x between 9 and 15))::bigint as n_phone
+from found left join cards using (doc_id)
+"""
+
+
 def _read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -104,6 +152,16 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.apply(_read(spark, sf_dir, "documents"))
 
 
+def rules_base_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What op2 counts before its method judges."""
+    return quality_rules.rate(_read(spark, sf_dir, "documents"), np.zeros(1)).drop("score", "kept")
+
+
+def privacy_base_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What op10 counts before its method adds spans."""
+    return pii.find(_read(spark, sf_dir, "documents"), None).select("doc_id", *(f"n_{k}" for k in pii.KINDS))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality_crf": op1_quality_crf,
@@ -116,8 +174,10 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op8_style_tree": op8_style_tree,
         "op9_token_store": op9_token_store,
         "op10_pii": op10_pii,
+        "rules_base_columns": rules_base_columns,
+        "privacy_base_columns": privacy_base_columns,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_positional_index": OP6_SQL}
+    return {"op6_positional_index": OP6_SQL, "rules_base_columns": RULES_SQL, "privacy_base_columns": PRIVACY_SQL}

@@ -395,7 +395,7 @@ def test_personal_data_windows():
     scores = rng.normal(0, 2, (64, 9, 40)).astype(np.float32)
     scores[:, 0] += rng.uniform(0, 8, 40).astype(np.float32)
     net.p["move"] = rng.normal(0, 1, (9, 9)).astype(np.float32)
-    best, _ = net.decode(scores.transpose(0, 2, 1), np.ones((64, 40), bool))
+    best = net.decode(scores.transpose(0, 2, 1), np.ones((64, 40), bool))
     assert np.flatnonzero(best.any(1)).tolist() == net.undecided(scores).tolist()
 
 
