@@ -66,9 +66,9 @@ with t as (
 ), words as (
     select doc_id, text, regexp_extract_all(text, '[^\x20\x09-\x0D]+') as w from t
 ), windows as (
-    select doc_id, i, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] as window from words, unnest(range(1, greatest(1, len(w) - 1))) as u(i)
+    select doc_id, i, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] as gram from words, unnest(range(1, greatest(1, len(w) - 1))) as u(i)
 ), twice as (
-    select doc_id, i from windows qualify count(*) over (partition by doc_id, window) > 1
+    select doc_id, i from windows qualify count(*) over (partition by doc_id, gram) > 1
 ), repeated as (
     select doc_id, count(distinct k) as n from twice, unnest(range(i, i + 3)) as u(k) group by doc_id
 ), lines as (
@@ -76,7 +76,7 @@ with t as (
 ), doubled as (
     select doc_id, count(*) - count(distinct line) as n from lines where regexp_matches(line, '[^\x20\x09-\x0D]') group by doc_id
 ), counts as (
-    select doc_id, len(w)::bigint as n_words, coalesce(list_sum(list_transform(w, x -> length(x))), 0)::bigint as word_chars,
+    select doc_id, len(w)::bigint as n_words, coalesce(list_sum(list_transform(w, lambda x: length(x))), 0)::bigint as word_chars,
         (length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')))::bigint as n_symbols, coalesce(d.n, 0)::bigint as n_dup_lines, coalesce(r.n, 0)::bigint as n_repeat_words
     from words left join doubled d using (doc_id) left join repeated r using (doc_id)
 )
@@ -89,8 +89,8 @@ with t as (
     select doc_id, coalesce(text, '') as text from documents
 ), found as (
     select doc_id, regexp_extract_all(text, '[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+') as emails, regexp_extract_all(text, '[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+') as ips,
-        list_transform(regexp_extract_all(text, '[0-9](?:[\x20-]?[0-9])+'), x -> regexp_replace(x, '[^0-9]', '', 'g')) as numbers,
-        list_transform(regexp_extract_all(text, '\+[0-9][\x20().0-9-]+[0-9]'), x -> length(regexp_replace(x, '[^0-9]', '', 'g'))) as calls
+        list_transform(regexp_extract_all(text, '[0-9](?:[\x20-]?[0-9])+'), lambda x: regexp_replace(x, '[^0-9]', '', 'g')) as numbers,
+        list_transform(regexp_extract_all(text, '\+[0-9][\x20().0-9-]+[0-9]'), lambda x: length(regexp_replace(x, '[^0-9]', '', 'g'))) as calls
     from t
 ), digits as (
     select doc_id, place, length(number) as n, unnest(string_split(reverse(number), ''))::int as d, unnest(range(length(number))) as i
@@ -100,8 +100,8 @@ with t as (
 ), cards as (
     select doc_id, count(*) as n from luhn where rest = 0 group by doc_id
 )
-select doc_id, len(emails)::bigint as n_email, len(list_filter(ips, x -> list_aggregate(list_transform(string_split(x, '.'), y -> y::hugeint <= 255), 'bool_and')))::bigint as n_ip,
-    coalesce(cards.n, 0)::bigint as n_card, len(list_filter(calls, x -> x between 9 and 15))::bigint as n_phone
+select doc_id, len(emails)::bigint as n_email, len(list_filter(ips, lambda x: list_aggregate(list_transform(string_split(x, '.'), lambda y: y::hugeint <= 255), 'bool_and')))::bigint as n_ip,
+    coalesce(cards.n, 0)::bigint as n_card, len(list_filter(calls, lambda x: x between 9 and 15))::bigint as n_phone
 from found left join cards using (doc_id)
 """
 
