@@ -8,16 +8,24 @@ meant to hold 16 to 64 MB, so tasks are bounded by the grid, not by the tensor.
 
 from __future__ import annotations
 
+import warnings
 from collections.abc import Iterator
 from dataclasses import dataclass
 from math import prod
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark import TaskContext
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.grids import enumerate_grids
+
 Grid = tuple[int, ...]
+#: Longest mode whose length x length Gram matrix and eigenvectors the driver takes; longer ones go by subspace iteration.
+GRAM_LENGTH = 4_000
+#: Bytes of matrices that may be sent to every executor.
+SHARED_BYTES = 512 << 20
 SCHEMA = "bid int, lo array<int>, shape array<int>, data binary"
 _ARROW = pa.schema([("bid", pa.int32()), ("lo", pa.list_(pa.int32())), ("shape", pa.list_(pa.int32())), ("data", pa.binary())])
 
@@ -55,6 +63,15 @@ def _blocks(batch: pa.RecordBatch) -> Iterator[tuple[int, list[int], np.ndarray]
         yield r["bid"], r["lo"], np.frombuffer(r["data"], "<f8").reshape(r["shape"])
 
 
+def share(spark: SparkSession, value: np.ndarray | tuple):
+    """Broadcast matrices of a checked size."""
+    arrays = [value] if isinstance(value, np.ndarray) else [x for v in value for x in (v if isinstance(v, list) else [v])]
+    size = sum(x.nbytes for x in arrays)
+    if size > SHARED_BYTES:
+        raise ValueError(f"{size} bytes of matrices for every executor; at most {SHARED_BYTES}")
+    return spark.sparkContext.broadcast(value)
+
+
 @dataclass
 class Blocked:
     """A distributed tensor with its lengths and grid."""
@@ -74,7 +91,7 @@ class Blocked:
 
 
 def distribute(cells: DataFrame, shape: tuple[int, ...], grid: Grid) -> Blocked:
-    """Pack cells (absent ones are zero) under a grid: one shuffle, by block."""
+    """Pack cells (absent ones are zero, repeated ones are summed) under a grid: one shuffle, by block."""
     n = len(shape)
     bid, inner = F.lit(0).cast("bigint"), F.lit(0).cast("bigint")
     for k, (length, q) in enumerate(zip(shape, grid, strict=True)):
@@ -95,7 +112,7 @@ def distribute(cells: DataFrame, shape: tuple[int, ...], grid: Grid) -> Blocked:
         flat = np.zeros(prod(size))
         for batch in batches:
             at, v = batch.column("at").to_numpy(), batch.column("v").to_numpy()
-            flat[at[at >= 0]] = v[at >= 0]
+            np.add.at(flat, at[at >= 0], v[at >= 0])
         yield _batch([_row(bid_, lo, flat.reshape(size))])
 
     return Blocked(placed.union(marks).groupBy("bid").applyInArrow(pack, SCHEMA), tuple(shape), tuple(grid))
@@ -163,7 +180,7 @@ def ttm(t: Blocked, mode: int, a: np.ndarray) -> Blocked:
     shape = (*t.shape[:mode], a.shape[0], *t.shape[mode + 1 :])
     if q > a.shape[0]:
         raise ValueError(f"{q} blocks along mode {mode} of a product with {a.shape[0]} rows")
-    matrix = t.df.sparkSession.sparkContext.broadcast(np.ascontiguousarray(a, float))
+    matrix = share(t.df.sparkSession, np.ascontiguousarray(a, float))  # freed with the lazy product that holds it
     cuts = bounds(a.shape[0], q)
 
     def multiply(batches):
@@ -199,64 +216,72 @@ def _add(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Itera
 
 
 def _whole_mode_grid(t: Blocked, mode: int) -> Grid:
-    """A grid that does not cut the mode: its factor goes to the modes with the longest blocks."""
-    grid = list(t.grid)
-    spare, grid[mode] = grid[mode], 1
-    for p in sorted((d for d in _primes(spare)), reverse=True):
-        k = max((k for k in range(len(grid)) if k != mode), key=lambda k: t.shape[k] / grid[k], default=mode)
-        if k != mode and grid[k] * p <= t.shape[k]:
-            grid[k] *= p
-    return tuple(grid)
-
-
-def _primes(n: int) -> list[int]:
-    out, d = [], 2
-    while n > 1:
-        while n % d == 0:
-            out.append(d)
-            n //= d
-        d += 1
-    return out
+    """A grid of as many blocks that does not cut the mode, its longest block as short as can be. Where none fits, the most blocks that do, with a warning."""
+    blocks = prod(t.grid)
+    most = tuple(1 if k == mode else n for k, n in enumerate(t.shape))
+    for p in (d for d in range(blocks, 0, -1) if blocks % d == 0):
+        fitting = enumerate_grids(p, len(most), most)
+        if len(fitting):
+            if p < blocks:
+                warnings.warn(f"{t.shape} has no grid of {blocks} blocks that leaves mode {mode} whole; taking {p}", stacklevel=2)
+            kept = np.asarray(t.grid)
+            # largest block first, then what stays as it is
+            best = min(fitting.tolist(), key=lambda g: (max(-(-n // q) for k, (n, q) in enumerate(zip(t.shape, g, strict=True)) if k != mode) if len(g) > 1 else 0, int((kept != g).sum()), g))
+            return tuple(best)
+    raise AssertionError("one block always fits")
+
+
+def _add_strips(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    total = None
+    for batch in batches:
+        for blob in batch.column("data"):
+            x = np.frombuffer(blob.as_buffer(), "<f8")
+            total = x.copy() if total is None else np.add(total, x, out=total)
+    yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([total.tobytes()], pa.binary())], names=["at", "data"])
 
 
-def _sum_matrices(df: DataFrame, rows: int, columns: int) -> np.ndarray:
-    """Add up (at, data) row strips of rows x columns matrices: by strip, then to the driver once."""
+def _sum_strips(df: DataFrame) -> dict[int, np.ndarray]:
+    """Sums of (at, part, data) strips over all parts, in two steps: about the square root of the parts meet in a task, then their sums."""
+    wide = max(1, round(df.sparkSession.sparkContext.defaultParallelism ** 0.5))
+    first = df.groupBy("at", F.pmod("part", F.lit(wide)).alias("group")).applyInArrow(_add_strips, "at int, data binary")
+    return {r["at"]: np.frombuffer(r["data"], "<f8") for r in first.groupBy("at").applyInArrow(_add_strips, "at int, data binary").collect()}
 
-    def add(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = None
-        for batch in batches:
-            for blob in batch.column("data"):
-                x = np.frombuffer(blob.as_buffer(), "<f8")
-                total = x.copy() if total is None else total + x
-        yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([total.tobytes()], pa.binary())], names=["at", "data"])
-
-    out = np.zeros((rows, columns))
-    for r in df.groupBy("at").applyInArrow(add, "at int, data binary").collect():
-        strip = np.frombuffer(r["data"], "<f8").reshape(-1, columns)
-        out[r["at"] : r["at"] + len(strip)] = strip
-    return out
 
+def _strips(parts: list[tuple[int, np.ndarray]]) -> pa.RecordBatch:
+    part = TaskContext.get().partitionId()
+    return pa.RecordBatch.from_arrays(
+        [pa.array([i for i, _ in parts], pa.int32()), pa.array([part] * len(parts), pa.int32()), pa.array([np.ascontiguousarray(x).tobytes() for _, x in parts], pa.binary())], names=["at", "part", "data"]
+    )
 
-def _strips(total: np.ndarray, size: int = 1 << 18) -> pa.RecordBatch:
-    step = max(1, size // max(1, total.shape[1]))
-    at = list(range(0, len(total), step))
-    return pa.RecordBatch.from_arrays([pa.array(at, pa.int32()), pa.array([np.ascontiguousarray(total[i : i + step]).tobytes() for i in at], pa.binary())], names=["at", "data"])
+
+def _cuts(n: int, columns: int, size: int = 1 << 18) -> list[tuple[int, int]]:
+    """Row ranges of strips of about `size` numbers."""
+    step = max(1, size // max(1, columns))
+    return [(i, min(n, i + step)) for i in range(0, n, step)]
 
 
 def gram(t: Blocked, mode: int) -> np.ndarray:
-    """Unfolding times its transpose; each task sends one partial sum, cut in strips."""
-    whole = regrid(t, _whole_mode_grid(t, mode)) if t.grid[mode] > 1 else t
+    """Unfolding times its transpose. Each task adds up the upper half of its blocks' products, strip by strip, and sends that once."""
     n = t.shape[mode]
+    if n > GRAM_LENGTH:
+        raise ValueError(f"a {n} x {n} matrix on the driver; use the distributed solver")
+    whole = regrid(t, _whole_mode_grid(t, mode)) if t.grid[mode] > 1 else t
+    cuts = _cuts(n, n)
 
     def run(batches):
-        total = np.zeros((n, n))
+        total = [np.zeros((b - a, n - a)) for a, b in cuts]
         for batch in batches:
             for _, _, x in _blocks(batch):
                 m = np.moveaxis(x, mode, 0).reshape(n, -1)
-                total += m @ m.T
-        yield _strips(total)
+                for out, (a, b) in zip(total, cuts, strict=True):
+                    out += m[a:b] @ m[a:].T
+        yield _strips([(a, out) for out, (a, _) in zip(total, cuts, strict=True)])
 
-    return _sum_matrices(whole.df.mapInArrow(run, "at int, data binary"), n, n)
+    sums, out = _sum_strips(whole.df.mapInArrow(run, "at int, part int, data binary")), np.zeros((n, n))
+    for a, b in cuts:
+        if a in sums:
+            out[a:b, a:] = sums[a].reshape(b - a, n - a)
+    return np.triu(out) + np.triu(out, 1).T
 
 
 def leading_eigvecs(g: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -272,14 +297,14 @@ def fix_signs(f: np.ndarray) -> np.ndarray:
     return f * np.where(sign == 0, 1, sign)
 
 
-def left_svd(t: Blocked, mode: int, k: int, solver: str = "gram", iterations: int = 60, oversample: int = 8, seed: int = 3) -> tuple[np.ndarray, np.ndarray]:
+def left_svd(t: Blocked, mode: int, k: int, solver: str = "auto", iterations: int = 60, oversample: int = 8, seed: int = 3) -> tuple[np.ndarray, np.ndarray]:
     """k leading left singular vectors of the unfolding and their singular values.
 
-    gram: Gram matrix and an eigenvalue decomposition on the driver (lengths up to a few thousand).
-    distributed: block subspace iteration, in which only length x k matrices travel.
+    gram: Gram matrix and an eigenvalue decomposition on the driver (lengths up to GRAM_LENGTH).
+    distributed: block subspace iteration, in which only length x k matrices travel. auto: by the mode's length.
     """
     n = t.shape[mode]
-    if solver == "gram":
+    if solver == "gram" or solver == "auto" and n <= GRAM_LENGTH:
         f, values = leading_eigvecs(gram(t, mode), k)
         return f, np.sqrt(values[:k])
     whole = regrid(t, _whole_mode_grid(t, mode)) if t.grid[mode] > 1 else t
@@ -288,8 +313,9 @@ def left_svd(t: Blocked, mode: int, k: int, solver: str = "gram", iterations: in
     wanted, k = k, min(n, k + oversample)
     f = np.linalg.qr(np.random.default_rng(seed).normal(size=(n, k)))[0]
     values, ritz = np.zeros(k), f
+    cuts = _cuts(n, k)
     for _ in range(iterations):
-        now = spark.sparkContext.broadcast(f)
+        now = share(spark, f)
 
         def run(batches, now=now):
             total = np.zeros((n, k))
@@ -297,9 +323,13 @@ def left_svd(t: Blocked, mode: int, k: int, solver: str = "gram", iterations: in
                 for _, _, x in _blocks(batch):
                     m = np.moveaxis(x, mode, 0).reshape(n, -1)
                     total += m @ (m.T @ now.value)
-            yield _strips(total)
+            yield _strips([(a, total[a:b]) for a, b in cuts])
 
-        z = _sum_matrices(whole.df.mapInArrow(run, "at int, data binary"), n, k)
+        sums, z = _sum_strips(whole.df.mapInArrow(run, "at int, part int, data binary")), np.zeros((n, k))
+        now.destroy()
+        for a, b in cuts:
+            if a in sums:
+                z[a:b] = sums[a].reshape(b - a, k)
         inner = f.T @ z
         w, u = np.linalg.eigh((inner + inner.T) / 2)
         before, values, ritz = values, w[::-1], f @ u[:, ::-1]
@@ -323,7 +353,7 @@ def collect_array(t: Blocked, limit: int = 4_000_000) -> np.ndarray:
 
 def squared_error(t: Blocked, core: np.ndarray, factors: list[np.ndarray]) -> dict[str, float]:
     """Squared gap to the reconstruction, squared norm, count, least and greatest cell: each block is rebuilt where it lies."""
-    parts = t.df.sparkSession.sparkContext.broadcast((core, factors))
+    parts = share(t.df.sparkSession, (core, list(factors)))
 
     def run(batches):
         gap = norm = 0.0
@@ -339,4 +369,23 @@ def squared_error(t: Blocked, core: np.ndarray, factors: list[np.ndarray]) -> di
         yield pa.RecordBatch.from_arrays([pa.array([v]) for v in (gap, norm, float(low), float(high))] + [pa.array([n])], names=["gap", "norm", "low", "high", "n"])
 
     row = t.df.mapInArrow(run, "gap double, norm double, low double, high double, n long").where("n > 0").agg(F.sum("gap"), F.sum("norm"), F.min("low"), F.max("high"), F.sum("n")).first()
+    parts.destroy()
     return dict(zip(("gap", "norm", "low", "high", "n"), row, strict=True))
+
+
+def reconstruct(spark: SparkSession, core: np.ndarray, factors: list[np.ndarray], grid: Grid) -> Blocked:
+    """The tensor that a decomposition stands for, each block rebuilt in its own task from the core and its rows of the factors: nothing is shuffled."""
+    shape = tuple(f.shape[0] for f in factors)
+    cuts = [bounds(n, q) for n, q in zip(shape, grid, strict=True)]
+    parts, n = share(spark, (core, list(factors))), prod(grid)
+
+    def run(batches):
+        for batch in batches:
+            for bid in batch.column(0).to_pylist():
+                place = _place(bid, grid)
+                y, f = parts.value
+                for m in sorted(range(y.ndim), key=lambda m: (cuts[m][place[m] + 1] - cuts[m][place[m]]) / f[m].shape[1]):
+                    y = _times(y, m, f[m][cuts[m][place[m]] : cuts[m][place[m] + 1]])
+                yield _batch([_row(bid, [cuts[m][place[m]] for m in range(y.ndim)], y)])
+
+    return Blocked(spark.range(n, numPartitions=n).mapInArrow(run, SCHEMA), shape, tuple(grid))

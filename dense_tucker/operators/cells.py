@@ -7,6 +7,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
+#: Longest mode of a relational Gram matrix.
+RELATIONAL_LENGTH = 512
+
+
 def keys(cells: DataFrame) -> list[str]:
     return [c for c in cells.columns if c != "v"]
 
@@ -36,7 +40,24 @@ def ttm(cells: DataFrame, mode: int, matrix: DataFrame) -> DataFrame:
     return out.select(*keys(cells), "v")
 
 
-def ttm_chain(cells: DataFrame, matrices: dict[int, DataFrame], order: list[int] | None = None) -> DataFrame:
+def best_order(shapes: dict[int, tuple[int, int]]) -> list[int]:
+    """Order of least flops for a chain of (rows x length) matrices.
+
+    Of two neighbours a, b the cost of a first is K_a + K_b K_a / L_a, so a goes first where K_a / (1 - K_a / L_a) is less; where a matrix does not
+    shrink its mode it goes last, those that grow least first.
+    """
+
+    def rank(m: int) -> tuple[int, float, int]:
+        rows, length = shapes[m]
+        return (0, rows / (1 - rows / length), m) if rows < length else (1, rows / max(rows / length - 1, 1e-12) * -1, m)
+
+    return sorted(shapes, key=rank)
+
+
+def ttm_chain(cells: DataFrame, matrices: dict[int, DataFrame], order: list[int] | str | None = None, shapes: dict[int, tuple[int, int]] | None = None) -> DataFrame:
+    """Products along several modes, in any order; "best" takes the cheapest one by the matrices' (rows, length)."""
+    if order == "best":
+        order = best_order(shapes)
     for m in order or sorted(matrices):
         cells = ttm(cells, m, matrices[m])
     return cells
@@ -83,7 +104,12 @@ def fold(matrix: DataFrame, mode: int, L: tuple[int, ...]) -> DataFrame:
 
 
 def gram(cells: DataFrame, mode: int, L: tuple[int, ...]) -> DataFrame:
-    """i, j, g with i <= j: inner products of the unfolding's rows, by a self join on the column."""
+    """i, j, g with i <= j: inner products of the unfolding's rows, by a self join on the column.
+
+    A column makes length^2 / 2 rows, so modes longer than RELATIONAL_LENGTH are refused; blocks have no such limit.
+    """
+    if L[mode] > RELATIONAL_LENGTH:
+        raise ValueError(f"mode of length {L[mode]}: use blocks")
     m = unfold(cells, mode, L)
     a, b = m.selectExpr("row as i", "col", "v as x"), m.selectExpr("row as j", "col", "v as y")
     return a.join(b, "col").where("i <= j").groupBy("i", "j").agg(F.sum(F.col("x") * F.col("y")).alias("g"))

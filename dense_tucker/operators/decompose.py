@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
+import re
 import time
 from dataclasses import dataclass, field
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 from ..model.decomposition import Decomposition
 from ..model.meta import TensorMeta
@@ -34,7 +35,7 @@ def _fit_grid(t: B.Blocked, mode: int, rows: int) -> B.Blocked:
     return B.regrid(t, B._whole_mode_grid(t, mode)) if t.grid[mode] > rows else t
 
 
-def seq_init(t: B.Blocked, meta: TensorMeta, order: list[int] | None = None, solver: str = "gram") -> Decomposition:
+def seq_init(t: B.Blocked, meta: TensorMeta, order: list[int] | None = None, solver: str = "auto") -> Decomposition:
     """Sequentially truncated: each new factor shrinks the tensor before the next is made."""
     order = order or optimal.seq_init_order(meta)[0]
     now, factors, energies = t, [np.zeros((0, 0))] * meta.n, {}
@@ -51,7 +52,7 @@ def planned_seq_init(t: B.Blocked, meta: TensorMeta, p: int) -> Decomposition:
     return seq_init(B.regrid(t, scheme.grids[0]), meta, order)
 
 
-def hosvd_init(t: B.Blocked, meta: TensorMeta, solver: str = "gram") -> Decomposition:
+def hosvd_init(t: B.Blocked, meta: TensorMeta, solver: str = "auto") -> Decomposition:
     """Every factor from the whole tensor."""
     factors = [B.left_svd(t, m, meta.K[m], solver)[0] for m in range(meta.n)]
     return Decomposition(meta, project_core(t, factors), factors)
@@ -66,10 +67,14 @@ def initial(t: B.Blocked, meta: TensorMeta, how: str = "sequential", given: list
     return Decomposition(meta, project_core(t, factors), list(factors))
 
 
-def errors(t: B.Blocked, dec: Decomposition, how: str = "full") -> dict[str, float]:
-    """rel_error (gap over norm), rmse and nrmse_range; how='norms' uses the norms of tensor and core alone."""
+def squared_norm(t: B.Blocked) -> float:
+    return B.squared_error(t, np.zeros((1,) * len(t.shape)), [np.zeros((n, 1)) for n in t.shape])["norm"]
+
+
+def errors(t: B.Blocked, dec: Decomposition, how: str = "full", norm: float | None = None) -> dict[str, float]:
+    """rel_error (gap over norm), rmse and nrmse_range; how='norms' uses the norms of tensor (given, or taken once) and core alone."""
     if how == "norms":
-        norm = B.squared_error(t, np.zeros((1,) * dec.core.ndim), [np.zeros((n, 1)) for n in t.shape])["norm"]
+        norm = squared_norm(t) if norm is None else norm
         gap = max(0.0, norm - float((dec.core**2).sum()))
         return {"rel_error": float(np.sqrt(gap / norm)) if norm else 0.0}
     s = B.squared_error(t, dec.core, dec.factors)
@@ -82,8 +87,9 @@ def errors(t: B.Blocked, dec: Decomposition, how: str = "full") -> dict[str, flo
 class Measured:
     """Times of one sweep in seconds; what moves is in elements, as Spark shuffles it.
 
-    `ttm` and `regrid` are the totals of the stages that made the products and changed the grids; reading them takes
-    aside_s, which wall_s leaves out.
+    `ttm`, `regrid` and `svd` are the totals of the stages that made the products, changed the grids and made the factors (with the
+    regrids that their Gram matrices need, gram_moved elements; no plan counts these); reading them takes aside_s, which
+    wall_s leaves out.
     """
 
     wall_s: float = 0.0
@@ -96,9 +102,11 @@ class Measured:
     regrids: int = 0
     peak_live: int = 0
     moved_elements: int = 0
+    gram_moved: int = 0
     node_s: dict[int, float] = field(default_factory=dict)
     ttm: StageTotals = field(default_factory=StageTotals)
     regrid: StageTotals = field(default_factory=StageTotals)
+    svd: StageTotals = field(default_factory=StageTotals)
 
     @property
     def shuffle_bytes(self) -> int:
@@ -115,12 +123,13 @@ class Measured:
         return self.ttm.task_s - self.ttm.shuffle_s
 
 
-def sweep(t: B.Blocked, dec: Decomposition, plan: Plan, factor_policy: str = "frozen", solver: str = "gram", measured: Measured | None = None) -> Decomposition:
+def sweep(t: B.Blocked, dec: Decomposition, plan: Plan, factor_policy: str = "frozen", solver: str = "auto", measured: Measured | None = None) -> Decomposition:
     """One refinement along the plan's tree, depth first.
 
     frozen: all products use the factors given, so every shared product is exact for all factors below it.
     latest: products use the newest factors; in depth-first order this is an exact alternating update on any
-    valid tree, and the error cannot rise. With `measured` every node is forced and timed on its own.
+    valid tree, and the error cannot rise. With `measured` every node is forced and timed on its own. The tensor under the plan's
+    first grid is kept while the sweep runs.
     """
     if factor_policy not in ("frozen", "latest"):
         raise ValueError(factor_policy)
@@ -129,6 +138,9 @@ def sweep(t: B.Blocked, dec: Decomposition, plan: Plan, factor_policy: str = "fr
     energies: dict[int, np.ndarray] = {}
     grids = plan.scheme.grids
     start = B.regrid(t, grids[0])
+    own = not start.df.is_cached
+    if own:
+        start.persist()
     last: list = [None]
     counter = {"node": 0, "live": 0}
 
@@ -137,11 +149,18 @@ def sweep(t: B.Blocked, dec: Decomposition, plan: Plan, factor_policy: str = "fr
         counter["node"] += 1
         if node.kind == "leaf":
             at = time.perf_counter()
-            f, sigma = B.left_svd(x, node.mode, plan.meta.K[node.mode], solver)
+            if measured:
+                with observed(x.df.sparkSession) as stages:
+                    f, sigma = B.left_svd(x, node.mode, plan.meta.K[node.mode], solver)
+                    done = time.perf_counter()
+                measured.svd_s += done - at
+                measured.svd += stages
+                measured.aside_s += time.perf_counter() - done
+                measured.gram_moved += int(np.prod(x.shape, dtype=object)) if x.grid[node.mode] > 1 else 0
+            else:
+                f, sigma = B.left_svd(x, node.mode, plan.meta.K[node.mode], solver)
             new[node.mode], energies[node.mode] = f, sigma**2
             last[0] = (node.mode, x)
-            if measured:
-                measured.svd_s += time.perf_counter() - at
             return
         made = x
         if node.kind == "mode":
@@ -196,6 +215,8 @@ def sweep(t: B.Blocked, dec: Decomposition, plan: Plan, factor_policy: str = "fr
     if measured:
         measured.core_s = time.perf_counter() - at
         measured.wall_s = time.perf_counter() - began - measured.aside_s
+    if own:
+        start.unpersist()
     return Decomposition(plan.meta, core, new, sweeps=dec.sweeps + 1, energies=energies)
 
 
@@ -206,24 +227,43 @@ class History:
     error_increased: bool
 
 
-def sweep_until(t: B.Blocked, dec: Decomposition, plan: Plan, tol: float = 1e-6, max_sweeps: int = 10, factor_policy: str = "latest", solver: str = "gram") -> History:
-    """Sweep until the error falls by less than tol; keeps the best decomposition and tells if the error ever rose."""
-    t.persist()
-    dec.error = errors(t, dec, "norms")["rel_error"]
+def sweep_until(t: B.Blocked, dec: Decomposition, plan: Plan, tol: float = 1e-6, max_sweeps: int = 10, factor_policy: str = "latest", solver: str = "auto", checkpoint: str | None = None) -> History:
+    """Sweep until the error falls by less than tol; keeps the best decomposition and tells if the error ever rose.
+
+    checkpoint: folder to which the decomposition is saved after every sweep; a later call with the same folder goes on from its last one.
+    """
+    spark, own = t.df.sparkSession, not t.df.is_cached
+    if own:
+        t.persist()
+    norm = squared_norm(t)
+    saved = saved_sweeps(spark, checkpoint) if checkpoint else []
+    if saved:
+        dec = Decomposition.load(spark, f"{checkpoint}/sweep={saved[-1]}")
+    dec.error = errors(t, dec, "norms", norm)["rel_error"]
     history, best, rose = [dec.error], dec, False
-    for _ in range(max_sweeps):
+    for _ in range(max_sweeps - len(saved)):
         dec = sweep(t, dec, plan, factor_policy, solver)
-        dec.error = errors(t, dec, "norms")["rel_error"]
+        dec.error = errors(t, dec, "norms", norm)["rel_error"]
+        if checkpoint:
+            dec.save(spark, f"{checkpoint}/sweep={dec.sweeps}")
         rose |= dec.error > history[-1] + 1e-9
         history.append(dec.error)
         if dec.error < best.error:
             best = dec
         if abs(history[-2] - history[-1]) < tol:
             break
-    t.unpersist()
+    if own:
+        t.unpersist()
     return History(best, history, rose)
 
 
+def saved_sweeps(spark: SparkSession, folder: str) -> list[int]:
+    """Numbers of the sweeps that were saved whole (their metadata is written last)."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{folder}/sweep=*/meta/_SUCCESS")
+    found = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).globStatus(path)
+    return sorted(int(re.search(r"sweep=(\d+)", f.getPath().toString())[1]) for f in found or [])
+
+
 def decompose(cells: DataFrame, meta: TensorMeta, plan: Plan, init: str = "sequential", sweeps: int = 1, factor_policy: str = "latest") -> History:
     """Cells to a refined decomposition under a plan."""
     t = B.distribute(cells, meta.L, plan.scheme.grids[0])

@@ -8,6 +8,8 @@ from itertools import product
 from math import comb, prod
 
 import numpy as np
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from ..model.meta import NoValidGrid, TensorMeta
 from .trees import Node
@@ -165,6 +167,56 @@ def best_dynamic_scheme(tree: Node, meta: TensorMeta, p: int, target_rule: str =
     return scheme_volume(tree, meta, {k: tuple(int(x) for x in grids[i]) for k, i in chosen.items()}, model)
 
 
+def grid_frame(spark: SparkSession, meta: TensorMeta, p: int) -> DataFrame:
+    """All valid grids as rows (q), listed by Spark mode by mode: only divisors of what is left and at most K go on."""
+    divisors = [1]
+    for prime, times in prime_factors(p).items():
+        divisors = [d * prime**e for d in divisors for e in range(times + 1)]
+    grids = spark.createDataFrame([([], p)], "q array<int>, rest bigint")
+    for mode in range(meta.n):
+        use = [d for d in sorted(divisors) if d <= meta.K[mode]] or [0]
+        made = grids.select("q", "rest", F.explode(F.array(*map(F.lit, use))).alias("d")).where("d > 0 and rest % d = 0")
+        grids = made.select(F.concat("q", F.array("d")).alias("q"), F.expr("rest div d").alias("rest"))
+        if mode == 0:
+            grids = grids.repartition("q")
+    return grids.where("rest = 1").select("q")
+
+
+def best_dynamic_scheme_distributed(spark: SparkSession, tree: Node, meta: TensorMeta, p: int, target_rule: str = "full", model: str = "paper") -> Scheme:
+    """best_dynamic_scheme with one row for each grid: a column of values for each node, one aggregation for each node's target; the driver holds one grid for a node."""
+    rows = _table(tree, meta)
+    df = grid_frame(spark, meta, p)
+    df.persist()
+    number = "decimal(38, 0)"
+    zero = F.lit(0).cast(number)
+    below: dict[int, list[str]] = {}
+    target: dict[int, tuple[Grid, int]] = {}
+    for node, parent, mode, size, out in reversed(rows):
+        q = F.col("q")[mode].cast(number)
+        moved = F.when(q > 1, q).otherwise(zero) if model == "spark" else q - 1
+        kids = sum((F.col(c) for c in below.get(node, [])), zero)
+        df = df.withColumn(f"here{node}", (moved * F.lit(out).cast(number) + kids).cast(number))
+        by = F.col(f"here{node}") if target_rule == "full" else kids
+        best = df.agg(F.min_by(F.struct("q", f"here{node}"), F.struct(by, "q")).alias("b")).first()["b"]
+        if best is None:
+            raise NoValidGrid(f"no grid of {p} blocks fits core {meta.K}")
+        target[node] = (tuple(best[0]), int(best[1]))
+        df = df.withColumn(f"value{node}", F.least(F.col(f"here{node}"), F.lit(size + int(best[1])).cast(number)))
+        below.setdefault(parent, []).append(f"value{node}")
+    total = sum((F.col(c) for c in below.get(0, [])), zero)
+    start = tuple(df.agg(F.min_by("q", F.struct(total, "q"))).first()[0])
+    wanted = {start, *(g for g, _ in target.values())}
+    picked = {tuple(r["q"]): r for r in df.where(F.array_join("q", ",").isin([",".join(map(str, g)) for g in wanted])).collect()}
+    df.unpersist()
+    chosen = {0: start}
+    for node, parent, _, size, _ in rows:
+        up = chosen[parent]
+        chosen[node] = up if int(picked[up][f"here{node}"]) <= size + target[node][1] else target[node][0]
+    for node, parent, *_ in tree.walk():
+        chosen.setdefault(node, chosen.get(parent))
+    return scheme_volume(tree, meta, chosen, model)
+
+
 def enumerate_schemes(tree: Node, meta: TensorMeta, p: int) -> Iterator[Scheme]:
     """Every assignment of grids to root and inner nodes (small cases only)."""
     grids = [tuple(int(x) for x in g) for g in valid_grids(meta, p)]
