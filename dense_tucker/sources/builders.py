@@ -1,6 +1,7 @@
 """Tensors over relational tables: cells are the measure summed by the mode indices, absent cells are zero.
 
-Indices are 0-based and come from fixed domains, never from the facts, so sizes do not move with the data.
+Indices are 0-based and come from fixed domains, never from the facts, so sizes do not move with the data; only vectors and hosts are
+counted. Rows outside a domain have no cell; outside_rows() counts them.
 Facts are summed before the domain is filled. `cells` gives exactly the product of the lengths; the block
 packer fills zeros itself and takes `filled_cells`.
 """
@@ -10,7 +11,7 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -92,23 +93,26 @@ def _special(spark: SparkSession, sf_dir: str, name: str, spec: Spec) -> DataFra
         return cut.select("doc_id", "bucket", F.posexplode(F.array(*counts, rest)).alias("class", "n"))
     if name == "tl":
         host = F.regexp_extract("url", "://([^/?#]+)", 1)
-        hosts = base.select(host.alias("h")).distinct()
-        ranked = hosts.crossJoin(F.broadcast(hosts.groupBy().agg(F.array_sort(F.collect_set("h")).alias("all")))).select("h", (F.array_position("all", F.col("h")) - 1).cast("int").alias("host"))
+        # one row for each index of the mode
+        ranked = base.select(host.alias("h")).distinct().select("h", (F.dense_rank().over(Window.orderBy("h")) - 1).alias("host"))
         tags = F.array(*[((F.length("html") - F.length(F.replace("html", F.lit(t), F.lit("")))) / len(t)).cast("bigint") for t in TAGS])
         return base.withColumn("h", host).join(ranked, "h").select("host", F.length("html").alias("n_html"), F.posexplode(tags).alias("class", "n"))
     return base
 
 
 def lengths(spark: SparkSession, sf_dir: str, name: str) -> tuple[int, ...]:
-    """Lengths of the modes; the vector tensor's first one is the number of vectors."""
+    """Lengths of the modes; the first ones of the vector and page tensors are the numbers of vectors and hosts."""
     spec = specs()[name]
     if name == "te":
         return (read(spark, sf_dir, "embeddings").count(), 8, 8)
+    if name == "tl":
+        hosts = read(spark, sf_dir, "pages").select(F.count_distinct(F.regexp_extract("url", "://([^/?#]+)", 1))).first()[0]
+        return (hosts, *spec.L[1:])
     return spec.L
 
 
-def filled_cells(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """i0.., v of cells that occur (outside-domain rows are left out)."""
+def _indexed(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, Column]:
+    """Facts with their indices, and whether a row lies in the domain."""
     spec = specs()[name]
     df = _special(spark, sf_dir, name, spec) if name in ("te", "ti", "tl") else read(spark, sf_dir, spec.table)
     if spec.joins:
@@ -117,8 +121,19 @@ def filled_cells(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
             df = df.join(read(spark, sf_dir, table).alias(table), F.expr(condition))
     picked = df.select(*[F.expr(e).cast("int").alias(f"i{k}") for k, e in enumerate(spec.modes)], F.expr(spec.measure).alias("v"))
     inside = reduce(lambda a, b: a & b, [(F.col(f"i{k}") >= 0) & (F.col(f"i{k}") < n) for k, n in enumerate(lengths(spark, sf_dir, name))])
-    keys = [f"i{k}" for k in range(len(spec.modes))]
-    return picked.where(inside).groupBy(*keys).agg(F.sum("v").cast("double").alias("v"))
+    return picked, F.coalesce(inside, F.lit(False))
+
+
+def filled_cells(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """i0.., v of cells that occur."""
+    picked, inside = _indexed(spark, sf_dir, name)
+    return picked.where(inside).groupBy(*picked.columns[:-1]).agg(F.sum("v").cast("double").alias("v"))
+
+
+def outside_rows(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """tensor, facts and outside: how many rows the tensor is made of and how many of them have no cell."""
+    picked, inside = _indexed(spark, sf_dir, name)
+    return picked.agg(F.count("*").alias("facts"), F.count_if(~inside).alias("outside")).select(F.lit(name).alias("tensor"), "facts", "outside")
 
 
 def domain(spark: SparkSession, L: tuple[int, ...]) -> DataFrame:
@@ -139,10 +154,15 @@ def cells(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return domain(spark, L).join(filled_cells(spark, sf_dir, name), keys, "left").select(*keys, F.coalesce("v", F.lit(0.0)).alias("v"))
 
 
-def cells_sql(name: str, L: tuple[int, ...] | None = None) -> str:
-    """The same by a cross join of domains, for DuckDB."""
+def _lengths_sql(name: str) -> list[str]:
+    L = [str(n) for n in specs()[name].L]
+    counted = {"te": "(select count(*) from embeddings)", "tl": "(select count(distinct regexp_extract(url, '://([^/?#]+)', 1)) from pages)"}
+    return [counted[name], *L[1:]] if name in counted else L
+
+
+def facts_sql(name: str) -> str:
+    """Indices and measure of all facts, for DuckDB."""
     spec = specs()[name]
-    L = L or spec.L
     source = spec.table + "".join(f" join {t} on {c}" for t, c in spec.joins)
     if name == "te":
         source = "(select vec_id, unnest(range(64)) as pos, unnest(embedding) as x from embeddings)"
@@ -153,8 +173,18 @@ def cells_sql(name: str, L: tuple[int, ...] | None = None) -> str:
         tags = ", ".join(f"cast((length(html) - length(replace(html, '{t}', ''))) / {len(t)} as bigint)" for t in TAGS)
         source = f"(select host, n_html, unnest(range(6)) as class, unnest([{tags}]) as n from (select dense_rank() over (order by regexp_extract(url, '://([^/?#]+)', 1)) - 1 as host, length(html) as n_html, html from pages))"
     modes = [m.replace("datediff(cast(ts as date), date '2023-12-31')", "datediff('day', date '2023-12-31', cast(ts as date))") for m in spec.modes]
+    return f"select {', '.join(f'cast({m} as int) as i{k}' for k, m in enumerate(modes))}, {spec.measure} as v from {source}"
+
+
+def outside_sql(name: str) -> str:
+    inside = " and ".join(f"i{k} >= 0 and i{k} < {n}" for k, n in enumerate(_lengths_sql(name)))
+    return f"select '{name}' as tensor, count(*) as facts, count(*) filter (where not coalesce({inside}, false)) as outside from ({facts_sql(name)})"
+
+
+def cells_sql(name: str) -> str:
+    """The cells by a cross join of domains, for DuckDB."""
+    L, facts = _lengths_sql(name), facts_sql(name)
     keys = ", ".join(f"i{k}" for k in range(len(L)))
-    facts = f"select {', '.join(f'cast({m} as int) as i{k}' for k, m in enumerate(modes))}, {spec.measure} as v from {source}"
     summed = f"select {keys}, cast(sum(v) as double) as v from ({facts}) group by {keys}"
     domains = ", ".join(f"(select unnest(range({n}))::int as i{k})" for k, n in enumerate(L))
     return f"select {keys}, coalesce(v, 0.0) as v from (select * from {domains}) left join ({summed}) using ({keys})"

@@ -1,4 +1,4 @@
-"""Places for tables that a query writes: the session's shared folder, or one of our own where it is unset."""
+"""Places for tables that a query writes: the session's shared folder; only a local session may go without and gets one of its own."""
 
 from __future__ import annotations
 
@@ -9,5 +9,10 @@ from pyspark.sql import SparkSession
 
 
 def new_path(spark: SparkSession, name: str) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="tucker-")
+    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if root is None:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        root = tempfile.mkdtemp(prefix="tucker-")
     return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"

@@ -28,7 +28,7 @@ def stage(spark: SparkSession, sf_dir: str, late_share: int = 0) -> str:
         slot = F.least(F.lit(SLICES - 1), slot + (F.col("event_id") % late_share == 0).cast("int"))
     e = e.withColumn("slot", slot).persist()
     for i in range(SLICES):
-        e.where(F.col("slot") == i).drop("slot").coalesce(1).write.mode("append").parquet(path)
+        e.where(F.col("slot") == i).drop("slot").write.mode("append").parquet(path)
     e.unpersist()
     return path
 
@@ -38,9 +38,28 @@ def read(spark: SparkSession, path: str, files: int = 1) -> DataFrame:
 
 
 def drain(df: DataFrame, mode: str = "append") -> DataFrame:
-    """Run over everything there is and give the memory sink's table."""
+    """Run over everything there is into files and give their table: all rows (append), all updates (update) or the last batch's (complete)."""
+    spark, path = df.sparkSession, new_path(df.sparkSession, "drained")
+    if mode == "append":
+        query = df.writeStream.format("parquet").option("path", path).outputMode(mode).option("checkpointLocation", new_path(spark, "stream")).trigger(availableNow=True).start()
+        query.awaitTermination()
+        return spark.read.schema(df.schema).parquet(path)
+    last: list[str] = []
+
+    def each(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")  # a replayed batch replaces itself
+        last.append(f"{path}/batch={number}")
+
+    drain_batches(df, each, mode)
+    if not last:
+        return spark.createDataFrame([], df.schema)
+    return spark.read.schema(df.schema).parquet(*(last[-1:] if mode == "complete" else dict.fromkeys(last)))
+
+
+def drain_to_memory(df: DataFrame) -> DataFrame:
+    """The memory sink's table: all rows are held by the driver, so for small answers only."""
     spark, name = df.sparkSession, "s" + uuid.uuid4().hex
-    query = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", new_path(spark, "stream")).trigger(availableNow=True).start()
+    query = df.writeStream.format("memory").queryName(name).outputMode("append").option("checkpointLocation", new_path(spark, "stream")).trigger(availableNow=True).start()
     query.awaitTermination()
     return spark.table(name)
 
