@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import time
 
 import numpy as np
@@ -12,10 +13,12 @@ from ..model.meta import NAMED, TensorMeta
 from ..operators import blocks as B
 from ..operators import decompose as D
 from ..operators import measures as M
+from ..operators.stage_metrics import observed
 from ..plans import grids as G
 from ..plans import optimal, trees
 from ..plans.planner import STRATEGIES, strategy
 from ..sources import benchmark, builders
+from . import planning
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -44,25 +47,69 @@ def _table_meta(spark, d, name, K=None) -> TensorMeta:
     return TensorMeta(builders.lengths(spark, d, name), K or _SPECS[name].K, name)
 
 
-def _overall(spark, d, tables, generated, p) -> DataFrame:
+_OVERALL = "tensor_id string, strategy string, load double, volume double, wall_s double, compute_task_s double, comm_task_s double, shuffle_bytes double"
+#: Benchmark inputs that the registered queries run (`python -m dense_tucker.workloads.overall` runs more of them).
+OVERALL_METAS = 2
+
+
+def overall_sweeps(spark: SparkSession, metas: list[TensorMeta], p: int, names=tuple(STRATEGIES), cells: DataFrame | None = None) -> list[tuple]:
+    """One sweep for each input (random cells, unless some are given) and strategy, nothing forced in between: wall time, and the task seconds and bytes that Spark's stages report."""
     rows = []
-    for name in tables:
-        rows += timed_sweeps(spark, builders.filled_cells(spark, d, name), _table_meta(spark, d, name), p)
-    for meta in generated:
-        rows += timed_sweeps(spark, builders.random_cells(spark, meta.L), meta, p)
-    return spark.createDataFrame(rows, _TIMED)
+    for meta in metas:
+        for name in names:
+            made = strategy(meta, p, name)
+            t = B.distribute(builders.random_cells(spark, meta.L) if cells is None else cells, meta.L, made.scheme.grids[0]).persist()
+            t.df.count()
+            with observed(spark) as stages:
+                began = time.perf_counter()
+                D.sweep(t, D.Decomposition(meta, np.zeros(meta.K), D.random_init(meta)), made, "frozen")
+                wall = time.perf_counter() - began
+            t.unpersist()
+            rows.append((meta.name, name, float(made.load), float(made.volume), wall, stages.task_s - stages.shuffle_s, stages.shuffle_s, float(stages.shuffle_bytes)))
+    return rows
+
+
+def shrunk(n: int, count: int, most: int = 60_000) -> list[TensorMeta]:
+    """Inputs of the generated benchmark, drawn by a hash of their names, with lengths and core divided alike until at most `most` cells are left; no two alike.
+
+    A mode of 20 with a ratio of 1.25 keeps a core of at least 2, so that 32 blocks fit.
+    """
+    out: dict[tuple, TensorMeta] = {}
+    for meta in sorted(benchmark.enumerate_metas(n, "pairs"), key=lambda m: hashlib.md5(f"{m.L}{m.K}".encode()).hexdigest()):
+        share = (most / meta.cardinality()) ** (1 / n)
+        L = tuple(max(4, round(x * share)) for x in meta.L)
+        K = tuple(max(2, min(length, round(length * k / x))) for length, x, k in zip(L, meta.L, meta.K, strict=True))
+        out.setdefault((L, K), TensorMeta(L, K, f"{n}d-{len(out)}"))
+        if len(out) == count:
+            break
+    return list(out.values())
+
+
+def overall_curve(rows: DataFrame) -> DataFrame:
+    """strategy, k, and the kth percentile of each time and of the bytes over those of the optimal tree under dynamic grids."""
+    out = None
+    for metric in ("wall_s", "compute_task_s", "comm_task_s", "shuffle_bytes"):
+        curve = M.percentile_curve(M.normalise(rows, metric), f"{metric}_ratio", [0, 25, 50, 60, 75, 100]).withColumnRenamed("t", f"{metric}_ratio")
+        out = curve if out is None else out.join(curve, ["strategy", "k"])
+    return out
 
 
-#: Shape of the published input of greatest gain, about a tenth as long in each mode.
-_SMALL5 = [TensorMeta((20, 10, 10, 5, 4), (4, 8, 2, 4, 2), "r5")]
+def _overall(s, n: int) -> DataFrame:
+    return overall_curve(s.createDataFrame(overall_sweeps(s, shrunk(n, OVERALL_METAS), 32), _OVERALL))
 
 
 def w1_overall_5d(s, d):
-    return M.normalise(_overall(s, d, ["ta"], _SMALL5, 4), "wall_s")
+    return _overall(s, 5)
 
 
 def w1_overall_6d(s, d):
-    return M.normalise(_overall(s, d, ["tc"], [], 4), "wall_s")
+    return _overall(s, 6)
+
+
+def w1_overall_tables(s, d):
+    """The same on the tensors of the tables with five and six modes."""
+    rows = [r for name in ("ta", "tc") for r in overall_sweeps(s, [_table_meta(s, d, name)], 4, cells=builders.filled_cells(s, d, name))]
+    return M.normalise(s.createDataFrame(rows, _OVERALL), "wall_s")
 
 
 def w2_real_meta_load(s, d):
@@ -81,8 +128,11 @@ def w2_real_scaled_run(s, d):
         metas.append(TensorMeta(L, tuple(max(1, min(n, round(n * k / x))) for n, k, x in zip(L, m.K, m.L, strict=True)), f"{name}/16"))
     rows = []
     for meta in metas:
-        rows += timed_sweeps(s, builders.random_cells(s, meta.L), meta, 4, ("chain_K", "balanced", "opt_dynamic"))
-    return M.normalise(s.createDataFrame(rows, _TIMED), "wall_s")
+        rows += overall_sweeps(s, [meta], 32)
+    out = s.createDataFrame(rows, _OVERALL)
+    for metric in ("wall_s", "compute_task_s", "shuffle_bytes"):
+        out = M.normalise(out, metric)
+    return out
 
 
 def _planned(s, n: int) -> DataFrame:
@@ -150,10 +200,10 @@ def w4_shuffle_bytes(s, d):
 
 
 def w5_scaling(s, d):
-    """The same sweep with more blocks: time by P (a withdrawn study; only the shape of the curve is of use)."""
+    """The same sweep of the largest table tensor with more blocks: time by P (a withdrawn study; only the shape of the curve is of use)."""
     rows = []
-    meta = _table_meta(s, d, "tb")
-    cells = builders.filled_cells(s, d, "tb").persist()
+    meta = _table_meta(s, d, "tj")
+    cells = builders.filled_cells(s, d, "tj").persist()
     for p in (1, 2, 4, 8):
         t = timed_sweeps(s, cells, meta, p, ("opt_dynamic",))[0]
         rows.append((p, t[4], t[5], t[6]))
@@ -163,21 +213,23 @@ def w5_scaling(s, d):
 
 def w7_error_vs_sweeps(s, d):
     rows = []
-    for name, p in (("tb", 8), ("td", 4)):
+    for name, p in (("ta", 4), ("tb", 8), ("tc", 4), ("te", 8)):
         meta = _table_meta(s, d, name)
         made = strategy(meta, p, "opt_dynamic")
-        t = B.distribute(builders.filled_cells(s, d, name), meta.L, made.scheme.grids[0])
+        t = B.distribute(builders.filled_cells(s, d, name), meta.L, made.scheme.grids[0]).persist()
+        start = D.seq_init(t, meta)
         for policy in ("latest", "frozen"):
-            h = D.sweep_until(t, D.seq_init(t, meta), made, 0.0, 2, policy)
+            h = D.sweep_until(t, start, made, 0.0, 2, policy)
             rows += [(name, policy, i, float(e), h.error_increased) for i, e in enumerate(h.errors)]
+        t.unpersist()
     return s.createDataFrame(rows, "tensor string, policy string, sweep int, rel_error double, error_increased boolean")
 
 
 def w8_compression(s, d):
     rows = []
-    for name in ("tb", "td"):
+    for name in ("tb", "te"):
         L = builders.lengths(s, d, name)
-        t = B.distribute(builders.filled_cells(s, d, name), L, (1,) * len(L)).persist()
+        t = B.distribute(builders.filled_cells(s, d, name), L, (1, 4, 1)).persist()
         for ratio in (1.25, 2.0, 5.0, 10.0):
             meta = TensorMeta(L, tuple(max(1, round(n / ratio)) for n in L), name)
             dec = D.seq_init(t, meta)
@@ -222,14 +274,15 @@ def _measure(kind: str):
         if kind == "best_prior":
             prior = df.where(F.col("strategy").isin("chain_K", "chain_h", "balanced")).groupBy("tensor_id").agg(F.min("load_ratio").alias("gain"))
             return prior.agg(F.max("gain").alias("greatest"), F.median("gain").alias("median"), F.min("gain").alias("least"))
-        return M.dominates(df, "load_ratio")
+        named = M.normalise(M.plan_all(benchmark.meta_frame(s, list(NAMED.values()))), "load")
+        return M.dominates(named, "load_ratio").join(named.groupBy("strategy").agg(F.min("load_ratio").alias("least_ratio")), "strategy")
 
     return run
 
 
-#: Closed-form loads of the natural balanced and chain trees over a generated benchmark, for SQL.
+#: Closed-form loads of the natural balanced and chain trees over all inputs of the 'lengths' rule, for SQL.
 def _curve_metas() -> list[TensorMeta]:
-    return [TensorMeta(m.L, m.K, f"c{i}") for i, m in enumerate(m for m in benchmark.enumerate_metas(5, "lengths") if m.L[0] == 20 and m.L[2] == 50)]
+    return [TensorMeta(m.L, m.K, f"c{i}") for i, m in enumerate(benchmark.enumerate_metas(5, "lengths"))]
 
 
 def chain_gain_curve(s, d):
@@ -251,9 +304,20 @@ def _chain_curve_sql() -> str:
     )
 
 
+def planner_statistics(s, d):
+    """What planning the published inputs costs: states and lookups of the tree search, grids looked at, milliseconds."""
+    rows = []
+    for m in NAMED.values():
+        for name in STRATEGIES:
+            stats = strategy(m, 32, name).stats
+            rows.append((m.name, name, stats.get("dp_states"), stats.get("dp_lookups"), stats["grids_scanned"], 1e3 * stats["planner_s"]))
+    return s.createDataFrame(rows, "tensor_id string, strategy string, dp_states bigint, dp_lookups bigint, grids_scanned bigint, planner_ms double")
+
+
 QUERIES |= {
     "w1_overall_5d": w1_overall_5d,
     "w1_overall_6d": w1_overall_6d,
+    "w1_overall_tables": w1_overall_tables,
     "w2_real_meta_load": w2_real_meta_load,
     "w2_real_meta_volume": w2_real_meta_volume,
     "w2_real_scaled_run": w2_real_scaled_run,
@@ -268,6 +332,7 @@ QUERIES |= {
     "w8_compression": w8_compression,
     "w9_ablation": w9_ablation,
     "w9_policies": w9_policies,
+    "planner_statistics": lambda s, d: planner_statistics(s, d),
     "strategy_table_5d": lambda s, d: _planned(s, 5).drop("planner_s"),
     "strategy_table_6d": lambda s, d: _planned(s, 6).drop("planner_s"),
     "measure_extreme_gains": _measure("extremes"),
@@ -277,8 +342,10 @@ QUERIES |= {
     "norm_load_curve": chain_gain_curve,
 }
 ORACLES |= {
-    "measure_dominates": "select unnest(['chain_K', 'chain_h', 'balanced', 'opt_static', 'opt_dynamic']) as strategy, true as dominated",
+    "measure_dominates": f"select strategy, min(load_ratio) as least_ratio, bool_and(load_ratio >= 1 - 1e-12) as dominated from ({planning.named_loads_sql(list(NAMED.values()))}) group by strategy",
     "norm_load_curve": _chain_curve_sql(),
+    "w2_real_meta_load": planning.named_loads_sql(list(NAMED.values())),
+    "w2_real_meta_volume": planning.named_volumes_sql(list(NAMED.values())),
 }
 
 

@@ -59,12 +59,19 @@ def late(s, d):
     return out.withColumn("all_rows", F.lit(S.read(s, d, "events").count()))
 
 
-add("stream_watermark_late", late)
+#: A row is late where its day ended an hour or more before the latest time in files but the one before (late rows are told by the watermark before the current one); a day counts once the last watermark has passed it.
+_LATE_SQL = """
+with placed as (select event_id, ts, least(4, least(4, datediff('day', date '2024-01-01', cast(ts as date)) // 6) + case when event_id % 20 = 0 then 1 else 0 end) as slot from events),
+marks as (select slot, (select max(ts) from placed p where p.slot < s.slot - 1) - interval 1 hour as mark from (select distinct slot from placed) s),
+kept as (select date_trunc('day', ts) + interval 1 day as stop from placed join marks using (slot) where mark is null or date_trunc('day', ts) + interval 1 day > mark)
+select cast(count(*) as bigint) as kept, count(distinct stop) as days, (select count(*) from events) as all_rows from kept where stop <= (select max(ts) - interval 1 hour from placed)
+"""
+add("stream_watermark_late", late, _LATE_SQL)
 
 
 def dedup(s, d):
     path = E.stage(s, d)
-    s.read.parquet(path).where("event_id % 3 = 0").coalesce(1).write.mode("append").parquet(path)
+    s.read.parquet(path).where("event_id % 3 = 0").write.mode("append").parquet(path)
     return E.drain(E.read(s, path).withWatermark("ts", "60 days").dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id"))
 
 
@@ -126,4 +133,4 @@ def sink(s, d):
 
 
 add("sink_foreach_batch", sink, "select event_id, value from events")
-add("sink_memory", lambda s, d: E.drain(stream(s, d).where("event_type = 'signup'").select("event_id")), "select event_id from events where event_type = 'signup'")
+add("sink_memory", lambda s, d: E.drain_to_memory(stream(s, d).where("event_type = 'signup'").select("event_id")), "select event_id from events where event_type = 'signup'")

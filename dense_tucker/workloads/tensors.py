@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from functools import reduce
 from math import prod
 
 import numpy as np
@@ -15,6 +16,7 @@ from ..operators import cells as C
 from ..operators import decompose as D
 from ..plans.planner import STRATEGIES, plan, strategy
 from ..sources import builders as S
+from ..sources.files import new_path
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -164,16 +166,27 @@ def _register_spectra() -> None:
     add("agg_norms", lambda s, d: C.norms(S.cells(s, d, "ta")), f"select sum(v * v) as norm2, max(abs(v)) as max_abs, sum(abs(v)) as l1 from ({S.cells_sql('ta')})")
 
     def solvers(s, d):
-        t = B.distribute(S.filled_cells(s, d, "tb"), _SPECS["tb"].L, (2, 2, 1))
+        """Squared singular values by subspace iteration, which sum to what the Gram matrix's leading ones do, over the tensor's squared norm; and the angle between the subspaces."""
+        t = B.distribute(S.filled_cells(s, d, "tb"), _SPECS["tb"].L, (2, 2, 1)).persist()
         rows = []
         for m in range(3):
             k = _SPECS["tb"].K[m]
             a, x = B.left_svd(t, m, k)
-            b, y = B.left_svd(t, m, k, "distributed", iterations=8)
-            rows.append((m + 1, bool(np.allclose(x, y, rtol=5e-2)), bool(np.abs(a[:, :1].T @ b[:, :1])[0, 0] > 1 - 1e-6)))
-        return s.createDataFrame(rows, "mode int, same_values boolean, same_vector boolean")
+            b, y = B.left_svd(t, m, k, "distributed", oversample=17)
+            cosines = np.linalg.svd(a.T @ b, compute_uv=False)
+            rows += [(m + 1, i + 1, float(x[i]), float(y[i]), float(cosines[i])) for i in range(k)]
+        t.unpersist()
+        return s.createDataFrame(rows, "mode int, component int, by_gram double, by_iteration double, cosine double")
 
-    add("svd_distributed_equals_gram", solvers, "select unnest([1, 2, 3]) as mode, true as same_values, true as same_vector")
+    add("svd_distributed_equals_gram", solvers)
+    # with all components kept, the squared singular values of any mode sum to the squared norm
+    def energies(s, d):
+        t = B.distribute(S.filled_cells(s, d, "td"), _SPECS["td"].L, (2, 1, 2)).persist()
+        rows = [(m + 1, how, float(f"{(B.left_svd(t, m, _SPECS['td'].L[m], how)[1] ** 2).sum():.6e}")) for m in range(3) for how in ("gram", "distributed")]
+        t.unpersist()
+        return s.createDataFrame(rows, "mode int, solver string, energy double")
+
+    add("svd_energy_td", energies, f"select mode, solver, cast(format('{{:.6e}}', e) as double) as energy from (select sum(v * v) as e from ({S.cells_sql('td')})), (select unnest([1, 2, 3]) as mode), (select unnest(['gram', 'distributed']) as solver)")
 
 
 def _blocked(s, d, name, p, strat="opt_dynamic", K=None):
@@ -232,10 +245,12 @@ def _register_decompositions() -> None:
         for name, p in (("ta", 4), ("tb", 8), ("td", 4)):
             meta, made, t = _blocked(s, d, name, p)
             dec = D.seq_init(t, meta)
-            rows.append((name, abs(round(D.errors(t, dec)["rel_error"] - D.errors(t, dec, "norms")["rel_error"], 6))))
-        return s.createDataFrame(rows, "tensor string, gap double")
+            core = float((dec.core**2).sum())
+            lost = (D.errors(t, dec)["rel_error"] ** 2) * D.squared_norm(t)
+            rows.append((name, float(f"{core + lost:.8e}")))
+        return s.createDataFrame(rows, "tensor string, core_and_gap double")
 
-    add("error_norm_identity", identity, "select unnest(['ta', 'tb', 'td']) as tensor, 0.0::double as gap")
+    add("error_norm_identity", identity, " union all ".join(f"select '{n}' as tensor, cast(format('{{:.8e}}', sum(v * v)) as double) as core_and_gap from ({S.cells_sql(n)})" for n in ("ta", "tb", "td")))
     for name, p in (("ta", 8), ("tb", 8), ("tc", 8), ("td", 4), ("te", 8), ("tf", 4), ("tk", 8)):
         add(f"sweep_{name}", lambda s, d, name=name, p=p: _sweep_rows(s, d, name, p))
 
@@ -260,16 +275,13 @@ def _register_decompositions() -> None:
             dec = D.sweep(t, D.initial(t, meta, "random"), made, "frozen")
             spaces = [f @ f.T for f in dec.factors]
             first = first or spaces
-            rows.append((name, all(bool(np.allclose(a, b, atol=1e-6)) for a, b in zip(spaces, first, strict=True))))
-        return s.createDataFrame(rows, "strategy string, same_subspaces boolean")
+            rows.append((name, max(float(np.abs(a - b).max()) for a, b in zip(spaces, first, strict=True)), float(D.errors(t, dec)["rel_error"])))
+        return s.createDataFrame(rows, "strategy string, greatest_gap double, rel_error double")
 
-    add("strategies_agree_tb", same, " union all ".join(f"select '{n}' as strategy, true as same_subspaces" for n in STRATEGIES))
+    add("strategies_agree_tb", same)
 
     def stored(s, d):
-        from tempfile import mkdtemp
-
-        root = s.conf.get("spark.checkpoint.dir", None) or mkdtemp(prefix="tucker-")
-        path = f"{root.rstrip('/')}/decomposition-{np.random.default_rng().integers(1 << 60)}"
+        path = new_path(s, "decomposition")
         L = _SPECS["td"].L
         meta, _, t = _blocked(s, d, "td", 2, K=L)
         D.seq_init(t, meta).save(s, path)
@@ -284,7 +296,17 @@ def _register_decompositions() -> None:
         out = C.reconstruct_slice(dec.core_frame(s), dec.factors, {1: (2, 4), 2: (0, 6)})
         return out.withColumn("v", F.round("v") + 0.0)
 
+    def rebuilt(s, d):
+        meta, _, t = _blocked(s, d, "td", 2, K=_SPECS["td"].L)
+        dec = D.seq_init(t, meta)
+        return B.to_cells(B.reconstruct(s, dec.core, dec.factors, (2, 1, 3))).withColumn("v", F.round("v") + 0.0)
+
+    add("reconstruct_blocks_td", rebuilt, td)
+    best = ("ta", [0, 1, 2, 3])
+    add("chain_best_order_ta", lambda s, d: C.ttm_chain(S.cells(s, d, best[0]), _matrices(s, *best), "best", {m: (_SPECS["ta"].K[m], _SPECS["ta"].L[m]) for m in best[1]}), chain_sql(*best))
     add("reconstruct_slice_td", part, f"select * from ({td}) where i1 between 2 and 3 and i2 between 0 and 5")
+    names = [n for n in _SPECS if n not in ("te", "ti")]
+    add("src_outside_rows", lambda s, d: reduce(DataFrame.unionAll, [S.outside_rows(s, d, n) for n in names]), " union all ".join(S.outside_sql(n) for n in names))
     L = (12, 9, 7)
     add("src_random_tensor", lambda s, d: S.random_cells(s, L), f"select (id // 63)::int as i0, (id // 7 % 9)::int as i1, (id % 7)::int as i2, (((id % 1000003) * 7919 + 104729) % 1009)::double as v from (select unnest(range({prod(L)})) as id)")
 
