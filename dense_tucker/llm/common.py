@@ -76,6 +76,14 @@ def clear(spark: SparkSession, since: int = 0, keep: DataFrame | None = None) ->
             _made.remove(path)
 
 
+def unused(df: DataFrame, name: str) -> str:
+    """The name, or a longer one that no column of the table has."""
+    taken = {c.lower() for c in df.columns}
+    while name in taken:
+        name = f"_{name}"
+    return name
+
+
 def slices(batch: pa.RecordBatch, column: int, limit: int = PASS_BYTES) -> Iterator[pa.RecordBatch]:
     """Parts of a batch whose texts hold about `limit` bytes together (a longer single text makes a longer part)."""
     lengths = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import MapType, VariantType
 
-from .common import broadcast_if_small, discard, materialise, slices
+from .common import broadcast_if_small, discard, materialise, slices, unused
 
 SHINGLE = 4
 RADIUS = 4
@@ -249,17 +249,24 @@ def keep_one(docs: DataFrame) -> DataFrame:
     Rows are told apart by id and text, so rows that share an id but not their text are documents of their own. Of rows with equal id and
     text that one stays whose columns have the least hash.
     """
-    key = ["__id", "__text"]
-    keyed = docs.withColumn("__id", F.coalesce(F.col("doc_id").cast("string"), F.lit(""))).withColumn("__text", F.xxhash64("text"))
-    marks = keyed.select(F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id").alias("id"), "__id", "__text").alias("doc_id"), "text")
+    id_, text = key = [unused(docs, "id"), unused(docs, "text_hash")]
+    keyed = docs.withColumn(id_, F.coalesce(F.col("doc_id").cast("string"), F.lit(""))).withColumn(text, F.xxhash64("text"))
+    marks = keyed.select(F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id").alias("id"), F.col(id_).alias("key"), F.col(text).alias("hash")).alias("doc_id"), "text")
     marks = materialise(fingerprints(marks), "fingerprints")
-    rooted = materialise(marks.join(classes(marks), "fp").select("root", F.col("doc_id").alias("row")), "rooted")
-    first = rooted.groupBy("root").agg(F.min("row").alias("first"))
-    lost = materialise(rooted.join(first, "root").where("row <> first").select("row.__id", "row.__text").distinct(), "lost")
-    twice = materialise(rooted.groupBy("row").count().where("count > 1").select("row.__id", "row.__text"), "twice")
+    # the least row of each fingerprint, then of each group; neither step brings a group's rows together
+    first = marks.groupBy("fp").agg(F.min("doc_id").alias("row")).join(classes(marks), "fp").groupBy("root").agg(F.min("row").alias("row"))
+    names = [F.col("row.last").alias("last"), F.col("row.key").alias(id_), F.col("row.hash").alias(text)]
+    rows = marks.select(F.col("doc_id").alias("row")).select(*names).groupBy("last", *key).count()
+    rows = materialise(rows, "rows")
+    lost = materialise(rows.join(first.select(*names), ["last", *key], "left_anti").select(*key), "lost")
+    twice = materialise(rows.where("count > 1").select(*key), "twice")
     discard(marks)
+    discard(rows)
     kept = keyed.join(broadcast_if_small(lost), key, "left_anti")
+    whole = [F.col(f"`{c}`") for c in docs.columns]
+    if twice.isEmpty():
+        return kept.select(*whole)
     some = broadcast_if_small(twice)
-    plain = [f.name for f in docs.schema.fields if not isinstance(f.dataType, (MapType, VariantType))]
-    one = kept.join(some, key, "left_semi").groupBy(*key).agg(F.min_by(F.struct(*docs.columns), F.xxhash64(*plain)).alias("row")).select("row.*")
-    return kept.join(some, key, "left_anti").select(*docs.columns).unionAll(one)
+    plain = [c for c, f in zip(whole, docs.schema.fields, strict=True) if not isinstance(f.dataType, (MapType, VariantType))]
+    one = kept.join(some, key, "left_semi").groupBy(*key).agg(F.min_by(F.struct(*whole), F.xxhash64(*plain)).alias("row")).select("row.*")
+    return kept.join(some, key, "left_anti").select(*whole).unionAll(one)

@@ -632,6 +632,52 @@ def test_lm_scoring_equals_exact_counts(docs, labels):
         assert 0.78 * len(mine) <= sum(mine) <= 0.83 * len(mine) + 1
 
 
+def test_languages_that_tie(spark):
+    rows = [(i, "same words in both languages", "bb" if i % 2 else "aa") for i in range(40)] + [(100, "quite other letters xyz", "cc"), (101, "zyx xyz quite", "cc"), (104, "xyz zyx", "cc")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, lang string")
+    got = {r["doc_id"]: r for r in langid.apply(df).collect()}
+    even = {(r["lang_pred"], r["ambiguous"]) for k, r in got.items() if k < 100}
+    assert even == {("aa", True)} or all(p in ("aa", "bb") and a for p, a in even)  # equal losses: the first by name
+    assert got[100]["lang_pred"] == "cc"
+
+
+def test_one_very_long_text(spark, docs, labels, small):
+    """A text of several passes among short ones: counts, ids and spans as for any text."""
+    parts = [t for t in texts(docs).values() if t]
+    long = "\n".join(parts * (1 + 5_000_000 // sum(map(len, parts))))
+    assert len(long.encode()) > 2 * common.PASS_BYTES
+    df = spark.createDataFrame([(1, "short text"), (2, long), (3, None), (4, long[:1000])], "doc_id bigint, text string")
+    trusted = labels.where("quality = 1")
+    field = quality_crf.train(docs, labels)
+    scored = {r["doc_id"]: r for r in quality_crf.score(df, field).collect()}
+    assert 0 <= scored[2]["score"] <= 1 and scored[2]["n_lines"] == sum(bool(x.strip(" \t\n\r\x0b\x0c")) for x in long.split("\n"))
+    counts = {r["doc_id"]: r for r in quality_rules.apply(df, trusted).collect()}
+    assert counts[2]["n_words"] == len(re.findall(r"[^\x20\x09-\x0D]+", long)) and counts[2]["n_repeat_words"] > 0.9 * counts[2]["n_words"]
+    bench = spark.read.parquet(f"{small}/benchmark.parquet")
+    found = {r["doc_id"]: r for r in decontam.apply(df, bench).collect()}
+    whole = decontam.apply(docs, bench).agg({"n_words": "sum"}).first()[0]
+    assert found[2]["n_words"] == whole * (len(long) + 1) // (sum(map(len, parts)) + len(parts)) and found[2]["contaminated"]
+    want = np.asarray(Tokenizer.from_file(WORD).encode(long, add_special_tokens=False).ids + [1], "<u4").tobytes()
+    assert {r["doc_id"]: r["ids_crc32"] for r in token_store.write_store(df, WORD).records().collect()}[2] == zlib.crc32(want)
+    ids = np.asarray(Tokenizer.from_file(BYTE).encode(long, add_special_tokens=False).ids + [1], "<u4")
+    pieces = sorted((r["start"], r["length"], r["ids_crc32"]) for r in packing.pack(df, BYTE).where("doc_id = 2").collect())
+    assert all(zlib.crc32(ids[a : a + n].tobytes()) == c for a, n, c in pieces) and sum(n for _, n, _ in pieces) == len(ids)
+    spans = {r["doc_id"]: r["base_sha256"] for r in pii.find(df, None).collect()}
+    assert spans[2] == hashlib.sha256(plain_spans(long).encode()).hexdigest()
+    for made in (langid.predict(df, langid.train(docs)), lm_scoring.apply(df, trusted), simhash.cluster(df)):
+        assert made.count() == 4
+
+
+def test_clashing_columns(spark, docs, labels, small):
+    """Tables whose own columns bear the names that operators use keep them as they are."""
+    names = ["id", "text_hash", "row", "key", "hash", "root", "host", "place", "__text", "__id", "b", "kept"]
+    df = docs.limit(30).selectExpr("doc_id", "text", "n_chars", *[f"concat('{n}', doc_id) as `{n}`" for n in names])
+    bench = spark.read.parquet(f"{small}/benchmark.parquet")
+    for kept in (quality_crf.keep(df, docs, labels), simhash.keep_one(df), decontam.keep_clean(df, bench), pii.redact(df, docs)):
+        rows = kept.collect()
+        assert kept.columns == df.columns and rows and all(r[n] == f"{n}{r['doc_id']}" for r in rows for n in names)
+
+
 def test_empty_tables(spark, empty, labels, small):
     bench = spark.read.parquet(f"{small}/benchmark.parquet")
     trusted = labels.where("quality = 1")
