@@ -69,6 +69,7 @@ def _matrices(spark: SparkSession, name: str, modes: list[int]) -> dict[int, Dat
 def _register_cells() -> None:
     for name in ("ta", "tb", "tc", "td", "td4", "te", "tf", "tg", "th", "ti", "tk", "tl"):
         add(f"tensor_{name}_cells", lambda s, d, name=name: S.cells(s, d, name), S.cells_sql(name))
+    add("tensor_tj_filled", lambda s, d: S.filled_cells(s, d, "tj"), f"select i0, i1, i2, cast(sum(v) as double) as v from ({S.facts_sql('tj')}) where i0 between 0 and 199 and i1 between 0 and 199 and i2 between 0 and 82 group by i0, i1, i2")
     for name, modes in (("ta", range(5)), ("tb", range(3)), ("tc", range(6))):
         spec = _SPECS[name]
         for m in modes:

@@ -9,7 +9,7 @@ import pytest
 from dense_tucker.workloads import all_queries
 
 QUERIES, ORACLES = all_queries()
-SOME = ["tensor_ta_cells", "tensor_tb_cells", "tensor_ti_cells", "ttm_mode2_tb", "chain_21", "ttm_blocks_221_m1_tb", "regrid_blocks_tb", "gram_mode3_td", "eig_linestatus_ta", "load_chain_h", "load_opt_n3", "load_opt_n4", "best_dynamic_n3", "best_static_grid_distributed", "psi_table", "seq_init_fullrank", "norm_load_curve", "join_asof_last_signup", "join_interval_events", "win_sessionise", "agg_cube_ta", "udf_block_norm", "udtf_grids", "stream_tumbling_cells", "stream_stateful_fiber"]
+SOME = ["tensor_ta_cells", "tensor_tb_cells", "tensor_ti_cells", "ttm_mode2_tb", "chain_21", "ttm_blocks_221_m1_tb", "regrid_blocks_tb", "gram_mode3_td", "eig_linestatus_ta", "load_chain_h", "load_opt_n3", "load_opt_n4", "best_dynamic_n3", "best_static_grid_distributed", "psi_table", "seq_init_fullrank", "norm_load_curve", "join_asof_last_signup", "join_interval_events", "win_sessionise", "agg_cube_ta", "udf_block_norm", "udtf_grids", "stream_tumbling_cells", "stream_stateful_fiber", "stream_watermark_late", "peak_live", "tree_rows_opt", "volume_models", "w2_real_meta_volume", "best_dynamic_distributed", "permutation_invariance", "binary_lemma", "regrid_rule_counterexample", "src_outside_rows", "svd_energy_td", "reconstruct_blocks_td"]
 
 
 def rows(values):
