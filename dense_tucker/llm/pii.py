@@ -327,37 +327,50 @@ class Tagger:
 
     def scores(self, codes: np.ndarray) -> np.ndarray:
         """codes: batch x time. Scores time x tags x batch, in a layout that keeps all steps in long contiguous rows."""
-        # a gate is (1 + tanh(z / 2)) / 2; its half stays out of the output (kept double) and of the two products in the cell
-        w, embed = self.p["w"].transpose(0, 2, 1).copy(), np.ascontiguousarray(self.p["embed"].T)
-        n, e = w.shape[1] // 4, len(embed)
-        w = np.concatenate([w[:, :, :e], self.p["b"][:, :, None], 0.5 * w[:, :, e:]], 2)
-        w[:, : 3 * n] *= 0.5
-        out = np.ascontiguousarray(0.5 * self.p["out"].transpose(0, 2, 1))
+        # a gate is 1 / (1 + exp(-z)) and tanh(z) is 2 / (1 + exp(-2z)) - 1, so products become divisions by 1 + exp; the cell is kept times -2.
+        # An exponential that overflows leaves the limits 0 and -1.
+        n, e = self.p["w"].shape[2] // 4, self.p["embed"].shape[1]
+        w = np.concatenate([self.p["w"].transpose(0, 2, 1), self.p["b"][:, :, None]], 2)
+        w[:, : 3 * n] *= -1
+        w[:, 3 * n :] *= -2
+        bias = np.stack([self.p["out_b"], np.zeros_like(self.p["out_b"])])
+        out, embed = np.concatenate([self.p["out"].transpose(0, 2, 1), bias[:, :, None]], 2), np.ascontiguousarray(self.p["embed"].T)
         B, T = codes.shape
         at = np.ascontiguousarray(codes.T).astype(np.intp)
-        state = np.zeros((2, e + 1 + n, B), np.float32)
-        state[:, e] = 1
-        c, z, part = np.zeros((2, n, B), np.float32), np.empty((2, 4 * n, B), np.float32), np.empty((2, n, B), np.float32)
-        made = np.empty((2, T, out.shape[1], B), np.float32)
-        for t in range(T):
-            np.take(embed, at[t], axis=1, out=state[0, :e], mode="clip")
-            np.take(embed, at[T - 1 - t], axis=1, out=state[1, :e], mode="clip")
-            np.matmul(w, state, out=z)
-            np.tanh(z, out=z)
-            z[:, : 3 * n] += 1
-            c *= z[:, :n]
-            c += np.multiply(z[:, n : 2 * n], z[:, 3 * n :], out=part)
-            c *= 0.5
-            np.tanh(c, out=part)
-            np.multiply(part, z[:, 2 * n : 3 * n], out=state[:, e + 1 :])
-            np.matmul(out[0], state[0, e + 1 :], out=made[0, t])
-            np.matmul(out[1], state[1, e + 1 :], out=made[1, T - 1 - t])
-        made[0] += made[1]
-        made[0] += self.p["out_b"][:, None]
-        return made[0]
-
-    def undecided(self, scores: np.ndarray) -> np.ndarray:
-        """Of scores time x tags x batch: the rows whose best path is not all `outside`, by a Viterbi pass without links.
+        state = np.zeros((2, e + n + 1, B), np.float32)
+        state[:, -1] = 1
+        h, c, z, part = state[:, e:-1], np.zeros((2, n, B), np.float32), np.empty((2, 4 * n, B), np.float32), np.empty((2, n, B), np.float32)
+        f, i, o, g = (z[:, k * n : (k + 1) * n] for k in range(4))
+        made, now = np.empty((T, out.shape[1], B), np.float32), np.empty((2, out.shape[1], B), np.float32)
+        with np.errstate(over="ignore"):
+            for t, back in zip(range(T), range(T - 1, -1, -1), strict=True):
+                np.take(embed, at[t], axis=1, out=state[0, :e], mode="clip")
+                np.take(embed, at[back], axis=1, out=state[1, :e], mode="clip")
+                np.matmul(w, state, out=z)
+                np.exp(z, out=z)
+                z += 1
+                c /= f
+                np.divide(-4, g, out=part)
+                part += 2
+                part /= i
+                c += part
+                np.exp(c, out=part)
+                part += 1
+                np.divide(2, part, out=part)
+                part -= 1
+                np.divide(part, o, out=h)
+                np.matmul(out, state[:, e:], out=now)
+                if t < back:
+                    made[t], made[back] = now
+                elif t == back:
+                    np.add(now[0], now[1], out=made[t])
+                else:
+                    made[t] += now[0]
+                    made[back] += now[1]
+        return made
+
+    def undecided(self, scores: np.ndarray, mask: np.ndarray | None = None) -> np.ndarray:
+        """Of scores time x tags x batch: the rows whose best path is not all `outside`, by a Viterbi pass without links; mask (time x batch): no padding.
 
         First with three tags (outside, any begin, any inside) and the best transition between any two of each, which no path outdoes;
         then with all tags for the rows that this leaves.
@@ -365,9 +378,9 @@ class Tagger:
         move = self.p["move"] - self.p["move"][0, 0]
         kinds = [[0], list(range(1, len(move), 2)), list(range(2, len(move), 2))]
         rough = np.asarray([[move[np.ix_(a, b)].max() for b in kinds] for a in kinds], np.float32)
-        best = np.stack([scores[:, 0], scores[:, 1::2].max(1), scores[:, 2::2].max(1)], 1)
-        some = np.flatnonzero(_gains(best, rough) > 1e-4)
-        return some[_gains(scores[:, :, some], move) > 1e-4] if len(some) else some
+        away = None if mask is None or mask.all() else np.where(mask, np.float32(0), np.float32(1e4))
+        some = np.flatnonzero(_gains(scores, rough, away, True) > 1e-4)
+        return some[_gains(scores[:, :, some], move, None if away is None else away[:, some]) > 1e-4] if len(some) else some
 
     def decode(self, scores: np.ndarray, mask: np.ndarray) -> np.ndarray:
         """Of scores time x batch x tags: best tag sequence (batch x time, by Viterbi)."""
@@ -388,16 +401,27 @@ class Tagger:
         return tags.T
 
 
-def _gains(scores: np.ndarray, move: np.ndarray) -> np.ndarray:
-    """How much the best path of each row gains over the one that keeps the first tag; move: transitions over that tag's to itself."""
+def _gains(scores: np.ndarray, move: np.ndarray, away: np.ndarray | None = None, rough: bool = False) -> np.ndarray:
+    """How much the best path of each row gains over the one that keeps the first tag; move: transitions over that tag's to itself.
+
+    away (time x batch) is taken from the other tags; rough: of three tags, the second and third stand for the odd and the even ones.
+    """
     move = move[:, :, None].astype(np.float32)
-    first = scores[:, :1]
-    best, ways = scores[0] - first[0], np.empty((*move.shape[:2], scores.shape[2]), np.float32)
-    for now, base in zip(scores[1:], first[1:], strict=True):
-        np.add(best[:, None], move, out=ways)
-        best = ways.max(0)
+    rows = scores.shape[2]
+    best, now, ways = np.zeros((len(move), rows), np.float32), np.zeros((len(move), rows), np.float32), np.empty((*move.shape[:2], rows), np.float32)
+    for t, step in enumerate(scores):
+        if rough:
+            np.max(step[1::2], 0, out=now[1])
+            np.max(step[2::2], 0, out=now[2])
+            now[1:] -= step[0]
+        else:
+            np.subtract(step[1:], step[0], out=now[1:])
+        if away is not None:
+            now[1:] -= away[t]
+        if t:
+            np.add(best[:, None], move, out=ways)
+            np.max(ways, 0, out=best)
         best += now
-        best -= base
     return best.max(0)
 
 
@@ -485,8 +509,7 @@ def model_spans(texts: list[str], net: Tagger, batch: int = 512) -> list[list[Sp
                 codes[r, : e - f] = coded[i][f:e]
             scores = net.scores(codes)
             mask = codes.T > 0
-            scores[:, 1:] -= np.where(mask, np.float32(0), np.float32(1e4))[:, None]
-            open_ = net.undecided(scores)
+            open_ = net.undecided(scores, mask)
             if len(open_):
                 held.append((scores[:, :, open_].transpose(0, 2, 1), mask[:, open_], [part[k] for k in open_.tolist()]))
         if not held:

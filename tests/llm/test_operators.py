@@ -399,6 +399,22 @@ def test_personal_data_windows():
     assert np.flatnonzero(best.any(1)).tolist() == net.undecided(scores).tolist()
 
 
+def test_personal_data_scores_saturate_and_padding_is_masked_once():
+    rng = np.random.default_rng(1)
+    net = pii.Tagger.new()
+    net.p["b"] += rng.normal(0, 300, net.p["b"].shape).astype(np.float32)  # exponentials overflow
+    codes = rng.integers(1, 98, (7, 33))
+    with np.errstate(all="raise", under="ignore"):
+        got = net.scores(codes.astype(np.uint8))
+    assert np.isfinite(got).all() and np.allclose(got.transpose(0, 2, 1), net.emissions(codes)[0], atol=1e-5)
+    scores = rng.normal(0, 2, (33, 9, 40)).astype(np.float32)
+    scores[:, 0] += rng.uniform(0, 8, 40).astype(np.float32)
+    mask = np.arange(33)[:, None] < rng.integers(1, 34, 40)
+    away = scores.copy()
+    away[:, 1:] -= np.where(mask, np.float32(0), np.float32(1e4))[:, None]
+    assert net.undecided(scores, mask).tolist() == net.undecided(away).tolist()
+
+
 def test_personal_data_gradients():
     rng = np.random.default_rng(0)
     net = pii.Tagger.new(hidden=3, embed=2)
