@@ -46,6 +46,13 @@ def seq_init(t: B.Blocked, meta: TensorMeta, order: list[int] | None = None, sol
     return Decomposition(meta, B.collect_array(now), factors, energies=energies)
 
 
+def squeezed(t: B.Blocked, meta: TensorMeta) -> tuple[B.Blocked, TensorMeta]:
+    """The tensor with every overlong mode squeezed, and its sizes: errors are those of the tensor itself (a core length beyond the columns keeps all)."""
+    for m in range(meta.n):
+        t = B.squeeze(t, m)
+    return t, TensorMeta(t.shape, tuple(map(min, meta.K, t.shape)), meta.name)
+
+
 def planned_seq_init(t: B.Blocked, meta: TensorMeta, p: int) -> Decomposition:
     """seq_init under its own planned order and grids."""
     order, scheme = plan_seq_init(meta, p)

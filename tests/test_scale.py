@@ -1,5 +1,6 @@
 """Guards, reductions and distributed forms of the engine and the planner."""
 
+from dataclasses import replace
 from itertools import permutations
 from math import prod
 
@@ -170,3 +171,39 @@ def test_shared_folder_is_asked_for(spark, monkeypatch):
     far = SimpleNamespace(conf=SimpleNamespace(get=lambda *a: None), sparkContext=SimpleNamespace(getCheckpointDir=lambda: None, master="spark://far:7077"))
     with pytest.raises(ValueError, match="checkpoint"):
         new_path(far, "x")
+
+
+def test_squeezing_an_overlong_mode_keeps_all_errors(spark):
+    x = np.random.default_rng(5).normal(size=(70, 3, 4)) * np.linspace(1, 3, 4)
+    for shape, mode in (((70, 3, 4), 0), ((3, 70, 4), 1)):
+        y = np.moveaxis(x, 0, mode)
+        meta = TensorMeta(shape, tuple(40 if m == mode else 2 for m in range(3)))
+        for grid in ((1, 1, 2), (3, 2, 1)):
+            t = B.distribute(C.from_array(spark, y), y.shape, grid)
+            s, small = D.squeezed(t, meta)
+            assert s.shape[mode] == 12 and small.K[mode] == 12
+            z = B.collect_array(s)
+            assert np.isclose((z**2).sum(), (x**2).sum()) and all(np.allclose(B.gram(s, m), B.gram(t, m)) for m in range(3) if m != mode)
+            order = optimal.seq_init_order(meta)[0]
+            assert D.errors(s, D.seq_init(s, small, order), "norms")["rel_error"] == pytest.approx(D.errors(t, D.seq_init(t, meta, order))["rel_error"], abs=1e-9)
+    meta = TensorMeta(x.shape, (3, 2, 2))
+    t = B.distribute(C.from_array(spark, x), x.shape, (2, 1, 1))
+    s, small = D.squeezed(t, meta)
+    for policy in ("latest", "frozen"):
+        made, order = strategy(meta, 2, "opt_dynamic"), optimal.seq_init_order(meta)[0]
+        a = D.sweep_until(t, D.seq_init(t, meta, order), made, 0.0, 2, policy)
+        b = D.sweep_until(s, D.seq_init(s, small, order), replace(made, meta=small), 0.0, 2, policy)
+        assert a.errors == pytest.approx(b.errors, abs=1e-9)
+    square = B.distribute(C.from_array(spark, x), x.shape, (2, 1, 1))
+    assert B.squeeze(square, 1) is square
+
+
+def test_kept_tensors_have_no_tasks_without_blocks(spark):
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "64")
+    try:
+        t = B.distribute(C.from_array(spark, np.ones((6, 8))), (6, 8), (2, 1)).persist()
+        assert t.df.rdd.getNumPartitions() <= 4 and t.df.count() == 2
+        t.unpersist()
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
