@@ -19,20 +19,33 @@ from ..sources.files import new_path
 SLICES = 5
 
 
+#: Rows of a staged file, about.
+FILE_ROWS = 500_000
+
+
 def stage(spark: SparkSession, sf_dir: str, late_share: int = 0) -> str:
-    """Events as files in order of time (six days each); one of `late_share` rows comes one file late."""
+    """Events as files in order of time (six days a slice); one of `late_share` rows comes one slice late. Every slice has as many files as the others."""
     path = new_path(spark, "events")
     e = S.read(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    slot = F.least(F.lit(SLICES - 1), F.floor(F.datediff("ts", F.lit("2024-01-01")) / 6))
+    slot = F.greatest(F.lit(0), F.least(F.lit(SLICES - 1), F.floor(F.datediff("ts", F.lit("2024-01-01")) / 6)))
     if late_share:
         slot = F.least(F.lit(SLICES - 1), slot + (F.col("event_id") % late_share == 0).cast("int"))
     e = e.withColumn("slot", slot).persist()
+    most = e.groupBy("slot").count().agg(F.max("count")).first()[0] or 0
+    each = max(1, -(-most // FILE_ROWS))
     for i in range(SLICES):
-        e.where(F.col("slot") == i).drop("slot").write.mode("append").parquet(path)
+        e.where(F.col("slot") == i).drop("slot").repartition(each).write.mode("append").parquet(path)
+        while len(spark.read.parquet(path).inputFiles()) < each * (i + 1):  # parts without a row are not written
+            spark.createDataFrame([], e.drop("slot").schema).coalesce(1).write.mode("append").parquet(path)
     e.unpersist()
     return path
 
 
+def files_of_slice(spark: SparkSession, path: str) -> int:
+    """How many files of a staged folder make a slice."""
+    return max(1, len(spark.read.parquet(path).inputFiles()) // SLICES)
+
+
 def read(spark: SparkSession, path: str, files: int = 1) -> DataFrame:
     return spark.readStream.schema(spark.read.parquet(path).schema).option("maxFilesPerTrigger", files).parquet(path)
 

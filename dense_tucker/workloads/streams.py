@@ -21,7 +21,9 @@ def add(name: str, query, sql: str | None = None) -> None:
 
 
 def stream(s, d, late: int = 0):
-    return E.read(s, E.stage(s, d, late))
+    """Staged events, a slice at a time."""
+    path = E.stage(s, d, late)
+    return E.read(s, path, E.files_of_slice(s, path))
 
 
 def _ntz(column: str):

@@ -207,3 +207,16 @@ def test_kept_tensors_have_no_tasks_without_blocks(spark):
         t.unpersist()
     finally:
         spark.conf.set("spark.sql.shuffle.partitions", before)
+
+
+@pytest.mark.parametrize("rows", [500_000, 60])
+def test_late_rows_do_not_hang_on_the_number_of_files(spark, small, tmp_path, monkeypatch, rows):
+    import duckdb
+
+    from dense_tucker.workloads import streams
+
+    monkeypatch.setattr(E, "FILE_ROWS", rows, raising=False)
+    S.read(spark, small, "events").repartition(3).write.parquet(f"{tmp_path}/events.parquet")
+    c = duckdb.connect()
+    c.sql(f"create view events as select * from '{tmp_path}/events.parquet/*.parquet'")
+    assert tuple(streams.late(spark, str(tmp_path)).first()) == c.sql(streams.ORACLES["stream_watermark_late"]).fetchone()
