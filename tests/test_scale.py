@@ -219,4 +219,4 @@ def test_late_rows_do_not_hang_on_the_number_of_files(spark, small, tmp_path, mo
     S.read(spark, small, "events").repartition(3).write.parquet(f"{tmp_path}/events.parquet")
     c = duckdb.connect()
     c.sql(f"create view events as select * from '{tmp_path}/events.parquet/*.parquet'")
-    assert tuple(streams.late(spark, str(tmp_path)).first()) == c.sql(streams.ORACLES["stream_watermark_late"]).fetchone()
+    assert tuple(streams.late(spark, str(tmp_path)).first()) == c.sql(streams.ORACLES["stream_watermark_late"]).fetchall()[0]
