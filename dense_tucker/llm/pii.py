@@ -18,6 +18,7 @@ from __future__ import annotations
 import hashlib
 import re
 from dataclasses import dataclass, field
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -334,19 +335,32 @@ class Tagger:
         w[:, : 3 * n] *= -1
         w[:, 3 * n :] *= -2
         bias = np.stack([self.p["out_b"], np.zeros_like(self.p["out_b"])])
-        out, embed = np.concatenate([self.p["out"].transpose(0, 2, 1), bias[:, :, None]], 2), np.ascontiguousarray(self.p["embed"].T)
+        # one product gives the gates of a step and the scores of the step before, whose hidden state is the one that it reads
+        out = np.concatenate([np.zeros((2, bias.shape[1], e), w.dtype), self.p["out"].transpose(0, 2, 1), bias[:, :, None]], 2)
+        w, embed = np.concatenate([w, out], 1), np.ascontiguousarray(self.p["embed"].T)
         B, T = codes.shape
         at = np.ascontiguousarray(codes.T).astype(np.intp)
         state = np.zeros((2, e + n + 1, B), np.float32)
         state[:, -1] = 1
-        h, c, z, part = state[:, e:-1], np.zeros((2, n, B), np.float32), np.empty((2, 4 * n, B), np.float32), np.empty((2, n, B), np.float32)
+        h, c, every, part = state[:, e:-1], np.zeros((2, n, B), np.float32), np.empty((2, w.shape[1], B), np.float32), np.empty((2, n, B), np.float32)
+        z, now = every[:, : 4 * n], every[:, 4 * n :]
         f, i, o, g = (z[:, k * n : (k + 1) * n] for k in range(4))
-        made, now = np.empty((T, out.shape[1], B), np.float32), np.empty((2, out.shape[1], B), np.float32)
+        made = np.empty((T, out.shape[1], B), np.float32)
         with np.errstate(over="ignore"):
-            for t, back in zip(range(T), range(T - 1, -1, -1), strict=True):
-                np.take(embed, at[t], axis=1, out=state[0, :e], mode="clip")
-                np.take(embed, at[back], axis=1, out=state[1, :e], mode="clip")
-                np.matmul(w, state, out=z)
+            for t in range(T + 1):
+                if t < T:
+                    np.take(embed, at[t], axis=1, out=state[0, :e], mode="clip")
+                    np.take(embed, at[T - 1 - t], axis=1, out=state[1, :e], mode="clip")
+                np.matmul(w, state, out=every)
+                if t and t - 1 < T - t:
+                    made[t - 1], made[T - t] = now
+                elif t and t - 1 == T - t:
+                    np.add(now[0], now[1], out=made[t - 1])
+                elif t:
+                    made[t - 1] += now[0]
+                    made[T - t] += now[1]
+                if t == T:
+                    break
                 np.exp(z, out=z)
                 z += 1
                 c /= f
@@ -359,14 +373,6 @@ class Tagger:
                 np.divide(2, part, out=part)
                 part -= 1
                 np.divide(part, o, out=h)
-                np.matmul(out, state[:, e:], out=now)
-                if t < back:
-                    made[t], made[back] = now
-                elif t == back:
-                    np.add(now[0], now[1], out=made[t])
-                else:
-                    made[t] += now[0]
-                    made[back] += now[1]
         return made
 
     def undecided(self, scores: np.ndarray, mask: np.ndarray | None = None) -> np.ndarray:
@@ -386,18 +392,21 @@ class Tagger:
         """Of scores time x batch x tags: best tag sequence (batch x time, by Viterbi)."""
         move = self.p["move"]
         T, B, K = scores.shape
-        best, link = scores[0], np.zeros((T, B, K), np.int8)
+        best = np.empty((T, K, B), np.result_type(scores, move))
+        best[0] = scores[0].T
+        ways = np.empty((K, K, B), best.dtype)
         for t in range(1, T):
-            ways = best[:, :, None] + move
-            link[t] = ways.argmax(1)
-            best = np.where(mask[t][:, None], ways.max(1) + scores[t], best)
+            np.add(best[t - 1][:, None], move[:, :, None], out=ways)
+            np.max(ways, 0, out=best[t])
+            best[t] += scores[t].T
+            if not mask[t].all():
+                best[t] = np.where(mask[t], best[t], best[t - 1])
         tags = np.zeros((T, B), np.int64)
-        now = best.argmax(1)
-        rows = np.arange(B)
+        now = best[-1].argmax(0)
         for t in range(T - 1, -1, -1):
             tags[t] = np.where(mask[t], now, 0)
             if t:
-                now = np.where(mask[t], link[t, rows, now], now)
+                now = np.where(mask[t], (best[t - 1] + move[:, now]).argmax(0), now)
         return tags.T
 
 
@@ -407,21 +416,23 @@ def _gains(scores: np.ndarray, move: np.ndarray, away: np.ndarray | None = None,
     away (time x batch) is taken from the other tags; rough: of three tags, the second and third stand for the odd and the even ones.
     """
     move = move[:, :, None].astype(np.float32)
-    rows = scores.shape[2]
-    best, now, ways = np.zeros((len(move), rows), np.float32), np.zeros((len(move), rows), np.float32), np.empty((*move.shape[:2], rows), np.float32)
-    for t, step in enumerate(scores):
-        if rough:
-            np.max(step[1::2], 0, out=now[1])
-            np.max(step[2::2], 0, out=now[2])
-            now[1:] -= step[0]
-        else:
-            np.subtract(step[1:], step[0], out=now[1:])
-        if away is not None:
-            now[1:] -= away[t]
-        if t:
-            np.add(best[:, None], move, out=ways)
-            np.max(ways, 0, out=best)
-        best += now
+    steps, _, rows = scores.shape
+    if rough:
+        over = np.empty((steps, 2, rows), np.float32)
+        np.max(scores[:, 1::2], 1, out=over[:, 0])
+        np.max(scores[:, 2::2], 1, out=over[:, 1])
+        over -= scores[:, :1]
+    else:
+        over = scores[:, 1:] - scores[:, :1]
+    if away is not None:
+        over -= away[:, None]
+    best, ways = np.zeros((len(move), rows), np.float32), np.empty((*move.shape[:2], rows), np.float32)
+    others = best[1:]
+    others += over[0]
+    for step in over[1:]:
+        np.add(best[:, None], move, out=ways)
+        np.maximum.reduce(ways, 0, out=best)
+        others += step
     return best.max(0)
 
 
@@ -535,7 +546,7 @@ def model_spans(texts: list[str], net: Tagger, batch: int = 512) -> list[list[Sp
 
 _AT = re.compile(r"\s*[\[(]\s*at\s*[\])]\s*|\s+at\s+|\s+@\s+", re.I)
 _DOT = re.compile(r"\s*[\[(]\s*(?:dot|\.)\s*[\])]\s*|\s+dot\s+|\s+\.\s+", re.I)
-_WORD = re.compile("|".join(_WORDS), re.I)
+_WORD = re.compile("|".join(_WORDS), re.I | re.A)
 _NUMBER = re.compile(r"(?:\+|plus)?[0-9\s().,_/-]+", re.I)
 
 
@@ -558,9 +569,28 @@ def plainly(kind: str, written_: str) -> str | None:
 
 
 _TOKEN = re.compile(r"[^\s]+")
+_DIGITS = re.compile(f"[0-9]|(?=(?:{'|'.join(_WORDS)}))", re.I | re.A)
 _CALL = re.compile(r"00|[+(]|plus |[0-9]{3}[./-][0-9]{3}[.-][0-9]{4}\Z", re.I)
 
 
+def _barriers(kind: str, words: list[str]) -> list[int] | None:
+    """For each word, how many before it end a value of this kind; None: no stretch of these words can pass the kind's check.
+
+    In numbers these are words with letters that spell no digit, in addresses words that a space parts from the next one for good.
+    """
+    whole = " ".join(words)
+    if kind == "email":
+        if "@" not in whole and not _AT.search(f" {whole} "):
+            return None
+        link = [w.lower() in ("at", "dot", "@", ".") for w in words]
+        stops = [not (p or q or w[-1] in "[(])" or v[0] in "[(])") for w, v, p, q in zip(words, words[1:], link, link[1:], strict=False)]
+    else:
+        if len(_DIGITS.findall(whole)) < (4 if kind == "ip" else 9):
+            return None
+        stops = [kind != "ip" and any(c.isalnum() and not "0" <= c <= "9" for c in re.sub("plus", "", _WORD.sub("0", w), flags=re.I)) for w in words]
+    return [0, *accumulate(stops)]
+
+
 def _snapped(text: str, kind: str, a: int, b: int) -> Span | None:
     """The longest stretch of whole words, up to REACH more or less at either border, that passes the kind's check.
 
@@ -574,14 +604,22 @@ def _snapped(text: str, kind: str, a: int, b: int) -> Span | None:
     if not inside:
         return None
     first, last = inside[0], inside[-1]
+    low, high = max(0, first - REACH), min(len(words) - 1, last + REACH)
+    words = words[low : high + 1]
+    first, last, more = first - low, last - low, int(kind != "email")
+    ends = _barriers(kind, [text[x:y] for x, y in words])
+    if ends is None:
+        return None
     best: Span | None = None
-    for i in range(max(0, first - REACH), min(first + REACH, last) + 1):
+    for i in range(min(first + REACH, last) + 1):
+        if ends[max(i, last - REACH) + more] > ends[i]:
+            continue
         x = words[i][0]
         while x < words[i][1] and not (text[x].isalnum() or text[x] in "+(" and text[x + 1 : x + 2].isdigit()):
             x += 1
         if x == words[i][1]:
             continue
-        for j in range(min(len(words) - 1, last + REACH), max(i, last - REACH) - 1, -1):
+        for j in range(len(words) - 1, max(i, last - REACH) - 1, -1):
             y = words[j][1]
             while y > words[j][0] and not text[y - 1].isalnum():
                 y -= 1
@@ -591,6 +629,8 @@ def _snapped(text: str, kind: str, a: int, b: int) -> Span | None:
                 x += 1
             if best is not None and y - x <= best[2] - best[1]:
                 break
+            if ends[j + more] > ends[i]:
+                continue
             value = text[x:y]
             fits = kind if plainly(kind, value) else "phone" if kind in ("card", "ip") and _CALL.match(value) and plainly("phone", value) else None
             if fits:
